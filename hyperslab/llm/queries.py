@@ -123,13 +123,16 @@ FROM sized GROUP BY conv_id
 WITH base AS (
   SELECT doc_id, coalesce(text, '') AS text, list_filter(string_split_regex(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS words FROM documents
 ), places AS (
-  SELECT doc_id, words, unnest(range(1, len(words) + 1)) AS i FROM base
-), short AS (
-  SELECT doc_id, words, i, i + 4 <= len(words) AND count(*) OVER (PARTITION BY doc_id, array_to_string(words[i:i + 4], ' ')) > 1 AS r5 FROM places
-), repeating AS (SELECT * FROM short WHERE doc_id IN (SELECT doc_id FROM short WHERE r5)
+  SELECT doc_id, unnest(words) AS w, unnest(range(1, len(words) + 1)) AS i FROM base
+), five AS (
+  SELECT *, w || ' ' || lead(w, 1) OVER d || ' ' || lead(w, 2) OVER d || ' ' || lead(w, 3) OVER d || ' ' || lead(w, 4) OVER d AS k5 FROM places WINDOW d AS (PARTITION BY doc_id ORDER BY i)
+), twenty AS (
+  SELECT *, md5(k5 || ' ' || lead(k5, 5) OVER d || ' ' || lead(k5, 10) OVER d || ' ' || lead(k5, 15) OVER d) AS k20 FROM five WINDOW d AS (PARTITION BY doc_id ORDER BY i)
+), hundred AS (
+  SELECT *, k20 || lead(k20, 20) OVER d || lead(k20, 40) OVER d || lead(k20, 60) OVER d || lead(k20, 80) OVER d || lead(w, 100) OVER d AS k101 FROM twenty WINDOW d AS (PARTITION BY doc_id ORDER BY i)
 ), twice AS (
-  SELECT doc_id, i, r5, i + 19 <= len(words) AND count(*) OVER (PARTITION BY doc_id, md5(array_to_string(words[i:i + 19], ' '))) > 1 AS r20,
-    i + 100 <= len(words) AND count(*) OVER (PARTITION BY doc_id, md5(array_to_string(words[i:i + 100], ' '))) > 1 AS r101 FROM repeating
+  SELECT doc_id, i, k5 IS NOT NULL AND count(*) OVER (PARTITION BY doc_id, k5) > 1 AS r5, k20 IS NOT NULL AND count(*) OVER (PARTITION BY doc_id, k20) > 1 AS r20,
+    k101 IS NOT NULL AND count(*) OVER (PARTITION BY doc_id, k101) > 1 AS r101 FROM hundred
 ), spread AS (
   SELECT doc_id, max(r5::INT) OVER (PARTITION BY doc_id ORDER BY i ROWS 4 PRECEDING) AS c5, max(r20::INT) OVER (PARTITION BY doc_id ORDER BY i ROWS 19 PRECEDING) AS c20, r101::INT AS r101 FROM twice
 ), summed AS (
@@ -183,7 +186,7 @@ WHERE own >= {least}"""
 
 
 def _secret_sql() -> str:
-    parts = [_spans_sql(r.kind, r.pattern.replace("\\\"", '"').replace("'", "''"), r.least, r.group, k) for k, r in enumerate(secrets.BASE + secrets.MORE)]
+    parts = [_spans_sql(r.kind, secrets.once(r).replace("\\\"", '"').replace("'", "''"), r.least, r.group, k) for k, r in enumerate(secrets.BASE + secrets.MORE)]
     base = ", ".join(f"'{r.kind}'" for r in secrets.BASE)
     counts = ", ".join(f"count(*) FILTER (kind = '{r.kind}') AS n_{r.kind}" for r in secrets.BASE)
     line = "kind || ':' || CAST(CAST(s AS BIGINT) AS VARCHAR) || ':' || CAST(CAST(e AS BIGINT) AS VARCHAR)"

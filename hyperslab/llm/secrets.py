@@ -188,7 +188,7 @@ def scan(docs: DataFrame, rules: tuple[Rule, ...] = BASE + MORE, *, id_column: s
     joined = rows.join(found.withColumnRenamed("id", "known"), F.col("id").eqNullSafe(F.col("known")), "left")
     none = F.array().cast("array<struct<start:int,end:int,k:int>>")
     for k, rule in enumerate(rules):
-        verified = F.when(F.regexp_like("text", F.lit(_once(rule))), spans_of(F.col("text"), rule, k)).otherwise(none)
+        verified = F.when(F.regexp_like("text", F.lit(once(rule))), spans_of(F.col("text"), rule, k)).otherwise(none)
         joined = joined.withColumn(f"found_{k}", F.when(F.array_contains("kinds", rule.kind), verified).otherwise(none) if rule in indexed else verified)
     kinds = F.array(*(F.lit(r.kind) for r in rules))
     every = F.concat(*(F.col(f"found_{k}") for k in range(len(rules))))
@@ -196,10 +196,10 @@ def scan(docs: DataFrame, rules: tuple[Rule, ...] = BASE + MORE, *, id_column: s
     return joined.select(F.col("id").alias("doc_id"), F.transform(ordered, lambda s: F.struct(s["start"], s["end"], F.element_at(kinds, s["k"] + 1).alias("kind"))).alias("spans"))
 
 
-def _once(rule: Rule) -> str:
+def once(rule: Rule) -> str:
     """A pattern that some match needs: for a run of one set of characters, the least length at once."""
     m = re.fullmatch(r"(\[[^\]]+\])\+", rule.pattern)
-    return f"{m[1]}{{{rule.least}}}" if m and rule.least else rule.pattern
+    return f"{m[1]}{{{rule.least},}}" if m and rule.least else rule.pattern
 
 
 def written_spans(spans: Column, kinds: list[str] | None = None) -> Column:
