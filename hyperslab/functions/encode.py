@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame, Window
@@ -38,15 +39,24 @@ def hash_collisions(df: DataFrame, column: str, values: int = 1 << 24) -> DataFr
     return d.agg(F.count("*").alias("n_values"), F.countDistinct(hash_code(F.col("v"), values)).alias("n_codes"))
 
 
-def with_row_id(df: DataFrame, key: Sequence[str]) -> DataFrame:
-    """Adds row_id, 1 to n in the order of key, without sorting everything in one task.
+#: Rows up to which one task numbers them all.
+FEW = 1_000_000
 
-    Rows are dealt by ranges of the key and numbered within their partition; the sums of the partitions before
-    it are added by a join on the partition number, which has a row per partition.
+
+def with_row_id(df: DataFrame, key: Sequence[str], folder: str | None = None) -> DataFrame:
+    """Adds row_id, 1 to n in the order of key, which must be unique.
+
+    Beyond FEW rows they are dealt by ranges of the key and written to folder with their partition, so that range
+    bounds are drawn once; then they are numbered within partitions, and the sums of the partitions before come by
+    a join that has a row per partition. folder: where the cluster shares files; by default spark.checkpoint.dir.
     """
-    many = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))  # a stated number: both uses see the same partitions
-    dealt = df.repartitionByRange(many, *[F.col(c) for c in key]).sortWithinPartitions(*key).withColumn("_part", F.spark_partition_id())
+    if df.count() <= FEW:
+        return df.withColumn("row_id", F.row_number().over(Window.orderBy(*key)).cast("long"))
+    spark = df.sparkSession
+    folder = folder or f"{spark.sparkContext.getConf().get('spark.checkpoint.dir')}/row-ids-{uuid.uuid4().hex}"
+    df.repartitionByRange(*[F.col(c) for c in key]).withColumn("_part", F.spark_partition_id()).write.parquet(folder)
+    dealt = spark.read.parquet(folder)
     local = dealt.withColumn("_n", F.row_number().over(Window.partitionBy("_part").orderBy(*key)))
-    sums = local.groupBy("_part").agg(F.max("_n").cast("long").alias("_size"))
+    sums = dealt.groupBy("_part").agg(F.count("*").alias("_size"))
     before = sums.withColumn("_before", F.coalesce(F.sum("_size").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).drop("_size")
     return local.join(before, "_part").withColumn("row_id", F.col("_before") + F.col("_n")).drop("_part", "_n", "_before")
