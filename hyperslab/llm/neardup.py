@@ -57,6 +57,12 @@ class Forest:
         return int(size * p + 5 * (size * p * (1 - p)) ** 0.5)
 
 
+    def least_equal(self) -> int:
+        """Hashes in which signatures agree at the similarity bound, less five standard deviations."""
+        p = self.percent / 100
+        return int(self.hashes * p - 5 * (self.hashes * p * (1 - p)) ** 0.5)
+
+
 def sets_of(texts: pa.Array, size: int) -> Iterator[np.ndarray]:
     """Of each text its distinct shingle hashes, ascending."""
     hashes, at = shingles(words_of(texts, lower=True), size)
@@ -89,6 +95,15 @@ def profiles(docs: DataFrame, forest: Forest) -> DataFrame:
     return docs.mapInArrow(run, "doc_id long, n_shingles long, set_digest binary, signature binary")
 
 
+def regions_of(hashes: np.ndarray) -> np.ndarray:
+    """Of each signature (documents x trees x depth) its region in every tree."""
+    region = np.broadcast_to(np.arange(1, hashes.shape[1] + 1, dtype=np.uint64), hashes.shape[:2])
+    with np.errstate(over="ignore"):
+        for d in range(hashes.shape[2]):
+            region = mixed(region * np.uint64(0x9E3779B97F4A7C15) + hashes[:, :, d].astype(np.uint64))
+    return region.view(np.int64)
+
+
 _LEAF = [("region", pa.int64()), ("deeper", pa.int64()), ("id", pa.int64()), ("n", pa.int64()), ("sketch_a", pa.int64()), ("sketch_b", pa.int64())]
 LEAVES = "region long, deeper long, id long, n long, sketch_a long, sketch_b long"
 
@@ -102,10 +117,7 @@ def leaves(firsts: DataFrame, forest: Forest) -> DataFrame:
                 part = batch.slice(at, 2000)
                 k = part.num_rows
                 hashes = np.frombuffer(b"".join(part.column("signature").to_pylist()), "<u4").reshape(k, forest.trees, forest.depth).astype(np.uint64)
-                region = np.broadcast_to(np.arange(1, forest.trees + 1, dtype=np.uint64), (k, forest.trees))
-                with np.errstate(over="ignore"):
-                    for d in range(forest.depth):
-                        region = mixed(region * np.uint64(0x9E3779B97F4A7C15) + hashes[:, :, d])
+                region = regions_of(hashes)
                 onward = np.roll(hashes, -1, axis=1)
                 deeper = (onward[:, :, 0] << np.uint64(32)) | onward[:, :, min(1, forest.depth - 1)]
                 bits = np.packbits((hashes.reshape(k, -1)[:, :128] & np.uint64(1)).astype(np.uint8), axis=1)
@@ -113,7 +125,7 @@ def leaves(firsts: DataFrame, forest: Forest) -> DataFrame:
                 sketch[:, : bits.shape[1]] = bits
                 two = sketch.view(np.int64)
                 each = [np.repeat(part.column(c).to_numpy(), forest.trees) for c in ("doc_id", "n_shingles")]
-                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (region.view(np.int64).ravel(), deeper.view(np.int64).ravel(), *each, *(np.repeat(two[:, j], forest.trees) for j in (0, 1)))], names=[c for c, _ in _LEAF])
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (region.ravel(), deeper.view(np.int64).ravel(), *each, *(np.repeat(two[:, j], forest.trees) for j in (0, 1)))], names=[c for c, _ in _LEAF])
 
     return firsts.mapInArrow(run, LEAVES)
 
@@ -124,12 +136,12 @@ def _likely(n_a, n_b, xa, xb, ya, yb, forest: Forest) -> np.ndarray:
     return fits & (np.bitwise_count((xa ^ xb).view(np.uint64)).astype(np.int16) + np.bitwise_count((ya ^ yb).view(np.uint64)) <= forest.most_differing())
 
 
-_FOUND = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("region", pa.int64()), ("n", pa.int64()), ("sketch_a", pa.int64()), ("sketch_b", pa.int64())])
-FOUND = "a long, b long, region long, n long, sketch_a long, sketch_b long"
+_FOUND = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("region", pa.int64())])
+FOUND = "a long, b long, region long"
 
 
 def _pairs(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b)), *(pa.nulls(len(a), pa.int64()) for _ in range(4))], schema=_FOUND)
+    return pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b)), pa.nulls(len(a), pa.int64())], schema=_FOUND)
 
 
 def _look(x: dict[str, np.ndarray], forest: Forest, long: bool) -> Iterator[pa.RecordBatch]:
@@ -155,7 +167,7 @@ def _look(x: dict[str, np.ndarray], forest: Forest, long: bool) -> Iterator[pa.R
     again = np.add.reduceat(counted, starts) > np.add.reduceat((counted > 0).astype(np.int64), starts)
     rest = np.repeat(again | (sizes > forest.window + 1) | long, sizes)
     if rest.any():
-        yield pa.RecordBatch.from_arrays([pa.array(ids[rest]), pa.nulls(int(rest.sum()), pa.int64()), *(pa.array(x[c][rest]) for c in ("region", "n", "sketch_a", "sketch_b"))], schema=_FOUND)
+        yield pa.RecordBatch.from_arrays([pa.array(ids[rest]), pa.nulls(int(rest.sum()), pa.int64()), pa.array(r[rest])], schema=_FOUND)
 
 
 def neighbours(leaf: DataFrame, forest: Forest) -> DataFrame:
@@ -192,17 +204,20 @@ def neighbours(leaf: DataFrame, forest: Forest) -> DataFrame:
     return dealt.mapInArrow(run, FOUND)
 
 
-def across(members: DataFrame, labels: DataFrame, forest: Forest) -> DataFrame:
-    """Likely pairs (a > b) of different components in regions that hold several, by pairs of blocks."""
-    known = members.join(labels.withColumnRenamed("node", "a"), "a", "left").withColumn("component", F.coalesce("component", "a"))
-    mixed_ones = known.groupBy("region").agg(F.count("*").alias("size"), F.min("component").alias("least"), F.max("component").alias("most")).where("least < most").select("region", "size")
+def across(members: DataFrame, labels: DataFrame, signatures: DataFrame, forest: Forest) -> DataFrame:
+    """Likely pairs (a > b) of different components in regions that hold several, by pairs of blocks.
+
+    Here whole signatures are compared, and a pair comes out of the first tree only in which it shares a region.
+    """
+    known = members.select("a", "region").join(labels.withColumnRenamed("node", "a"), "a", "left").withColumn("component", F.coalesce("component", "a"))
+    several = known.groupBy("region").agg(F.count("*").alias("size"), F.min("component").alias("least"), F.max("component").alias("most")).where("least < most").select("region", "size")
     blocks = F.ceil(F.col("size") / forest.block).cast("int")
-    mine = F.pmod(F.xxhash64("a"), blocks).cast("int")
     dealt = (
-        known.join(mixed_ones, "region")
-        .withColumn("mine", mine)
+        known.join(several, "region")
+        .join(signatures.select(F.col("doc_id").alias("a"), F.col("n_shingles").alias("n"), "signature"), "a")
+        .withColumn("mine", F.pmod(F.xxhash64("a"), blocks).cast("int"))
         .withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
-        .select("region", F.least("mine", "other").alias("one"), F.greatest("mine", "other").alias("two"), "mine", "a", "component", "n", "sketch_a", "sketch_b")
+        .select("region", F.least("mine", "other").alias("one"), F.greatest("mine", "other").alias("two"), "mine", "a", "component", "n", "signature")
         .repartition("region", "one", "two")
         .sortWithinPartitions("region", "one", "two", "mine")
     )
@@ -211,24 +226,35 @@ def across(members: DataFrame, labels: DataFrame, forest: Forest) -> DataFrame:
         """x: the rows of one pair of blocks."""
         if x["component"].min() == x["component"].max():
             return
+        hashes = np.frombuffer(b"".join(x["signature"]), "<u4").reshape(len(x["a"]), forest.hashes)
+        region = regions_of(hashes.reshape(len(hashes), forest.trees, forest.depth))
         own = x["one"][0] == x["two"][0]
         cut = len(x["a"]) if own else int((x["mine"] == x["one"][0]).sum())
-        for at in range(0, cut, 512):
-            left = {c: v[at : min(cut, at + 512), None] for c, v in x.items()}
-            right = {c: v[None, at if own else cut :] for c, v in x.items()}
-            ok = _likely(left["n"], right["n"], left["sketch_a"], right["sketch_a"], left["sketch_b"], right["sketch_b"], forest) & (left["component"] != right["component"])
-            i, j = np.nonzero(ok)
-            if len(i):
-                yield _pairs(left["a"][i, 0], right["a"][0, j])
+        for at in range(0, cut, 64):
+            right = np.arange(at if own else cut, len(x["a"]))
+            left = np.arange(at, min(cut, at + 64))[:, None]
+            small, large = np.minimum(x["n"][left], x["n"][right]), np.maximum(x["n"][left], x["n"][right])
+            i, j = np.nonzero((100 * small >= forest.percent * large) & (x["component"][left] != x["component"][right]) & ((right > left) | (not own)))
+            for a in range(0, len(i), 1 << 16):
+                one, two = i[a : a + (1 << 16)] + at, right[j[a : a + (1 << 16)]]
+                likely = (hashes[one] == hashes[two]).sum(axis=1) >= forest.least_equal()
+                one, two = one[likely], two[likely]
+                shared = region[one] == region[two]
+                first = region[one, shared.argmax(axis=1)] == x["region"][0]
+                if first.any():
+                    yield _pairs(x["a"][one[first]], x["a"][two[first]])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: dict[str, np.ndarray] = {}
         for batch in batches:
             if not batch.num_rows:
                 continue
-            new = {c: batch.column(c).to_numpy() for c in batch.schema.names}
+            new = {c: np.array(batch.column(c).to_pylist(), object) if c == "signature" else batch.column(c).to_numpy() for c in batch.schema.names}
             held = {c: np.concatenate((held[c], v)) for c, v in new.items()} if held else new
-            edge = np.concatenate(([True], (held["region"][1:] != held["region"][:-1]) | (held["one"][1:] != held["one"][:-1]) | (held["two"][1:] != held["two"][:-1])))
+            edge = np.zeros(len(held["a"]), bool)
+            edge[0] = True
+            for c in ("region", "one", "two"):
+                edge[1:] |= held[c][1:] != held[c][:-1]
             starts = np.flatnonzero(edge)
             for a, b in zip(starts, starts[1:], strict=False):
                 yield from compare({c: v[a:b] for c, v in held.items()})
@@ -236,7 +262,23 @@ def across(members: DataFrame, labels: DataFrame, forest: Forest) -> DataFrame:
         if held:
             yield from compare(held)
 
-    return dealt.mapInArrow(run, FOUND).select("a", "b").distinct()
+    return dealt.mapInArrow(run, FOUND).select("a", "b")
+
+
+def settled(pairs: DataFrame, links: DataFrame | None, labels: DataFrame | None, docs: DataFrame, forest: Forest) -> tuple[DataFrame, DataFrame]:
+    """(links, labels) with what pairs add: of each document one pair first, then those that still lie apart."""
+    pairs = common.written(pairs, "pairs")
+    first = pairs.groupBy("a").agg(F.min("b").alias("b"))
+    rest = pairs.join(first, ["a", "b"], "left_anti")
+    for some in (first, rest):
+        if labels is not None:
+            of = [labels.select(F.col("node").alias(c), F.col("component").alias(f"{c}_in")) for c in ("a", "b")]
+            some = some.join(of[0], "a", "left").join(of[1], "b", "left").where(F.coalesce("a_in", "a") != F.coalesce("b_in", "b")).select("a", "b")
+        new = common.written(confirmed(some, docs, forest), "links")
+        if labels is None or not new.isEmpty():
+            links = new if links is None else links.union(new)
+            labels = components(links)
+    return links, labels
 
 
 def confirmed(pairs: DataFrame, docs: DataFrame, forest: Forest) -> DataFrame:
@@ -286,14 +328,10 @@ def linked(docs: DataFrame, forest: Forest = Forest(), *, id_column: str = "doc_
     firsts = sets.join(classes.where("first is not null").select(F.col("first").alias("doc_id"), "set_digest"), ["doc_id", "set_digest"], "left_semi")
     found = common.written(neighbours(leaves(firsts.select("doc_id", "n_shingles", "signature"), forest), forest), "forest")
     texts = rows.where("doc_id is not null")
-    links = confirmed(found.where("region is null").select("a", "b").distinct(), texts, forest)
-    links = common.written(links, "links")
-    labels = components(links)
-    more = common.written(confirmed(across(found.where("region is not null"), labels, forest), texts, forest), "links")
-    if not more.isEmpty():
-        labels = components(links.union(more))
-    settled = classes.join(labels.withColumnRenamed("node", "first"), "first", "left").select("set_digest", F.coalesce("component", "first").alias("class_component"))
-    return profile.drop("signature").join(settled, "set_digest", "left").select(
+    links, labels = settled(found.where("region is null").select("a", "b").distinct(), None, None, texts, forest)
+    links, labels = settled(across(found.where("region is not null"), labels, firsts, forest), links, labels, texts, forest)
+    of_class = classes.join(labels.withColumnRenamed("node", "first"), "first", "left").select("set_digest", F.coalesce("component", "first").alias("class_component"))
+    return profile.drop("signature").join(of_class, "set_digest", "left").select(
         "doc_id", "n_shingles", "set_digest", F.when(F.col("set_digest").isNull(), F.col("doc_id")).otherwise(F.coalesce("class_component", "doc_id")).alias("component_id")
     )
 
