@@ -38,10 +38,11 @@ def uniform_sql(n: int, m: int, seed: int = 0) -> str:
     return f"SELECT id, {', '.join(f'CAST({lattice_sql('id', j, seed)} AS DOUBLE) / {LEVELS}.0::DOUBLE AS d{j}' for j in range(m))} FROM (SELECT range AS id FROM range({n}))"
 
 
-def _box(c: int, j: int) -> tuple[float, float]:
-    """Corner and side of cluster c in dimension j."""
-    side = 0.1 + 0.2 * ((37 * c + 11 * j) % 10) / 10
-    return round((1 - side) * ((53 * c + 29 * j + 7) % 97) / 97, 6), round(side, 6)
+def _box(k: int, j: int, c: int) -> tuple[float, float]:
+    """Corner and side of cluster k of c in dimension j. Clusters follow one another in every dimension, so that a
+    pair from two of them spans those between, as the reported selectivities require."""
+    side = round((0.5 + 0.3 * ((37 * k + 11 * j) % 10) / 10) / c, 6)
+    return round(k / c + (1 / c - side) * ((53 * k + 29 * j + 7) % 97) / 97, 6), side
 
 
 def clustered(spark: SparkSession, n: int, m: int, c: int, seed: int = 0) -> DataFrame:
@@ -49,7 +50,7 @@ def clustered(spark: SparkSession, n: int, m: int, c: int, seed: int = 0) -> Dat
     cluster = F.col("id") % c
 
     def value(j: int) -> Column:
-        corner, side = (F.element_at(F.array(*(F.lit(_box(k, j)[which]) for k in range(c))), (cluster + 1).cast("int")) for which in (0, 1))
+        corner, side = (F.element_at(F.array(*(F.lit(_box(k, j, c)[which]) for k in range(c))), (cluster + 1).cast("int")) for which in (0, 1))
         return corner + side * (lattice(F.col("id"), j, seed) / F.lit(float(LEVELS)))
 
     return spark.range(n).select("id", cluster.alias("cluster"), *(value(j).alias(f"d{j}") for j in range(m)))
@@ -57,7 +58,7 @@ def clustered(spark: SparkSession, n: int, m: int, c: int, seed: int = 0) -> Dat
 
 def clustered_sql(n: int, m: int, c: int, seed: int = 0) -> str:
     def value(j: int) -> str:
-        corner, side = (f"[{', '.join(f'{_box(k, j)[which]!r}::DOUBLE' for k in range(c))}][CAST(id % {c} + 1 AS INT)]" for which in (0, 1))
+        corner, side = (f"[{', '.join(f'{_box(k, j, c)[which]!r}::DOUBLE' for k in range(c))}][CAST(id % {c} + 1 AS INT)]" for which in (0, 1))
         return f"{corner} + {side} * (CAST({lattice_sql('id', j, seed)} AS DOUBLE) / {LEVELS}.0::DOUBLE)"
 
     return f"SELECT id, id % {c} AS cluster, {', '.join(f'{value(j)} AS d{j}' for j in range(m))} FROM (SELECT range AS id FROM range({n}))"

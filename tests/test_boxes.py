@@ -239,7 +239,7 @@ def test_more_clusters_make_pair_boxes_less_selective(spark):
     for c in (1, 10):
         df = datagen.clustered(spark, 4000, 5, c)
         mean.append(np.mean([r["n_hits"] / 4000 for r in batch.counts(batch.search_batch(df, space, workload.pair_boxes(df, space, 60))).collect()]))
-    assert mean[0] < 0.012 < mean[1]
+    assert mean[0] < 0.012 and 0.15 < mean[1] < 0.32  # reported: 0.38 % and 23.12 %
 
 
 def test_raw_sizes():
@@ -258,7 +258,8 @@ def test_independence(spark):
     space = FeatureSpace(("id",), ("d0", "d1"))
     df, q = datagen.uniform(spark, 20_000, 2), BoxQuery.of(d0=(0.1, 0.4), d1=(0.3, 0.9))
     assert abs(measures.independence_error(df, space, q).first()["ratio"] - 1) < 0.1
-    assert measures.independence_error(df.withColumn("d1", df["d0"]), space, q).first()["ratio"] < 0.7
+    copied = measures.independence_error(df.withColumn("d1", df["d0"]), space, q).first()["ratio"]
+    assert copied == pytest.approx(0.3 * 0.6 / 0.1, rel=0.1)
 
 
 # Advisor
