@@ -376,7 +376,9 @@ def _relational() -> dict[str, Entry]:
         w = Window.partitionBy("user").orderBy("second", "event_id")
         return d.withColumn("before", F.lag("event_id").over(w)).where(box_predicate(EVENT_BOX, s)).select("event_id", "before")
 
-    running = Window.partitionBy("user").orderBy("second", "event_id").rowsBetween(Window.unboundedPreceding, 0)
+    def running(d: DataFrame, s: FeatureSpace) -> DataFrame:
+        w = Window.partitionBy("user").orderBy("second", "event_id").rowsBetween(Window.unboundedPreceding, 0)
+        return d.where(box_predicate(b, s)).select("event_id", F.count("*").over(w).alias("n_so_far"))
 
     def array_box(spark: SparkSession, sf_dir: str) -> DataFrame:
         lo, hi = (F.array(*(F.lit(v).cast("double") if j < 8 else F.lit(None).cast("double") for j in range(64))) for v in (-0.2, 0.25))
@@ -390,7 +392,7 @@ def _relational() -> dict[str, Entry]:
         "box_semi": ev(both(lambda x, y: x.join(y, "event_id", "left_semi")), f"SELECT event_id FROM {{t}} WHERE ({a.sql()}) AND ({b.sql()})"),
         "box_anti": ev(both(lambda x, y: x.join(y, "event_id", "left_anti")), f"SELECT event_id FROM {{t}} WHERE ({a.sql()}) AND NOT ({b.sql()})"),
         "box_topk": ev(lambda d, s: d.where(box_predicate(b, s)).orderBy(F.desc("value"), "event_id").limit(10).select("event_id"), f"SELECT event_id FROM {{t}} WHERE {b.sql()} ORDER BY value DESC, event_id LIMIT 10"),
-        "box_window_running": ev(lambda d, s: d.where(box_predicate(b, s)).select("event_id", F.count("*").over(running).alias("n_so_far")), f"SELECT event_id, count(*) OVER (PARTITION BY \"user\" ORDER BY second, event_id ROWS UNBOUNDED PRECEDING) AS n_so_far FROM {{t}} WHERE {b.sql()}"),
+        "box_window_running": ev(running, f"SELECT event_id, count(*) OVER (PARTITION BY \"user\" ORDER BY second, event_id ROWS UNBOUNDED PRECEDING) AS n_so_far FROM {{t}} WHERE {b.sql()}"),
         "box_cube": _measure(WIDE19, lambda d, s: nation(d, s).cube("nation", "status").agg(F.count("*").alias("n_hits")), f"SELECT nation, status, count(*) AS n_hits FROM {{t}} WHERE {box} GROUP BY CUBE (nation, status)"),
         "box_rollup": _measure(WIDE19, lambda d, s: nation(d, s).rollup("nation", "segment").agg(F.count("*").alias("n_hits")), f"SELECT nation, segment, count(*) AS n_hits FROM {{t}} WHERE {box} GROUP BY ROLLUP (nation, segment)"),
         "asof_box": ev(asof, f"SELECT event_id, before FROM (SELECT *, lag(event_id) OVER (PARTITION BY \"user\" ORDER BY second, event_id) AS before FROM {{t}}) AS w WHERE {EVENT_BOX.sql()}"),
