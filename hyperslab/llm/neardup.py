@@ -7,7 +7,8 @@ share the longest common prefixes. In a small region every pair is weighed by a
 the neighbours only, and each document takes one partner per tree. Links are confirmed on the full sets.
 
 What such a choice leaves open is settled exactly: regions in which the confirmed links leave several components
-are read again, by blocks if they are large, and every pair across components goes through sketch and full sets.
+are read again, by blocks if they are large, and every pair across components goes through whole signatures, a finer
+one-permutation sketch and full sets.
 
 Chance alone limits recall: a pair of similarity s shares no region of any tree with probability
 (1 - s^depth)^trees, 5e-6 at 0.75 with the defaults; the sketch's bound is five standard deviations wide.
@@ -21,7 +22,7 @@ by `deduplicated`.
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -41,6 +42,7 @@ class Forest:
     window: int = 64  # places in order that a dense region is weighed over; smaller regions are weighed whole
     block: int = 4096  # rows of a block when a region is read again
     shingle: int = 5
+    bins: int = 1024  # of the finer sketch that pairs across components go through; a power of two
     percent: int = 75  # 100 * intersection >= percent * union
     seed: int = 1
 
@@ -56,7 +58,6 @@ class Forest:
         size, p = min(self.hashes, 128), (1 - self.percent / 100) / 2
         return int(size * p + 5 * (size * p * (1 - p)) ** 0.5)
 
-
     def least_equal(self) -> int:
         """Hashes in which signatures agree at the similarity bound, less five standard deviations."""
         p = self.percent / 100
@@ -78,6 +79,29 @@ def signature(found: np.ndarray, multipliers: np.ndarray) -> np.ndarray:
     return (least >> np.uint64(32)).astype("<u4")
 
 
+def binned(found: np.ndarray, bins: int) -> np.ndarray:
+    """One-permutation MinHash: a byte of the least hash in each bin, 0 in an empty bin."""
+    x = mixed(found)
+    top = np.uint64(64 - int(bins).bit_length() + 1)
+    least = np.full(bins, np.iinfo(np.uint64).max, np.uint64)
+    np.minimum.at(least, (x >> top).astype(np.int64), x)
+    return np.where(least == np.iinfo(np.uint64).max, 0, 1 + (least >> np.uint64(8)) % np.uint64(255)).astype(np.uint8)
+
+
+def _close(x: np.ndarray, y: np.ndarray, n: np.ndarray, forest: Forest) -> np.ndarray:
+    """Whether rows x and y of bins, of sets of n elements together, allow the similarity.
+
+    Of a union of f elements m bins are filled; the share of equal ones has the variance
+    s (1 - s) (f - m) / (m (f - 1)), so small sets are judged nearly exactly. The bound leaves five deviations.
+    """
+    filled = ((x | y) != 0).sum(axis=1)
+    equal = ((x == y) & (x != 0)).sum(axis=1)
+    p = forest.percent / 100
+    union = np.maximum(n / (1 + p), filled)
+    deviation = np.sqrt(p * (1 - p) * (union - filled) / np.maximum(filled * (union - 1), 1))
+    return equal >= filled * (p - 5 * deviation) - 1  # one bin more for the discreteness of small sets
+
+
 def profiles(docs: DataFrame, forest: Forest) -> DataFrame:
     """doc_id, n_shingles, set_digest (null for no shingles), signature of every row of docs(doc_id, text)."""
     multipliers = forest.multipliers()
@@ -204,20 +228,27 @@ def neighbours(leaf: DataFrame, forest: Forest) -> DataFrame:
     return dealt.mapInArrow(run, FOUND)
 
 
-def across(members: DataFrame, labels: DataFrame, signatures: DataFrame, forest: Forest) -> DataFrame:
+def across(members: DataFrame, labels: DataFrame, signatures: DataFrame, docs: DataFrame, forest: Forest) -> DataFrame:
     """Likely pairs (a > b) of different components in regions that hold several, by pairs of blocks.
 
-    Here whole signatures are compared, and a pair comes out of the first tree only in which it shares a region.
+    Here whole signatures are compared and then the finer bins, which leaves few pairs below the similarity: they
+    would grow with the square of a large group. A pair comes out of the first tree only in which it shares a region.
     """
     known = members.select("a", "region").join(labels.withColumnRenamed("node", "a"), "a", "left").withColumn("component", F.coalesce("component", "a"))
     several = known.groupBy("region").agg(F.count("*").alias("size"), F.min("component").alias("least"), F.max("component").alias("most")).where("least < most").select("region", "size")
     blocks = F.ceil(F.col("size") / forest.block).cast("int")
+    open_members = common.written(known.join(several, "region"), "members")
+
+    def bins(found: np.ndarray) -> bytes:
+        return binned(found, forest.bins).tobytes()
+
+    fine = texts_as(open_members.select(F.col("a").alias("doc_id")).distinct(), docs, bins, forest)
     dealt = (
-        known.join(several, "region")
+        open_members.join(fine.select(F.col("doc_id").alias("a"), F.col("found").alias("bins")), "a")
         .join(signatures.select(F.col("doc_id").alias("a"), F.col("n_shingles").alias("n"), "signature"), "a")
         .withColumn("mine", F.pmod(F.xxhash64("a"), blocks).cast("int"))
         .withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
-        .select("region", F.least("mine", "other").alias("one"), F.greatest("mine", "other").alias("two"), "mine", "a", "component", "n", "signature")
+        .select("region", F.least("mine", "other").alias("one"), F.greatest("mine", "other").alias("two"), "mine", "a", "component", "n", "signature", "bins")
         .repartition("region", "one", "two")
         .sortWithinPartitions("region", "one", "two", "mine")
     )
@@ -228,6 +259,7 @@ def across(members: DataFrame, labels: DataFrame, signatures: DataFrame, forest:
             return
         hashes = np.frombuffer(b"".join(x["signature"]), "<u4").reshape(len(x["a"]), forest.hashes)
         region = regions_of(hashes.reshape(len(hashes), forest.trees, forest.depth))
+        fine = np.frombuffer(b"".join(x["bins"]), np.uint8).reshape(len(x["a"]), forest.bins)
         own = x["one"][0] == x["two"][0]
         cut = len(x["a"]) if own else int((x["mine"] == x["one"][0]).sum())
         for at in range(0, cut, 64):
@@ -235,10 +267,12 @@ def across(members: DataFrame, labels: DataFrame, signatures: DataFrame, forest:
             left = np.arange(at, min(cut, at + 64))[:, None]
             small, large = np.minimum(x["n"][left], x["n"][right]), np.maximum(x["n"][left], x["n"][right])
             i, j = np.nonzero((100 * small >= forest.percent * large) & (x["component"][left] != x["component"][right]) & ((right > left) | (not own)))
-            for a in range(0, len(i), 1 << 16):
-                one, two = i[a : a + (1 << 16)] + at, right[j[a : a + (1 << 16)]]
+            for a in range(0, len(i), 1 << 14):
+                one, two = i[a : a + (1 << 14)] + at, right[j[a : a + (1 << 14)]]
                 likely = (hashes[one] == hashes[two]).sum(axis=1) >= forest.least_equal()
                 one, two = one[likely], two[likely]
+                likely = _close(fine[one], fine[two], x["n"][one] + x["n"][two], forest)
+                one, two = one[likely], two[likely]
                 shared = region[one] == region[two]
                 first = region[one, shared.argmax(axis=1)] == x["region"][0]
                 if first.any():
@@ -249,7 +283,7 @@ def across(members: DataFrame, labels: DataFrame, signatures: DataFrame, forest:
         for batch in batches:
             if not batch.num_rows:
                 continue
-            new = {c: np.array(batch.column(c).to_pylist(), object) if c == "signature" else batch.column(c).to_numpy() for c in batch.schema.names}
+            new = {c: np.array(batch.column(c).to_pylist(), object) if c in ("signature", "bins") else batch.column(c).to_numpy() for c in batch.schema.names}
             held = {c: np.concatenate((held[c], v)) for c, v in new.items()} if held else new
             edge = np.zeros(len(held["a"]), bool)
             edge[0] = True
@@ -268,37 +302,48 @@ def across(members: DataFrame, labels: DataFrame, signatures: DataFrame, forest:
 def settled(pairs: DataFrame, links: DataFrame | None, labels: DataFrame | None, docs: DataFrame, forest: Forest) -> tuple[DataFrame, DataFrame]:
     """(links, labels) with what pairs add: of each document one pair first, then those that still lie apart."""
     pairs = common.written(pairs, "pairs")
+    wanted = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
+    sets = texts_as(wanted, docs, np.ndarray.tobytes, forest)
     first = pairs.groupBy("a").agg(F.min("b").alias("b"))
     rest = pairs.join(first, ["a", "b"], "left_anti")
     for some in (first, rest):
         if labels is not None:
             of = [labels.select(F.col("node").alias(c), F.col("component").alias(f"{c}_in")) for c in ("a", "b")]
             some = some.join(of[0], "a", "left").join(of[1], "b", "left").where(F.coalesce("a_in", "a") != F.coalesce("b_in", "b")).select("a", "b")
-        new = common.written(confirmed(some, docs, forest), "links")
+        new = common.written(confirmed(some, sets, forest), "links")
         if labels is None or not new.isEmpty():
             links = new if links is None else links.union(new)
             labels = components(links)
     return links, labels
 
 
-def confirmed(pairs: DataFrame, docs: DataFrame, forest: Forest) -> DataFrame:
-    """The pairs (a, b) whose full sets are similar enough. Each pair moves the set of a, and b's set comes once.
+def texts_as(wanted: DataFrame, docs: DataFrame, form: Callable[[np.ndarray], bytes], forest: Forest) -> DataFrame:
+    """(doc_id, found): a form of the shingle set of every document in wanted (doc_id), from a written table.
 
-    docs (doc_id, text) has one row per id of a pair, and others that are passed over.
+    docs (doc_id, text) has one row per wanted id, and others that are passed over. A Bloom filter of 2^25 bits,
+    8 MB at every size, keeps most of those from the shuffle; the join is exact.
     """
-    pairs = common.written(pairs, "pairs")
-    wanted = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
+    wanted = common.written(wanted, "wanted")
+    word = F.shiftright(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 25)), 6).cast("int").alias("word")
+    bit = F.expr("shiftleft(1L, cast(pmod(xxhash64(doc_id), 64) as int))")
+    words = wanted.groupBy(word).agg(F.bit_or(bit).alias("bits"))
+    some = docs.withColumn("word", word).join(F.broadcast(words), "word").where(F.col("bits").bitwiseAND(bit) != 0).select("doc_id", "text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in common.parts(batch, "text", 4 << 20):
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([x.tobytes() for x in sets_of(part.column("text"), forest.shingle)], pa.binary())], names=["doc_id", "found"])
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([form(x) for x in sets_of(part.column("text"), forest.shingle)], pa.binary())], names=["doc_id", "found"])
+
+    return common.written(some.join(wanted, "doc_id", "left_semi").mapInArrow(run, "doc_id long, found binary"), "sets")
 
-    sets = common.written(docs.join(wanted, "doc_id", "left_semi").mapInArrow(run, "doc_id long, found binary"), "sets")
-    tests = pairs.join(sets.withColumnRenamed("doc_id", "a"), "a").select("b", "a", "found")
-    heads = pairs.select("b").distinct().join(sets.withColumnRenamed("doc_id", "b"), "b").select("b", F.lit(None).cast("long").alias("a"), "found")
-    salted = tests.withColumn("salt", F.pmod(F.xxhash64("a"), F.lit(16)).cast("int")).union(heads.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(15)))).select("b", "a", "found", "salt"))
-    dealt = salted.repartition("b", "salt").sortWithinPartitions("b", "salt", F.col("a").asc_nulls_first())
+
+def confirmed(pairs: DataFrame, sets: DataFrame, forest: Forest, *, share: int = 256) -> DataFrame:
+    """The pairs (a, b) whose full sets are similar enough. Each pair moves the set of a; b's comes once to `share` pairs."""
+    pairs = common.written(pairs, "pairs")
+    shares = pairs.groupBy("b").agg(F.ceil(F.count("*") / share).cast("int").alias("shares"))
+    tests = pairs.join(shares, "b").select("a", "b", F.pmod(F.xxhash64("a"), "shares").cast("int").alias("salt")).join(sets.withColumnRenamed("doc_id", "a"), "a").select("b", "a", "found", "salt")
+    heads = shares.join(sets.withColumnRenamed("doc_id", "b"), "b").select("b", F.lit(None).cast("long").alias("a"), "found", F.explode(F.sequence(F.lit(0), F.col("shares") - 1)).alias("salt"))
+    dealt = tests.union(heads).repartition("b", "salt").sortWithinPartitions("b", "salt", F.col("a").asc_nulls_first())
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
     def test(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -329,7 +374,7 @@ def linked(docs: DataFrame, forest: Forest = Forest(), *, id_column: str = "doc_
     found = common.written(neighbours(leaves(firsts.select("doc_id", "n_shingles", "signature"), forest), forest), "forest")
     texts = rows.where("doc_id is not null")
     links, labels = settled(found.where("region is null").select("a", "b").distinct(), None, None, texts, forest)
-    links, labels = settled(across(found.where("region is not null"), labels, firsts, forest), links, labels, texts, forest)
+    links, labels = settled(across(found.where("region is not null"), labels, firsts, texts, forest), links, labels, texts, forest)
     of_class = classes.join(labels.withColumnRenamed("node", "first"), "first", "left").select("set_digest", F.coalesce("component", "first").alias("class_component"))
     return profile.drop("signature").join(of_class, "set_digest", "left").select(
         "doc_id", "n_shingles", "set_digest", F.when(F.col("set_digest").isNull(), F.col("doc_id")).otherwise(F.coalesce("class_component", "doc_id")).alias("component_id")
