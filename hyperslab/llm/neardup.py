@@ -299,8 +299,11 @@ def across(members: DataFrame, labels: DataFrame, signatures: DataFrame, docs: D
     return dealt.mapInArrow(run, FOUND).select("a", "b")
 
 
-def settled(pairs: DataFrame, links: DataFrame | None, labels: DataFrame | None, docs: DataFrame, forest: Forest) -> tuple[DataFrame, DataFrame]:
-    """(links, labels) with what pairs add: of each document one pair first, then those that still lie apart."""
+def settled(pairs: DataFrame, labels: DataFrame | None, docs: DataFrame, forest: Forest) -> DataFrame:
+    """labels (node, component) with what pairs add: of each document one pair first, then those that still lie apart.
+
+    Links found later join components, not documents, so each call of `components` has a smaller graph.
+    """
     pairs = common.written(pairs, "pairs")
     wanted = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
     sets = texts_as(wanted, docs, np.ndarray.tobytes, forest)
@@ -308,13 +311,23 @@ def settled(pairs: DataFrame, links: DataFrame | None, labels: DataFrame | None,
     rest = pairs.join(first, ["a", "b"], "left_anti")
     for some in (first, rest):
         if labels is not None:
-            of = [labels.select(F.col("node").alias(c), F.col("component").alias(f"{c}_in")) for c in ("a", "b")]
-            some = some.join(of[0], "a", "left").join(of[1], "b", "left").where(F.coalesce("a_in", "a") != F.coalesce("b_in", "b")).select("a", "b")
+            some = _between(some, labels).where("a_in != b_in").select("a", "b")
         new = common.written(confirmed(some, sets, forest), "links")
-        if labels is None or not new.isEmpty():
-            links = new if links is None else links.union(new)
-            labels = components(links)
-    return links, labels
+        if labels is None:
+            labels = components(new)
+        elif not new.isEmpty():
+            joined = components(_between(new, labels).select(F.col("a_in").alias("a"), F.col("b_in").alias("b")).distinct())
+            onward = joined.select(F.col("node").alias("component"), F.col("component").alias("onward"))
+            moved = labels.join(onward, "component", "left").select("node", F.coalesce("onward", "component").alias("component"))
+            labels = common.written(moved.union(joined.join(labels, "node", "left_anti").select("node", "component")), "labels")
+    return labels
+
+
+def _between(pairs: DataFrame, labels: DataFrame) -> DataFrame:
+    """pairs (a, b) with the components a_in and b_in; a document without one is its own."""
+    for c in ("a", "b"):
+        pairs = pairs.join(labels.select(F.col("node").alias(c), F.col("component").alias(f"{c}_in")), c, "left")
+    return pairs.select("a", "b", *(F.coalesce(f"{c}_in", c).alias(f"{c}_in") for c in ("a", "b")))
 
 
 def texts_as(wanted: DataFrame, docs: DataFrame, form: Callable[[np.ndarray], bytes], forest: Forest) -> DataFrame:
@@ -373,8 +386,8 @@ def linked(docs: DataFrame, forest: Forest = Forest(), *, id_column: str = "doc_
     firsts = sets.join(classes.where("first is not null").select(F.col("first").alias("doc_id"), "set_digest"), ["doc_id", "set_digest"], "left_semi")
     found = common.written(neighbours(leaves(firsts.select("doc_id", "n_shingles", "signature"), forest), forest), "forest")
     texts = rows.where("doc_id is not null")
-    links, labels = settled(found.where("region is null").select("a", "b").distinct(), None, None, texts, forest)
-    links, labels = settled(across(found.where("region is not null"), labels, firsts, texts, forest), links, labels, texts, forest)
+    labels = settled(found.where("region is null").select("a", "b").distinct(), None, texts, forest)
+    labels = settled(across(found.where("region is not null"), labels, firsts, texts, forest), labels, texts, forest)
     of_class = classes.join(labels.withColumnRenamed("node", "first"), "first", "left").select("set_digest", F.coalesce("component", "first").alias("class_component"))
     return profile.drop("signature").join(of_class, "set_digest", "left").select(
         "doc_id", "n_shingles", "set_digest", F.when(F.col("set_digest").isNull(), F.col("doc_id")).otherwise(F.coalesce("class_component", "doc_id")).alias("component_id")
