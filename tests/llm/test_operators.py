@@ -233,6 +233,12 @@ def test_url_rules_and_model(spark):
     assert {r["verdict"] for r in urls.judged(df.where("page_id = 5")).collect()} == {"allow"}
 
 
+def test_each_rule_decides_its_own_pages(spark):
+    cases = {"http://a.com/en/1": ("com/en/", "block"), "http://example.com/en/70": ("example.com/en/7", "allow"), "http://b.net/de/1": ("net/de/", "allow"), "https://example.net/de/79": ("net/de/", "allow"), "http://example.net/de/8": ("example.net/de/8", "block"), "http://c.org/es/": ("org/es/", "block")}
+    rows = urls.judged(spark.createDataFrame(list(enumerate(cases)), "page_id bigint, url string")).collect()
+    assert {r["page_id"]: (r["rule"], r["verdict"]) for r in rows} == dict(enumerate(cases.values()))
+
+
 def test_trees_hold_on_held_out_rows():
     rng = np.random.default_rng(5)
     x = rng.random((4000, len(urls.FEATURES)))
