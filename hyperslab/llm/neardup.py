@@ -14,9 +14,9 @@ Chance alone limits recall: a pair of similarity s shares no region of any tree
 (1 - s^depth)^trees, 5e-6 at 0.75 with the defaults; the sketch's bound is five standard deviations wide.
 
 Cases: a null or empty text has no shingles and links to nothing; fewer words than a shingle make one shingle;
-rows that share an id count as one document; a null id stays a row, takes the component of its class and is kept
-if no other id is in it; an empty table gives an empty result; further columns are ignored by `linked` and kept
-by `deduplicated`.
+rows that share an id count as one document; a null id stays a row and takes the component of its class in `linked`,
+and is kept by `deduplicated` if its component has no other row that goes before it; an empty table gives an empty
+result; further columns are ignored by `linked` and kept by `deduplicated`.
 """
 
 from __future__ import annotations
@@ -395,6 +395,24 @@ def linked(docs: DataFrame, forest: Forest = Forest(), *, id_column: str = "doc_
 
 
 def deduplicated(docs: DataFrame, forest: Forest = Forest(), *, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
-    """The rows of docs whose id is the least of its component, with all their columns."""
-    dropped = linked(docs, forest, id_column=id_column, text_column=text_column).where("doc_id != component_id").select(F.col("doc_id").alias(id_column)).distinct()
-    return docs.join(dropped, id_column, "left_anti")
+    """One row of docs per component, with all its columns: that of the least id, nulls last.
+
+    Rows are linked by a number from a written table, so rows without an id are near-duplicates like any others, and
+    rows that share an id are in one component. Of those the row of most shingles stays, then that of the least number.
+    """
+    row = "_row"
+    while row in {c.lower() for c in docs.columns}:
+        row += "_"
+    numbered = common.written(docs.withColumn(row, F.monotonically_increasing_id()), "rows")
+    found = linked(numbered, forest, id_column=row, text_column=text_column).select(F.col("doc_id").alias("row"), "n_shingles", F.col("component_id").alias("component"))
+    ids = numbered.select(F.col(row).alias("row"), F.col(f"`{id_column}`").cast("long").alias("id"))
+    labelled = common.written(found.join(ids, "row"), "labelled")
+    places = labelled.where("id is not null").select("id", "component").distinct()
+    several = places.groupBy("id").agg(F.min("component").alias("least"), F.max("component").alias("most")).where("least < most")
+    links = common.written(places.join(several, "id").where("component != least").select(F.col("component").alias("a"), F.col("least").alias("b")).distinct(), "links")
+    if not links.isEmpty():
+        onward = components(links).select(F.col("node").alias("component"), F.col("component").alias("onward"))
+        labelled = labelled.join(onward, "component", "left").withColumn("component", F.coalesce("onward", "component"))
+    best = labelled.groupBy("component").agg(F.min(F.struct(F.col("id").isNull().alias("no_id"), "id", (-F.col("n_shingles")).alias("n"), "row")).alias("best")).select(F.col("best.row").alias("row"))
+    dropped = labelled.select("row").join(best, "row", "left_anti").select(F.col("row").alias(row))
+    return numbered.join(dropped, row, "left_anti").select(*(F.col(f"`{c}`") for c in docs.columns))

@@ -304,6 +304,51 @@ def test_rows_without_id_and_with_one_id(spark):
     assert set(neardup.deduplicated(df).columns) == set(df.columns)
 
 
+def survivors_brute(ids, texts):
+    """Places of the rows that stay: one per component, where rows of one id are in one."""
+    label, sets = components_brute(texts), shingle_sets(texts)
+    for i in set(ids) - {None}:
+        of_id = {label[k] for k in range(len(ids)) if ids[k] == i}
+        label = [min(of_id) if x in of_id else x for x in label]
+    order = lambda k: (ids[k] is None, ids[k] or 0, -len(sets[k]), k)
+    return {min((k for k in range(len(ids)) if label[k] == x), key=order) for x in label}
+
+
+def odd_id_rows():
+    base = [[f"{c}{k}" for k in range(60)] for c in "pqrstu"]
+    near = lambda c, *at: " ".join("changed" if k in at else w for k, w in enumerate(base[c]))
+    rows = [(None, near(0))] * 20 + [(7, near(1)), (None, near(1)), (3, near(1, 9)), (None, near(1, 30))] + [(5, near(2))] * 9 + [(6, near(3)), (6, near(4)), (8, near(4)), (None, near(5, 1)), (None, near(5)), (None, near(5, 50)), (9, "9 only")]
+    return [r[0] for r in rows], [r[1] for r in rows]
+
+
+def test_deduplicated_keeps_one_row_per_component(spark):
+    ids, texts = odd_id_rows()
+    ids, texts = [*ids, None, None, 11, 11, 12], [*texts, None, "", "", "eleven words are not here", ""]
+    df = spark.createDataFrame([(i, t, k) for k, (i, t) in enumerate(zip(ids, texts, strict=True))], "doc_id bigint, text string, _row int")
+    kept = neardup.deduplicated(df)
+    assert kept.columns == df.columns
+    assert sorted(r["_row"] for r in kept.collect()) == sorted(survivors_brute(ids, texts))
+
+
+def test_pipeline_run_against_brute_force(spark, tmp_path):
+    import corpus_pipeline
+
+    ids, texts = odd_id_rows()
+    item = " ".join(f"leak{k}" for k in range(20))
+    ids, texts = [*ids, 20, 21, 22], [*texts, "too short", " ".join(f"z{k}" for k in range(70)) + " " + item, " ".join(f"y{k}" for k in range(70)) + " 4111111111111111"]
+    documents_at = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in zip(ids, texts, strict=True)], DOCS)
+    documents_at.coalesce(1).write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(0, item)], "item_id bigint, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    good = [k for k, t in enumerate(texts) if len(t.split()) >= repetition.Limits().least_words]
+    left = [good[k] for k in survivors_brute([ids[k] for k in good], [texts[k] for k in good])]
+    left = [k for k in left if item not in texts[k]]
+    made = {r["doc_id"]: r["text"] for r in pii.report(spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string"), queries.PSEUDONYM_KEY).collect()}
+    whole = Tokenizer.from_file(queries.byte_tokenizer())
+    want = collections.Counter((ids[k], tuple([*whole.encode(made[k], add_special_tokens=False).ids, 0])) for k in left)
+    got = collections.Counter((r["doc_id"], tuple(np.frombuffer(r["ids"], "<u4").tolist())) for r in corpus_pipeline.run(spark, str(tmp_path)).collect())
+    assert max(len(x) for _, x in want) <= 1024 and got == want
+
+
 # 8 Token files
 
 
