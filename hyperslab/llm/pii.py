@@ -3,7 +3,8 @@
 Numbers and dates that pass the validation of their kind go through a keyed Feistel permutation of all values of
 that format: a card number becomes another valid one, an address another address, a date another date. Equal
 values become equal pseudonyms in every document, whatever their separators, and different ones different ones.
-Numbers that fail validation are no personal data and stay.
+Numbers that fail validation are no personal data and stay. Dates are days of the years 1 to 9999; with slashes they
+are read day first, then month first, and written back in the order that holds.
 
 Cases: a null text stays null; an empty one stays empty; a null or repeated id is kept; overlapping candidates
 go to the leftmost, then to the kind listed first; a text of any length is read whole; an empty table gives an
@@ -127,22 +128,54 @@ def _address(key: str, x: Column) -> Column:
     return _with(parts, lambda p: F.when(F.forall(p, lambda o: o <= 255), made(p)).otherwise(x))
 
 
-#: Days that dates are permuted among: 256 x 256 from this one on. Fixed values.
-_FIRST_DAY, _SIDE = "1900-01-01", 256
+#: Dates are permuted among all days of the years 1 to 9999: those up to the 12th of their month among themselves, and
+#: those after it among themselves. So a date that reads month first only, day first never, stays one, and its pseudonym
+#: is no other date's. The sides' products are 9999 * 12 * 12 and 9999 * 12 * 19 places. Fixed values.
+_EARLY, _LATE, _MONTHS = (1188, 1212), (1254, 1818), 9999 * 12
+#: Places after the 12th that are no days, such as 30 February: a walk meets so many at most. Fixed value.
+_NO_DAYS = _LATE[0] * _LATE[1] - (3_652_059 - _EARLY[0] * _EARLY[1])
+
+
+def _is_day(year: Column, month: Column, day: Column) -> Column:
+    leap = ((year % 4 == 0) & (year % 100 != 0)) | (year % 400 == 0)
+    last = F.when(month == 2, F.when(leap, 29).otherwise(28)).when(month.isin(4, 6, 9, 11), 30).otherwise(31)
+    return (year >= 1) & month.between(1, 12) & day.between(1, last)
 
 
 def _date(key: str, x: Column) -> Column:
     iso = x.rlike("^[0-9]{4}-")
-    separator = F.substring(x, 3, 1)
-    fields = F.transform(F.split(x, "[-./]"), lambda p: p)
-    day = F.when(iso, F.try_to_date(x, "yyyy-MM-dd")).otherwise(F.try_to_date(F.concat_ws("-", fields[2], fields[1], fields[0]), "yyyy-MM-dd"))
-
-    def made(n: Column) -> Column:
-        lr = permuted(key, F.lit("date"), n, F.lit(_SIDE).cast("long"), F.lit(_SIDE).cast("long"))
-        date = _with(lr, lambda s: F.date_add(F.lit(_FIRST_DAY).cast("date"), (s["l"] * _SIDE + s["r"]).cast("int")))
-        return _with(date, lambda d: F.when(iso, F.date_format(d, "yyyy-MM-dd")).otherwise(F.concat(F.date_format(d, "dd"), separator, F.date_format(d, "MM"), separator, F.date_format(d, "yyyy"))))
 
-    return _with(F.datediff(day, F.lit(_FIRST_DAY).cast("date")).cast("long"), lambda n: F.when(n.between(0, _SIDE * _SIDE - 1), made(n)).otherwise(x))
+    def walk(kind: str, sides: tuple[int, int], place: Column) -> Column:
+        low, high = (F.lit(n).cast("long") for n in sides)
+        return _with(permuted(key, F.lit(kind), place, low, high), lambda s: s["l"] * high + s["r"])
+
+    def late(place: Column) -> Column:
+        """Walks on until the place is a day again: a few steps nearly always, all that there can be if need be."""
+        inside = lambda v: _is_day(F.floor(F.floor(v / 19) / 12) + 1, F.floor(v / 19) % 12 + 1, v % 19 + 13)
+        step = lambda v: walk("date/late", _LATE, v)
+        on = lambda v, most: F.when(inside(v), v).otherwise(F.aggregate(F.sequence(F.lit(1), F.lit(most)), v, lambda acc, _: F.when(inside(acc), acc).otherwise(step(acc))))
+        return _with(_with(step(place), lambda v: on(v, 6)), lambda v: on(v, _NO_DAYS))
+
+    def made(f: Column) -> Column:
+        year, month, day = f["year"], f["month"], f["day"]
+        of_month = (year - 1) * 12 + month - 1
+        early = _with(walk("date/early", _EARLY, of_month * 12 + day - 1), lambda v: F.struct(F.floor(v / 12).alias("m"), (v % 12 + 1).alias("d")))
+        later = _with(late(of_month * 19 + day - 13), lambda v: F.struct(F.floor(v / 19).alias("m"), (v % 19 + 13).alias("d")))
+
+        def spelt(s: Column) -> Column:
+            y, m, d = F.lpad((F.floor(s["m"] / 12) + 1).cast("string"), 4, "0"), F.lpad((s["m"] % 12 + 1).cast("string"), 2, "0"), F.lpad(s["d"].cast("string"), 2, "0")
+            return _refilled(x, F.when(iso, F.concat(y, m, d)).when(f["month_first"], F.concat(m, d, y)).otherwise(F.concat(d, m, y)))
+
+        return F.when(day <= 12, _with(early, spelt)).otherwise(_with(later, spelt))
+
+    def read(p: Column) -> Column:
+        """The date by ISO order, or day first, or, with slashes and if there is no such day, month first."""
+        n = [p[k].cast("long") for k in range(3)]
+        as_ = lambda y, m, d, first=False: F.struct(n[y].alias("year"), n[m].alias("month"), n[d].alias("day"), F.lit(first).alias("month_first"))
+        orders = F.when(iso, as_(0, 1, 2)).when(_is_day(n[2], n[1], n[0]) | ~x.rlike("/.*/"), as_(2, 1, 0)).otherwise(as_(2, 0, 1, True))
+        return _with(orders, lambda f: F.when(_is_day(f["year"], f["month"], f["day"]), made(f)).otherwise(x))
+
+    return _with(F.split(x, "[-./]"), read)
 
 
 def _iban(key: str, x: Column) -> Column:

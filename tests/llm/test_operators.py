@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import base64
 import collections
+import datetime
 import hashlib
 import re
 import zlib
@@ -182,6 +183,25 @@ def test_pseudonyms_keep_format_and_links(spark):
     assert pii.report(documents(spark, []), "k").count() == 0
 
 
+def test_dates_of_all_years_and_orders(spark):
+    dates = ["1898-04-12", "2099-12-31", "0001-01-01", "9999-12-31", "12/31/2004", "31/12/2004", "31.12.2004", "2004-12-31", "02/29/2000", "29/02/2000", "03/04/2004", "1600-02-29"]
+    bad = ["02/29/2001", "13/32/2004", "12.31.2004", "0000-01-01", "00/10/2004", "1900-02-29", "31/04/0000"]
+    got = {r["doc_id"]: r["text"] for r in pii.report(documents(spark, dates + bad), "k").collect()}
+    out = dict(zip(dates, (got[k] for k in range(len(dates))), strict=True))
+    assert [got[len(dates) + k] for k in range(len(bad))] == bad
+    assert all(made != x and re.sub("[0-9]", "0", made) == re.sub("[0-9]", "0", x) for x, made in out.items())
+    fields = lambda x, order: tuple(int(re.split("[-./]", x)[k]) for k in order)
+    same = {fields(out["12/31/2004"], (2, 0, 1)), fields(out["31/12/2004"], (2, 1, 0)), fields(out["31.12.2004"], (2, 1, 0)), fields(out["2004-12-31"], (0, 1, 2))}
+    assert len(same) == 1 and fields(out["02/29/2000"], (2, 0, 1)) == fields(out["29/02/2000"], (2, 1, 0))
+    datetime.date(*same.pop())
+
+
+def test_dates_are_permuted_one_to_one(spark):
+    days = [datetime.date(1, 1, 1) + datetime.timedelta(int(k)) for k in np.random.default_rng(6).choice(3_652_059, 4000, replace=False)]
+    rows = [r["text"] for r in pii.report(documents(spark, [d.isoformat() for d in days]).repartition(8), "k").collect()]
+    assert len({datetime.date.fromisoformat(x) for x in rows}) == len(days)
+
+
 def test_feistel_is_a_permutation(spark):
     from pyspark.sql import functions as F
 
