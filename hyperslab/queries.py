@@ -198,6 +198,44 @@ def _templates() -> dict[str, Entry]:
     return out
 
 
+def _all_templates() -> dict[str, Entry]:
+    """The mix, the advisor's choices and the profile with the complete-match template t8 among the others."""
+    s, slack = WIDE19.space, {"discount": 1e-9, "tax": 1e-9}
+    near = " AND ".join(f"b.{d} BETWEEN a.{d} - ({workload.HALF.get(d, 0)} + {slack.get(d, 0)})::DOUBLE AND a.{d} + ({workload.HALF.get(d, 0)} + {slack.get(d, 0)})::DOUBLE" for d in s.dims)
+
+    def parts_sql(queries: list[tuple[int, str, BoxQuery]], narrow: list[tuple[int, int]], count: int) -> str:
+        """t; q: query_id, template, n_dims; h: hits. narrow: query ids of t8 and their numbers among count boxes."""
+        values = ", ".join(f"({k}, {place})" for k, place in narrow)
+        return f"""WITH t AS ({WIDE19.sql}), f AS (SELECT * FROM {_query_values(queries, s)}), r AS (SELECT *, row_number() OVER (ORDER BY {", ".join(s.ids)}) AS row_id, count(*) OVER () AS n FROM t),
+c AS (SELECT v.query_id, r.* FROM (VALUES {values}) AS v(query_id, place) JOIN r ON r.row_id = (v.place * r.n) // {count} + 1),
+q AS (SELECT query_id, template, n_dims FROM f UNION ALL SELECT query_id, 't8', {s.m} FROM c),
+h AS (SELECT query_id, count(*) AS n_hits FROM f JOIN t ON {_meets_sql(s)} GROUP BY 1 UNION ALL SELECT a.query_id, count(*) AS n_hits FROM c AS a JOIN t AS b ON {near} GROUP BY 1)"""
+
+    def mix_sql(count: int) -> str:
+        names = workload.drawn(count, dict.fromkeys(workload.ALL, 1))
+        return parts_sql([(k, t, workload.template(t, k)) for k, t in names if t != "t8"], [(k, k) for k, t in names if t == "t8"], count)
+
+    def choices(spark: SparkSession, sf_dir: str) -> DataFrame:
+        df = WIDE19.df(spark, sf_dir)
+        return _choices(spark, sf_dir, workload.mixed_boxes(df, s, 24))
+
+    names, each = workload.ALL[:-1], 10
+    many = [(1_000 * i + k, t, workload.template(t, k)) for i, t in enumerate(names) for k in range(each)]
+
+    def profile(spark: SparkSession, sf_dir: str) -> DataFrame:
+        df = WIDE19.df(spark, sf_dir)
+        narrow = workload.narrow_boxes(df, s, each).withColumn("query_id", F.col("query_id") + 1_000 * len(names))
+        boxes = query_batch(spark, many, s).unionByName(narrow)
+        found = workload.workload_profile(_hits(spark, sf_dir, WIDE19, boxes), boxes, df.agg(F.count("*").alias("n")))
+        return found.select("template", "n_queries", *(F.round(c, 6).alias(c) for c in ("mean_selectivity", "sd_selectivity", "mean_dims", "sd_dims")))
+
+    return {
+        "mixed_all_counts": Entry(lambda spark, d: _hits(spark, d, WIDE19, workload.mixed_boxes(WIDE19.df(spark, d), s, 40)), f"{mix_sql(40)} SELECT query_id, n_hits FROM h"),
+        "advisor_choice_all": Entry(choices, f"{mix_sql(24)}, n AS (SELECT count(*) AS n FROM t) SELECT q.query_id, CASE WHEN n * 1000 <= 100000 OR coalesce(n_hits, 0) / n > 0.01 THEN CASE WHEN n_dims <= 9.5 THEN 'column_scan' ELSE 'row_scan' END ELSE 'kd_tree' END AS path FROM q LEFT JOIN h USING (query_id) CROSS JOIN n"),
+        "template_profile_all": Entry(profile, f"{parts_sql(many, [(1_000 * len(names) + k, k) for k in range(each)], each)}, e AS (SELECT template, n_dims::DOUBLE AS dims, 100.0::DOUBLE * coalesce(n_hits, 0) / (SELECT count(*) FROM t) AS s FROM q LEFT JOIN h USING (query_id)) SELECT template, count(*) AS n_queries, round(avg(s), 6) AS mean_selectivity, round(stddev_pop(s), 6) AS sd_selectivity, round(avg(dims), 6) AS mean_dims, round(stddev_pop(dims), 6) AS sd_dims FROM e GROUP BY 1"),
+    }
+
+
 def _motivating() -> dict[str, Entry]:
     def olap(spark: SparkSession, sf_dir: str) -> DataFrame:
         lines, parts = tables.read(spark, sf_dir, "lineitem"), tables.read(spark, sf_dir, "part")
@@ -319,16 +357,19 @@ def _measures() -> dict[str, Entry]:
     }
 
 
+def _choices(spark: SparkSession, sf_dir: str, boxes: DataFrame) -> DataFrame:
+    n = WIDE19.df(spark, sf_dir).agg(F.count("*").alias("n"))
+    q = F.size(F.filter(F.arrays_zip("lo", "hi"), lambda b: b["lo"].isNotNull() | b["hi"].isNotNull()))
+    rows = boxes.withColumn("q", q).join(_hits(spark, sf_dir, WIDE19, boxes), "query_id", "left").crossJoin(F.broadcast(n))
+    scale = F.col("n") * 1_000  # as if the table were a thousand times larger, past the rule for small tables
+    return rows.select("query_id", advisor.choice_column(F.coalesce("n_hits", F.lit(0)) / F.col("n"), scale, 19, F.col("q")).alias("path"))
+
+
 def _advice() -> dict[str, Entry]:
     mix = workload.mixed(21)
 
     def choices(spark: SparkSession, sf_dir: str) -> DataFrame:
-        boxes, df = query_batch(spark, mix, WIDE19.space), WIDE19.df(spark, sf_dir)
-        n = df.agg(F.count("*").alias("n"))
-        q = F.size(F.filter(F.arrays_zip("lo", "hi"), lambda b: b["lo"].isNotNull() | b["hi"].isNotNull()))
-        rows = boxes.withColumn("q", q).join(_hits(spark, sf_dir, WIDE19, boxes), "query_id", "left").crossJoin(F.broadcast(n))
-        scale = F.col("n") * 1_000  # as if the table were a thousand times larger, past the rule for small tables
-        return rows.select("query_id", advisor.choice_column(F.coalesce("n_hits", F.lit(0)) / F.col("n"), scale, 19, F.col("q")).alias("path"))
+        return _choices(spark, sf_dir, query_batch(spark, mix, WIDE19.space))
 
     def rule(spark: SparkSession, _: str) -> DataFrame:
         return spark.createDataFrame([(float(r), advisor.io_break_even(r)) for r in (2, 4, 5, 8, 10)], "ratio double, share double")
@@ -431,11 +472,11 @@ def _streams() -> dict[str, Entry]:
     }
 
 
-ENTRIES: dict[str, Entry] = {**_scans(), **_forests(), **_layouts(), **_templates(), **_motivating(), **_pairs(), **_measures(), **_advice(), **_batches(), **_relational(), **_streams()}
+ENTRIES: dict[str, Entry] = {**_scans(), **_forests(), **_layouts(), **_templates(), **_all_templates(), **_motivating(), **_pairs(), **_measures(), **_advice(), **_batches(), **_relational(), **_streams()}
 QUERIES: dict[str, Query] = {name: e.run for name, e in ENTRIES.items()}
 ORACLES: dict[str, str] = {name: e.sql for name, e in ENTRIES.items() if e.sql is not None}
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The mixed workload over the 19-dimensional table: hits per query."""
-    return ENTRIES["mixed_counts"].run(spark, sf_dir)
+    """The mixed workload of all eight templates over the 19-dimensional table: hits per query."""
+    return ENTRIES["mixed_all_counts"].run(spark, sf_dir)

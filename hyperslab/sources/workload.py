@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.encode import with_row_id
-from ..model import BoxQuery, FeatureSpace, Interval
+from ..model import BoxQuery, FeatureSpace, Interval, query_batch
 
 #: Which rows make pair k, as multiplier and offset modulo the number of rows.
 PAIR_A, PAIR_B = (7_919, 13), (104_729, 71)
@@ -80,11 +80,29 @@ def narrow_boxes(df: DataFrame, space: FeatureSpace, count: int) -> DataFrame:
     return chosen.join(rows, "row_id").select("query_id", F.lit("t8").alias("template"), bounds[0].alias("lo"), bounds[1].alias("hi"))
 
 
+def drawn(count: int, weights: dict[str, int], seed: int = 0) -> list[tuple[int, str]]:
+    """Query k and its template, by an arithmetic hash over the weights."""
+    pool = [t for t, w in weights.items() for _ in range(w)]
+    return [(k, pool[((k + seed) * 7_919 + 31) % 104_729 % len(pool)]) for k in range(count)]
+
+
 def mixed(count: int, weights: dict[str, int] | None = None, seed: int = 0) -> list[tuple[int, str, BoxQuery]]:
-    """Templates in a random order: query k draws by an arithmetic hash over the weights."""
+    """Templates of fixed bounds, t1 .. t7, in a random order; `mixed_boxes` has t8 too."""
     weights = weights or dict.fromkeys(("t1", "t2", "t3", "t4", "t5", "t6", "t7"), 1)
-    pool = [t for t, w in weights.items() for _ in range(w)]
-    return [(k, t := pool[((k + seed) * 7_919 + 31) % 104_729 % len(pool)], template(t, k)) for k in range(count)]
+    return [(k, t, template(t, k)) for k, t in drawn(count, weights, seed)]
+
+
+ALL = ("t1", "t2", "t3", "t4", "t5", "t6", "t7", "t8")
+
+
+def mixed_boxes(df: DataFrame, space: FeatureSpace, count: int, weights: dict[str, int] | None = None, seed: int = 0) -> DataFrame:
+    """Query rows of all eight templates in a random order; query k of t8 is the narrow box k of count over df."""
+    names = drawn(count, weights or dict.fromkeys(ALL, 1), seed)
+    fixed = query_batch(df.sparkSession, [(k, t, template(t, k)) for k, t in names if t != "t8"], space)
+    narrow = [(k,) for k, t in names if t == "t8"]
+    if not narrow:
+        return fixed
+    return fixed.unionByName(narrow_boxes(df, space, count).join(F.broadcast(df.sparkSession.createDataFrame(narrow, "query_id bigint")), "query_id", "left_semi"))
 
 
 def workload_profile(hits: DataFrame, queries: DataFrame, n: DataFrame) -> DataFrame:
@@ -97,4 +115,4 @@ def workload_profile(hits: DataFrame, queries: DataFrame, n: DataFrame) -> DataF
     return each.groupBy("template").agg(F.count("*").alias("n_queries"), F.avg("s").alias("mean_selectivity"), F.stddev_pop("s").alias("sd_selectivity"), F.avg("dims").alias("mean_dims"), F.stddev_pop("dims").alias("sd_dims"))
 
 
-__all__ = ["HALF", "REPORTED", "mixed", "narrow_boxes", "pair_boxes", "pair_boxes_sql", "target_boxes", "template", "workload_profile"]
+__all__ = ["ALL", "HALF", "REPORTED", "drawn", "mixed", "mixed_boxes", "narrow_boxes", "pair_boxes", "pair_boxes_sql", "target_boxes", "template", "workload_profile"]

@@ -284,3 +284,29 @@ def test_sql_functions(spark):
     row = spark.sql("SELECT box_match(array(1D, 2D), array(0D, NULL), array(1D, NULL)) AS a, box_match(array(1D, 'NaN'), array(0D, 0D), array(1D, NULL)) AS b, box_match(array(1D, NULL), array(0D, 0D), array(1D, 3D)) AS c").first()
     assert (row["a"], row["b"], row["c"]) == (True, False, False)
     assert spark.sql("SELECT * FROM pair_picks(100, 3, 0)").count() == 3
+
+
+@pytest.mark.parametrize("name", ["mixed_all_counts", "advisor_choice_all", "template_profile_all"])
+def test_the_mix_of_all_templates_agrees_with_its_sql(spark, name):
+    import duckdb
+
+    from hyperslab import queries
+
+    sf_dir = "/root/testdata/sf0.001"
+    with duckdb.connect() as db:
+        for table in ("lineitem", "orders", "customer", "supplier", "part", "nation", "region"):
+            db.execute(f"CREATE VIEW {table} AS SELECT * FROM '{sf_dir}/{table}.parquet'")
+        want = sorted(db.execute(queries.ORACLES[name]).fetchall())
+    df = queries.QUERIES[name](spark, sf_dir)
+    got = sorted(tuple(r) for r in df.collect())
+    assert len(got) == len(want) and all(x == (pytest.approx(y, rel=1e-9) if isinstance(y, float) else y) for a, b in zip(got, want, strict=True) for x, y in zip(a, b, strict=True))
+    if name == "template_profile_all":
+        assert [r[4:] for r in got if r[0] == "t8"] == [(19.0, 0.0)]
+
+
+def test_t8_is_drawn_with_the_others(spark):
+    from hyperslab.sources.tables import WIDE19
+
+    rows = workload.mixed_boxes(WIDE19.df(spark, "/root/testdata/sf0.001"), WIDE19.space, 40).collect()
+    assert sorted(r["query_id"] for r in rows) == list(range(40)) and {r["template"] for r in rows} == set(workload.ALL)
+    assert all(None not in r["lo"] + r["hi"] for r in rows if r["template"] == "t8")
