@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..shared import written
+
 
 def epoch_days(c: Column | str) -> Column:
     return F.datediff(F.to_date(c), F.lit("1970-01-01").cast("date")).cast("double")
@@ -20,7 +21,8 @@ def epoch_seconds(c: Column | str) -> Column:
 def dictionary_codes(df: DataFrame, columns: Sequence[str]) -> DataFrame:
     """Adds <column>_code: the rank of the value among the column's distinct ones, from 1; null stays null.
 
-    The dictionary is as large as the column's variety, so the join is left to Spark to choose.
+    The ranks of the distinct values are made in one task: for columns of up to some million different values (names,
+    codes); hash_code needs no dictionary. The join is left to Spark to choose.
     """
     for c in columns:
         ranked = df.select(F.col(c).alias("_value")).where("_value is not null").distinct().select("_value", F.dense_rank().over(Window.orderBy("_value")).cast("double").alias(f"{c}_code"))
@@ -39,24 +41,24 @@ def hash_collisions(df: DataFrame, column: str, values: int = 1 << 24) -> DataFr
     return d.agg(F.count("*").alias("n_values"), F.countDistinct(hash_code(F.col("v"), values)).alias("n_codes"))
 
 
-#: Rows up to which one task numbers them all.
-FEW = 1_000_000
-
-
-def with_row_id(df: DataFrame, key: Sequence[str], folder: str | None = None) -> DataFrame:
-    """Adds row_id, 1 to n in the order of key, which must be unique.
+def with_row_id(df: DataFrame, key: Sequence[str], *, name: str = "row_id") -> DataFrame:
+    """Adds name, 1 to n in the order of key, nulls first; rows of an equal key come in any order. A written table.
 
-    Beyond FEW rows they are dealt by ranges of the key and written to folder with their partition, so that range
-    bounds are drawn once; then they are numbered within partitions, and the sums of the partitions before come by
-    a join that has a row per partition. folder: where the cluster shares files; by default spark.checkpoint.dir.
+    Rows are dealt by ranges of the key, sorted within and written with their partition and their place in it; the
+    sums of the partitions before come by a join that has a row per partition. One shuffle, no task sees all rows.
     """
-    if df.count() <= FEW:
-        return df.withColumn("row_id", F.row_number().over(Window.orderBy(*key)).cast("long"))
-    spark = df.sparkSession
-    folder = folder or f"{spark.sparkContext.getConf().get('spark.checkpoint.dir')}/row-ids-{uuid.uuid4().hex}"
-    df.repartitionByRange(*[F.col(c) for c in key]).withColumn("_part", F.spark_partition_id()).write.parquet(folder)
-    dealt = spark.read.parquet(folder)
-    local = dealt.withColumn("_n", F.row_number().over(Window.partitionBy("_part").orderBy(*key)))
-    sums = dealt.groupBy("_part").agg(F.count("*").alias("_size"))
-    before = sums.withColumn("_before", F.coalesce(F.sum("_size").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).drop("_size")
-    return local.join(before, "_part").withColumn("row_id", F.col("_before") + F.col("_n")).drop("_part", "_n", "_before")
+    spark, place, part = df.sparkSession, "_place", "_part"
+    while {place, part} & {c.lower() for c in df.columns}:
+        place, part = f"_{place}", f"_{part}"
+    keys = [F.col(f"`{c}`") for c in key]
+    marked = df.repartitionByRange(*keys).sortWithinPartitions(*keys).withColumn(place, F.monotonically_increasing_id())
+    dealt = written(marked, "row-ids")
+    low = F.lit((1 << 33) - 1)
+    sums = dealt.groupBy(F.shiftright(place, 33).cast("int").alias("part")).agg(F.count("*").alias("n")).orderBy("part").collect()
+    before, total = [], 0
+    for r in sums:  # a row per partition
+        before.append((r["part"], total))
+        total += r["n"]
+    starts = spark.createDataFrame(before, f"`{part}` int, `{name}` long")
+    numbered = dealt.withColumn(part, F.shiftright(place, 33).cast("int")).join(F.broadcast(starts), part)
+    return numbered.withColumn(name, F.col(f"`{name}`") + F.col(place).bitwiseAND(low) + 1).select(*(F.col(f"`{c}`") for c in df.columns), F.col(f"`{name}`"))

@@ -49,6 +49,11 @@ class FeatureSpace:
             raise ValueError(f"columns missing from the feature table: {missing}")
         return df.select(*self.ids, *self.dims)
 
+    def free(self, *names: str) -> tuple[str, ...]:
+        """Those names, or longer ones where an id or a dimension is called so: for helper columns."""
+        taken = {c.lower() for c in (*self.ids, *self.dims)}
+        return tuple("_" * next(k for k in range(len(taken) + 1) if "_" * k + n not in taken) + n for n in names)
+
     @property
     def m(self) -> int:
         return len(self.dims)

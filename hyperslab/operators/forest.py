@@ -1,71 +1,123 @@
 """A forest: one index per partition of rows, all searched, the answers concatenated.
 
 Faithful to the conservative way of running index structures in parallel. Every index spans the whole space, so none
-can be left out; at 100 TB use the layouts instead, which prune before tasks start.
+can be left out; at 100 TB use the layouts instead, which prune before tasks start. Built once and saved, a forest is
+searched from its table: a search reads the stored structures and builds none.
+
+Cases: null and NaN values lie in no bounded interval; equal rows are objects of their own; an empty table makes a
+forest without trees; ids and dimensions may have any name.
 """
 
 from __future__ import annotations
 
 import io
-import pickle
-import struct
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator, Sequence
+from dataclasses import dataclass
+from functools import reduce
+from operator import add
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.encode import with_row_id
 from ..model import BoxQuery, FeatureSpace
-from . import kdtree, rtree
+from . import cells, flat, kdtree, rtree
+from .predicate import box_predicate
+
+Arrays = dict[str, np.ndarray]
+
+
+@dataclass(frozen=True)
+class Kind:
+    """How a partition's objects become plain arrays, and how these are searched."""
+
+    build: Callable[[np.ndarray], Arrays]
+    search: Callable[..., tuple[np.ndarray, dict[str, int]]]
+
 
-KINDS = ("kd", "kd_median", "rstar", "quadratic", "packed")
-TREES = "tree long, part int, n long, blob binary"
+def _kd(variant: str) -> Kind:
+    return Kind(lambda x: kdtree.arrays(kdtree.build(x, variant)), lambda a, lo, hi, k: kdtree.search(kdtree.of_arrays(a), lo, hi, k))
+
+
+def _r(variant: str, accept: bool = False) -> Kind:
+    return Kind(lambda x: rtree.arrays(rtree.build(x, variant)), lambda a, lo, hi, k: rtree.search(a, lo, hi, k=k, accept_contained=accept))
+
+
+#: 'rows' and 'columns' keep the objects only: the scans, searched in the same way as the indexes.
+KINDS = {
+    "kd": _kd("insertion"), "kd_median": _kd("median"), "rstar": _r("rstar"), "rstar_contained": _r("rstar", True), "quadratic": _r("quadratic"), "packed": _r("packed"),
+    "va": Kind(cells.build, cells.search), "rows": Kind(flat.build_rows, flat.search_rows), "columns": Kind(flat.build_columns, flat.search_columns),
+}
+TREES = "tree long, part int, n long, seconds double, ids binary, arrays binary"
+_TREES = pa.schema([("tree", pa.int64()), ("part", pa.int32()), ("n", pa.int64()), ("seconds", pa.float64()), ("ids", pa.binary()), ("arrays", pa.binary())])
 #: Rows of one tree at most: what a worker builds in memory. More rows of a partition make further trees.
 MOST_ROWS = 1_000_000
 
 
-def _built(kind: str, x: np.ndarray):
-    if kind.startswith("kd"):
-        return kdtree.build(x, "median" if kind == "kd_median" else "insertion")
-    return rtree.build(x, kind)
+def _stored(arrays: Arrays) -> bytes:
+    out = io.BytesIO()
+    np.savez(out, **arrays)
+    return out.getvalue()
 
 
-def _searched(kind: str, tree, lo: np.ndarray, hi: np.ndarray, k: int | None):
-    return kdtree.search(tree, lo, hi, k) if kind.startswith("kd") else rtree.search(tree, lo, hi, k=k)
+def _opened(data: bytes) -> Arrays:
+    with np.load(io.BytesIO(data), allow_pickle=False) as held:
+        return {k: held[k] for k in held.files}
 
 
 class Forest:
-    """trees: a row per index with its rows and nodes as a blob; ids: the key columns, kept in the blob as Arrow."""
+    """trees: a row per index, with its structure and objects as arrays and their ids as an Arrow stream."""
 
     def __init__(self, trees: DataFrame, space: FeatureSpace, kind: str, id_schema: str, gone: DataFrame | None = None):
         self.trees, self.space, self.kind, self.id_schema, self.gone = trees, space, kind, id_schema, gone
 
     @staticmethod
-    def dealt(df: DataFrame, space: FeatureSpace, p: int, assign: str, seed: int) -> DataFrame:
-        """Rows with part: 'random', 'round_robin' over the key order, 'arithmetic' on the first id, or 'balanced' ranges."""
-        rows = space.features(df)
+    def dealt(df: DataFrame, space: FeatureSpace, p: int, assign: str = "hash", seed: int = 1, workload: Sequence[BoxQuery] = ()) -> DataFrame:
+        """Ids and dimensions of df with their partition, a column named space.free("part").
+
+        assign: 'hash' of the ids; 'random'; 'round_robin' over the key order; 'arithmetic' on the first id; 'balanced':
+        rows in the order of how many queries of workload they meet are dealt in turn, so each partition has an equal
+        share of every degree of heat and the queries' answers spread evenly.
+        """
+        rows, part = space.features(df), space.free("part")[0]
+        ids = [F.col(f"`{c}`") for c in space.ids]
         if assign == "random":
-            return rows.withColumn("part", F.floor(F.rand(seed) * p).cast("int"))
+            return rows.withColumn(part, F.floor(F.rand(seed) * p).cast("int"))
         if assign == "arithmetic":
-            return rows.withColumn("part", F.pmod(F.col(space.ids[0]) * 7_919 + 31, F.lit(p)).cast("int"))
+            return rows.withColumn(part, F.pmod(ids[0] * 7_919 + 31, F.lit(p)).cast("int"))
         if assign == "hash":
-            return rows.withColumn("part", F.pmod(F.xxhash64(*space.ids), F.lit(p)).cast("int"))
+            return rows.withColumn(part, F.pmod(F.xxhash64(*ids), F.lit(p)).cast("int"))
+        number = space.free("number")[0]
+        if assign == "round_robin":
+            return with_row_id(rows, space.ids, name=number).withColumn(part, F.pmod(F.col(number) - 1, F.lit(p)).cast("int")).drop(number)
         if assign == "balanced":
-            return rows.repartitionByRange(p, *space.dims[:1]).withColumn("part", F.spark_partition_id())
+            heat, order = space.free("heat", "order")
+            met = reduce(add, [F.coalesce(box_predicate(q, space), F.lit(False)).cast("int") for q in workload], F.lit(0))
+            marked = rows.withColumn(heat, met).withColumn(order, F.xxhash64(*ids, F.lit(seed)))
+            return with_row_id(marked, (heat, order, *space.ids), name=number).withColumn(part, F.pmod(F.col(number) - 1, F.lit(p)).cast("int")).drop(number, heat, order)
         raise ValueError(assign)
 
     @classmethod
-    def build(cls, df: DataFrame, space: FeatureSpace, kind: str = "kd", *, p: int = 8, assign: str = "hash", order: str = "random", seed: int = 1) -> Forest:
-        """order: in which rows are inserted, 'random' (a hash of the ids) or 'sorted' (by the dimensions)."""
+    def build(cls, df: DataFrame, space: FeatureSpace, kind: str = "kd", *, p: int = 8, assign: str = "hash", order: str = "random", seed: int = 1, workload: Sequence[BoxQuery] = ()) -> Forest:
+        """order: in which rows are inserted, 'random' (a hash of the ids and the seed) or 'sorted' (by the dimensions).
+        Every partition is built by a task of its own."""
         if kind not in KINDS:
             raise ValueError(kind)
-        rows = cls.dealt(df, space, p, assign, seed)
-        keys = [F.xxhash64(*space.ids, F.lit(seed))] if order == "random" else [F.col(d) for d in space.dims]
-        ids, dims = list(space.ids), list(space.dims)
-        dealt = rows.select("part", *ids, *(F.col(d).cast("double").alias(f"_{k}") for k, d in enumerate(dims))).repartition(p, "part").sortWithinPartitions("part", *([keys[0]] if order == "random" else [f"_{k}" for k in range(len(dims))]), *ids)
+        part = space.free("part")[0]
+        rows = cls.dealt(df, space, p, assign, seed, workload)
+        ids = [F.col(f"`{c}`") for c in space.ids]
+        values = [F.col(f"`{d}`").cast("double") for d in space.dims]
+        keys = [F.xxhash64(*ids, F.lit(seed))] if order == "random" else values
+        inner = [f"_v{k}" for k in range(space.m)]
+        named = rows.select(F.col(part).alias("_part"), *(c.alias(f"_k{k}") for k, c in enumerate(keys)), *(c.alias(f"_i{k}") for k, c in enumerate(ids)), *(v.alias(c) for v, c in zip(values, inner, strict=True)))
+        dealt = named.repartitionById(p, F.col("_part")).sortWithinPartitions("_part", *(f"_k{k}" for k in range(len(keys))), *(f"_i{k}" for k in range(len(ids)))).select("_part", *(f"_i{k}" for k in range(len(ids))), *inner)
+        names, first, made = list(space.ids), 1 + len(ids), KINDS[kind].build
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            import time
+
             held: list[pa.RecordBatch] = []
             number = 0
 
@@ -73,29 +125,30 @@ class Forest:
                 nonlocal held, number
                 table = pa.Table.from_batches(held)
                 held = []
-                x = np.stack([table.column(1 + len(ids) + k).to_numpy() for k in range(len(dims))], axis=1)
+                x = np.stack([table.column(first + k).to_numpy() for k in range(len(inner))], axis=1)
                 sink = io.BytesIO()
-                keys_only = table.select(list(range(1, 1 + len(ids)))).combine_chunks()
+                keys_only = table.select(list(range(1, first))).rename_columns(names).combine_chunks()
                 with pa.ipc.new_stream(sink, keys_only.schema) as out:
                     out.write_table(keys_only)
-                data = sink.getvalue()
                 number += 1
-                blob = struct.pack("<Q", len(data)) + data + pickle.dumps(_built(kind, x), protocol=5)
-                return pa.RecordBatch.from_pydict({"tree": pa.array([part * 1_000_000 + number], pa.int64()), "part": pa.array([part], pa.int32()), "n": pa.array([len(x)], pa.int64()), "blob": pa.array([blob], pa.binary())})
+                began = time.perf_counter()
+                arrays = made(x)
+                took = time.perf_counter() - began
+                return pa.RecordBatch.from_pylist([{"tree": part * 1_000_000 + number, "part": part, "n": len(x), "seconds": took, "ids": sink.getvalue(), "arrays": _stored(arrays)}], schema=_TREES)
 
             current, size = None, 0
             for batch in batches:
                 parts = batch.column(0).to_numpy()
                 edges = [0, *(np.flatnonzero(parts[1:] != parts[:-1]) + 1).tolist(), len(parts)]
                 for a, b in zip(edges, edges[1:], strict=False):
-                    if a == b:
-                        continue
-                    if held and (parts[a] != current or size >= MOST_ROWS):
-                        yield tree(current)
-                        size = 0
-                    current = int(parts[a])
-                    held.append(batch.slice(a, b - a))
-                    size += b - a
+                    while a < b:
+                        if held and (parts[a] != current or size >= MOST_ROWS):
+                            yield tree(current)
+                            size = 0
+                        current = int(parts[a])
+                        n = min(b - a, MOST_ROWS - size)
+                        held.append(batch.slice(a, n))
+                        a, size = a + n, size + n
             if held:
                 yield tree(current)
 
@@ -103,8 +156,8 @@ class Forest:
         return cls(dealt.mapInArrow(run, TREES), space, kind, schema)
 
     def save(self, path: str) -> Forest:
-        """The forest read from Parquet at path: built once, searched often."""
-        self.trees.write.mode("overwrite").parquet(path)
+        """The forest read from Parquet at path: built once, searched often. A tree is a row group of its own."""
+        self.trees.write.mode("overwrite").option("parquet.block.size", 1 << 20).parquet(path)
         return Forest(self.trees.sparkSession.read.schema(TREES).parquet(path), self.space, self.kind, self.id_schema, self.gone)
 
     def append(self, df: DataFrame, **how) -> Forest:
@@ -114,60 +167,62 @@ class Forest:
 
     def delete(self, ids: DataFrame) -> Forest:
         """Objects that searches leave out from now on; a rebuild makes that permanent."""
-        gone = ids.select(*self.space.ids)
+        gone = ids.select(*(F.col(f"`{c}`") for c in self.space.ids))
         return Forest(self.trees, self.space, self.kind, self.id_schema, gone if self.gone is None else self.gone.unionByName(gone))
 
-    @staticmethod
-    def _opened(blob: bytes) -> tuple[pa.Table, object]:
-        n = struct.unpack("<Q", blob[:8])[0]
-        return pa.ipc.open_stream(blob[8 : 8 + n]).read_all(), pickle.loads(blob[8 + n :])
+    def _bounds(self, queries: Sequence[tuple[int, str, BoxQuery]]) -> list[tuple[int, np.ndarray, np.ndarray]]:
+        return [(i, *(np.array([np.nan if b is None else b for b in side], float) for side in q.bounds(self.space))) for i, _, q in queries if not q.is_empty]
 
     def search(self, query: BoxQuery, k: int | None = None) -> DataFrame:
-        kind, opened = self.kind, self._opened
-        empty = query.is_empty
-        lo, hi = (np.array([np.nan if b is None else b for b in side]) for side in query.bounds(self.space))
-
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                for blob in batch.column(0).to_pylist() if not empty else []:
-                    keys, tree = opened(blob)
-                    rows, _ = _searched(kind, tree, lo, hi, k)
-                    yield from keys.take(pa.array(rows)).combine_chunks().to_batches()
-
-        found = self.trees.select("blob").mapInArrow(run, self.id_schema)
-        return found if self.gone is None else found.join(self.gone, list(self.space.ids), "left_anti")
+        """The ids of the objects in the box. k: dimensions compared at once."""
+        return self.search_batch([(0, "", query)], k).select(*(F.col(f"`{c}`") for c in self.space.ids))
 
-    def search_batch(self, queries: list[tuple[int, str, BoxQuery]], k: int | None = None) -> DataFrame:
+    def search_batch(self, queries: Sequence[tuple[int, str, BoxQuery]], k: int | None = None) -> DataFrame:
         """(query_id, ids): every tree is opened once for all queries."""
-        kind, opened, bounds = self.kind, self._opened, [(i, *(np.array([np.nan if b is None else b for b in side]) for side in q.bounds(self.space))) for i, _, q in queries if not q.is_empty]
+        search, bounds, name = KINDS[self.kind].search, self._bounds(queries), self.space.free("query_id")[0]
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                for blob in batch.column(0).to_pylist():
-                    keys, tree = opened(blob)
+                for ids, data in zip(batch.column(0), batch.column(1), strict=True):
+                    keys, arrays = pa.ipc.open_stream(ids.as_buffer()).read_all(), _opened(data.as_py())
                     for i, lo, hi in bounds:
-                        rows, _ = _searched(kind, tree, lo, hi, k)
+                        rows, _ = search(arrays, lo, hi, k)
                         if len(rows):
-                            hits = keys.take(pa.array(rows)).combine_chunks()
-                            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(rows), i)), *(c.combine_chunks() for c in hits.columns)], names=["query_id", *hits.column_names])
+                            for hits in keys.take(pa.array(rows)).combine_chunks().to_batches():
+                                yield pa.RecordBatch.from_arrays([pa.array(np.full(hits.num_rows, i)), *hits.columns], names=[name, *hits.schema.names])
 
-        found = self.trees.select("blob").mapInArrow(run, f"query_id long, {self.id_schema}")
-        return found if self.gone is None else found.join(self.gone, list(self.space.ids), "left_anti")
+        found = self.trees.select("ids", "arrays").mapInArrow(run, f"`{name}` long, {self.id_schema}")
+        found = found if self.gone is None else found.join(self.gone, list(self.space.ids), "left_anti")
+        return found.select(F.col(name).alias("query_id"), *(F.col(f"`{c}`") for c in self.space.ids))
 
-    def work(self, query: BoxQuery, k: int | None = None) -> DataFrame:
-        """(metric, value) summed over the trees: nodes visited and held, objects tested, comparisons, hits."""
-        kind, opened = self.kind, self._opened
-        lo, hi = (np.array([np.nan if b is None else b for b in side]) for side in query.bounds(self.space))
+    def work_batch(self, queries: Sequence[tuple[int, str, BoxQuery]], k: int | None = None) -> DataFrame:
+        """(query_id, hits, trees, nodes_visited, nodes, compared, objects_tested) summed over the trees; no ids are read
+        and tombstones are not looked up, so hits counts deleted objects too."""
+        search, bounds = KINDS[self.kind].search, self._bounds(queries)
+        names = ("hits", "trees", "nodes_visited", "nodes", "compared", "objects_tested")
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                for blob in batch.column(0).to_pylist():
-                    rows, counters = _searched(kind, opened(blob)[1], lo, hi, k)
-                    both = counters | {"hits": len(rows), "trees": 1}
-                    yield pa.RecordBatch.from_pydict({"metric": list(both), "value": pa.array(list(both.values()), pa.int64())})
+                for data in batch.column(0):
+                    arrays, out = _opened(data.as_py()), []
+                    for i, lo, hi in bounds:
+                        rows, counters = search(arrays, lo, hi, k)
+                        out.append({"query_id": i, **{c: int(v) for c, v in (counters | {"hits": len(rows), "trees": 1}).items() if c in names}})
+                    if out:
+                        yield pa.RecordBatch.from_pylist(out, schema=pa.schema([("query_id", pa.int64()), *((c, pa.int64()) for c in names)]))
+
+        schema = ", ".join(f"{c} long" for c in ("query_id", *names))
+        return self.trees.select("arrays").mapInArrow(run, schema).groupBy("query_id").agg(*(F.sum(c).alias(c) for c in names))
+
+    def work(self, query: BoxQuery, k: int | None = None) -> DataFrame:
+        """(metric, value) of one query: the sums of `work_batch`."""
+        row = self.work_batch([(0, "", query)], k)
+        return row.select(F.explode(F.array(*(F.struct(F.lit(c).alias("metric"), F.col(c).alias("value")) for c in row.columns[1:]))).alias("s")).select("s.*")
 
-        return self.trees.select("blob").mapInArrow(run, "metric string, value long").groupBy("metric").agg(F.sum("value").alias("value"))
+    def build_cost(self) -> DataFrame:
+        """trees, objects, seconds of all builds together and of the longest one."""
+        return self.trees.agg(F.count("*").alias("trees"), F.sum("n").alias("n"), F.sum("seconds").alias("seconds"), F.max("seconds").alias("longest"))
 
     def space_bytes(self) -> DataFrame:
-        """index_bytes and data_bytes (32-bit values, as the paper counts) of all trees."""
-        return self.trees.agg(F.sum(F.length("blob")).alias("index_bytes"), (F.sum("n") * 4 * self.space.m).alias("data_bytes"))
+        """index_bytes (structure and objects) and data_bytes (32-bit values, as the reference counts) of all trees."""
+        return self.trees.agg(F.sum(F.length("arrays")).alias("index_bytes"), (F.sum("n") * 4 * self.space.m).alias("data_bytes"))

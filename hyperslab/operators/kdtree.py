@@ -6,6 +6,8 @@ from dataclasses import dataclass
 
 import numpy as np
 
+from .lanes import passes
+
 
 @dataclass
 class KdTree:
@@ -65,33 +67,18 @@ def build(x: np.ndarray, variant: str = "insertion", max_depth: int | None = Non
     return KdTree(x, np.array(row, np.int64), np.array(left, np.int64), np.array(right, np.int64), np.array(depth, np.int64), bucket)
 
 
-def inside(x: np.ndarray, lo: np.ndarray, hi: np.ndarray, k: int | None = None) -> tuple[np.ndarray, int]:
-    """(which rows lie in the box, comparisons). NaN bounds are absent. k: dimensions compared at once."""
-    free = np.isnan(lo) & np.isnan(hi)
-    dims = np.flatnonzero(~free)
-    ok, compared = np.ones(len(x), bool), 0
-    step = k if k and len(dims) >= k else 1
-    for a in range(0, len(dims), step):
-        some = dims[a : a + step]
-        live = np.flatnonzero(ok)
-        compared += len(live) * len(some)
-        v = x[np.ix_(live, some)]
-        good = ((v >= lo[some]) | np.isnan(lo[some])) & ((v <= hi[some]) | np.isnan(hi[some])) & ~np.isnan(v)
-        ok[live] = good.all(axis=1)
-    return ok, compared
-
-
 def search(tree: KdTree, lo: np.ndarray, hi: np.ndarray, k: int | None = None) -> tuple[np.ndarray, dict[str, int]]:
     """(rows in the box, counters). A frontier of nodes per step; an unspecified delimiter opens both sides."""
     m = tree.x.shape[1] if tree.x.ndim == 2 else 1
-    hits, visited, compared = [], 0, 0
+    hits, visited, compared, objects = [], 0, 0, 0
     frontier = np.zeros(min(1, len(tree.row)), np.int64)
     while len(frontier):
         visited += len(frontier)
         rows = tree.row[frontier]
         tested = np.concatenate([rows, *(tree.bucket[f] for f in frontier.tolist() if f in tree.bucket)])
-        ok, c = inside(tree.x[tested], lo, hi, k)
-        compared += c
+        x = tree.x[tested]
+        ok, c = passes(x, x, lo, hi, k)
+        compared, objects = compared + c, objects + len(tested)
         hits.append(tested[ok])
         dim = tree.depth[frontier] % m
         value = tree.x[rows, dim]
@@ -100,4 +87,17 @@ def search(tree: KdTree, lo: np.ndarray, hi: np.ndarray, k: int | None = None) -
         nan = np.isnan(value)  # objects without a value there went right
         nxt = np.concatenate((tree.left[frontier][opens_left | nan], tree.right[frontier][opens_right | nan]))
         frontier = nxt[nxt >= 0]
-    return np.concatenate(hits) if hits else np.zeros(0, np.int64), {"nodes_visited": visited, "nodes": len(tree.row), "compared": compared, "objects_tested": visited}
+    return np.concatenate(hits) if hits else np.zeros(0, np.int64), {"nodes_visited": visited, "nodes": len(tree.row), "compared": compared, "objects_tested": objects}
+
+
+def arrays(tree: KdTree) -> dict[str, np.ndarray]:
+    """The tree as plain arrays; buckets as one list with offsets."""
+    nodes = np.array(sorted(tree.bucket), np.int64)
+    held = [tree.bucket[k] for k in nodes.tolist()]
+    ends = np.cumsum([0, *map(len, held)])
+    return {"x": tree.x, "row": tree.row, "left": tree.left, "right": tree.right, "depth": tree.depth, "bucket_of": nodes, "bucket_at": ends, "bucket": np.concatenate(held) if held else np.zeros(0, np.int64)}
+
+
+def of_arrays(a: dict[str, np.ndarray]) -> KdTree:
+    bucket = {int(k): a["bucket"][a["bucket_at"][i] : a["bucket_at"][i + 1]] for i, k in enumerate(a["bucket_of"])}
+    return KdTree(a["x"], a["row"], a["left"], a["right"], a["depth"], bucket)

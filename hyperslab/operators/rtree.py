@@ -6,6 +6,8 @@ from dataclasses import dataclass, field
 
 import numpy as np
 
+from .lanes import bounded, passes
+
 #: Entries per node, least filling and share of entries that are put in again.
 CAPACITY, LEAST, AGAIN = 96, 0.4, 0.3
 
@@ -124,9 +126,12 @@ class _Inserter:
         before = _volume(node.lo, node.hi)
         growth = _volume(a, b) - before
         if self.star and node.level == 1:
-            some = np.lexsort((before, growth))[:8]  # overlap growth of the nearest few, as usual for large nodes
-            cost = [float((_overlap(a[k], b[k], node.lo, node.hi) - _overlap(node.lo[k], node.hi[k], node.lo, node.hi)).sum() - (_volume(a[k], b[k]) - before[k])) for k in some]
-            return int(some[np.lexsort((before[some], growth[some], np.round(cost, 12)))[0]])
+            holds = np.flatnonzero(((node.lo <= lo) & (node.hi >= hi)).all(axis=1))
+            if len(holds):  # nothing grows, so no overlap does
+                return int(holds[before[holds].argmin()])
+            added = _overlap(a[:, None], b[:, None], node.lo[None], node.hi[None]) - _overlap(node.lo[:, None], node.hi[:, None], node.lo[None], node.hi[None])
+            np.fill_diagonal(added, 0)
+            return int(np.lexsort((before, growth, np.round(added.sum(axis=1), 12)))[0])
         return int(np.lexsort((before, growth))[0])
 
     def _overflow(self, path: list[tuple[Node, int]], node: Node) -> None:
@@ -213,37 +218,58 @@ class _Inserter:
         return np.array(groups[0]), np.array(groups[1])
 
 
-def search(tree: RTree, lo: np.ndarray, hi: np.ndarray, *, accept_contained: bool = False, k: int | None = None) -> tuple[np.ndarray, dict[str, int]]:
-    """(rows that meet the box, counters). NaN bounds are absent; rows with NaN in a bounded dimension never meet."""
-    dims = np.flatnonzero(~(np.isnan(lo) & np.isnan(hi)))
+def arrays(tree: RTree) -> dict[str, np.ndarray]:
+    """The tree as plain arrays, nodes breadth first: level and first entry of each, the entries' boxes and what they hold
+    (a row in a leaf, a node above)."""
+    level, first, lows, highs, held = [], [0], [], [], []
+    queue, at = [tree.root], 1
+    for node in queue:  # grows while it is read
+        level.append(node.level)
+        first.append(first[-1] + len(node.items))
+        lows.append(node.lo)
+        highs.append(node.hi)
+        if node.level:
+            held += range(at, at + len(node.items))
+            at += len(node.items)
+            queue += node.items
+        else:
+            held += node.items
+    return {"level": np.array(level), "first": np.array(first), "lo": np.concatenate(lows), "hi": np.concatenate(highs), "held": np.array(held, np.int64)}
+
+
+def search(tree: RTree | dict[str, np.ndarray], lo: np.ndarray, hi: np.ndarray, *, accept_contained: bool = False, k: int | None = None) -> tuple[np.ndarray, dict[str, int]]:
+    """(rows that meet the box, counters). NaN bounds are absent; rows with NaN in a bounded dimension never meet.
+
+    k: dimensions of a box compared at once, in inner nodes and leaves. accept_contained: a leaf that lies wholly in
+    the box is taken untested.
+    """
+    a = tree if isinstance(tree, dict) else arrays(tree)
+    dims = bounded(lo, hi)
     low, high = np.where(np.isnan(lo), -np.inf, lo)[dims], np.where(np.isnan(hi), np.inf, hi)[dims]
     hits: list[np.ndarray] = []
     nodes = leaves = tested = compared = 0
-    frontier = [tree.root]
-    while frontier:
-        onward = []
-        for node in frontier:
-            nodes += 1
-            a, b = node.lo[:, dims], node.hi[:, dims]
-            if node.level == 0:
-                leaves += 1
-                rows = np.array(node.items, np.int64)
-                if accept_contained and len(rows) and (a >= low).all() and (b <= high).all():
-                    hits.append(rows)
-                    continue
-                tested += len(rows)
-            compared += a.size
-            meets = ((b >= low) & (a <= high)).all(axis=1)
-            if node.level == 0:
-                hits.append(rows[meets])
-            else:
-                onward += [node.items[c] for c in np.flatnonzero(meets)]
-        frontier = onward
-    return np.concatenate(hits) if hits else np.zeros(0, np.int64), {"nodes_visited": nodes, "leaves_visited": leaves, "compared": compared, "objects_tested": tested, "nodes": count(tree.root)}
-
-
-def count(node: Node) -> int:
-    return 1 if node.level == 0 else 1 + sum(map(count, node.items))
+    frontier = np.zeros(1, np.int64)
+    while len(frontier):
+        nodes += len(frontier)
+        sizes = a["first"][frontier + 1] - a["first"][frontier]
+        entry = np.repeat(a["first"][frontier] - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())
+        leaf = a["level"][frontier[0]] == 0  # all nodes of a level are leaves or none is
+        if leaf:
+            leaves += len(frontier)
+            if accept_contained and len(entry):
+                starts = (np.cumsum(sizes) - sizes)[sizes > 0]
+                within = ((a["lo"][entry][:, dims] >= low) & (a["hi"][entry][:, dims] <= high)).all(axis=1)
+                whole = np.repeat(np.logical_and.reduceat(within, starts), sizes[sizes > 0])
+                hits.append(a["held"][entry[whole]])
+                entry = entry[~whole]
+            tested += len(entry)
+        ok, c = passes(a["lo"][entry], a["hi"][entry], lo, hi, k)
+        compared += c
+        if leaf:
+            hits.append(a["held"][entry[ok]])
+            break
+        frontier = a["held"][entry[ok]]
+    return np.concatenate(hits) if hits else np.zeros(0, np.int64), {"nodes_visited": nodes, "leaves_visited": leaves, "compared": compared, "objects_tested": tested, "nodes": len(a["level"])}
 
 
 def leaves_of(node: Node) -> list[Node]:

@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions.encode import with_row_id
 from ..model import BoxQuery, FeatureSpace
+from ..shared import written
 from .predicate import box_predicate, chunked_predicate, conjuncts
 
 
@@ -48,22 +49,25 @@ class ColumnScan:
     combine: 'bitmap' (bitwise and per bucket of rows), 'intersect' (semi joins of row ids), 'count' (dimensions
     matched per row), 'fused' (one filter on the columnar reader). A partial match reads only its dimensions.
     chunks: row ranges that each dimension is chopped into besides (two-level partitioning).
+    codec: how the columns are stored: 'zstd' over dictionary and run-length pages (the default), 'snappy' or 'none'.
+    Except for 'fused', the columns are stored with their row ids at build; a search reads them from there.
     """
 
-    def __init__(self, df: DataFrame, space: FeatureSpace, *, combine: str = "bitmap", chunks: int | None = None, vector: bool = False):
+    def __init__(self, df: DataFrame, space: FeatureSpace, *, combine: str = "bitmap", chunks: int | None = None, vector: bool = False, codec: str = "zstd"):
         if combine not in ("bitmap", "intersect", "count", "fused"):
             raise ValueError(combine)
         self.space, self.combine, self.chunks, self.vector = space, combine, chunks, vector
-        self.rows = space.features(df) if combine == "fused" else with_row_id(space.features(df), space.ids)
+        self.row_id = space.free("row_id")[0]
+        self.rows = space.features(df) if combine == "fused" else written(with_row_id(space.features(df), space.ids, name=self.row_id), "columns", compression=codec)
 
     def _column(self, dim: str) -> DataFrame:
-        column = self.rows.select("row_id", dim)
+        column = self.rows.select(F.col(self.row_id).alias("row_id"), F.col(f"`{dim}`").alias("value"))
         return column.repartitionByRange(self.chunks, "row_id") if self.chunks else column
 
     def _hits(self, dim: str, interval) -> DataFrame:
         column = self._column(dim)
         if not self.vector:
-            return column.where(reduce(lambda a, b: a & b, conjuncts(dim, interval))).select("row_id")
+            return column.where(reduce(lambda a, b: a & b, conjuncts("value", interval))).select("row_id")
         lo, hi = (-np.inf if interval.lo is None else interval.lo), (np.inf if interval.hi is None else interval.hi)
 
         def compare(batches):
@@ -114,7 +118,7 @@ class ColumnScan:
             return self.rows.where(F.lit(False)).select(*self.space.ids)
         if self.combine == "fused" or not query.specified(self.space):
             return self.rows.where(box_predicate(query, self.space)).select(*self.space.ids)
-        return self.rows.join(self.row_ids(query), "row_id", "left_semi").select(*self.space.ids)
+        return self.rows.join(self.row_ids(query).withColumnRenamed("row_id", self.row_id), self.row_id, "left_semi").select(*self.space.ids)
 
     def count(self, query: BoxQuery) -> DataFrame:
         """Hits without decoding."""

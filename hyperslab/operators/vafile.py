@@ -1,4 +1,12 @@
-"""VA-file: cells of 2^b parts per dimension, a sparse directory of the occupied ones, exact tests within them."""
+"""VA-file: cells of 2^b parts per dimension, a sparse directory of the occupied ones, exact tests within them.
+
+One VA-file over all rows, in DataFrame functions; `Forest(kind="va")` has one per partition. Stored, its rows lie by
+cell, so a code range prunes row groups.
+
+Cases: null and NaN have no cell and lie in no bounded interval; equal rows share a cell; a dimension with one value
+or none has one cell; an empty table gives an empty result; an id or dimension called like a code or cell column
+(c_<dim>, cell_<number>) is refused.
+"""
 
 from __future__ import annotations
 
@@ -10,6 +18,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..model import BoxQuery, FeatureSpace
+from ..shared import written
 from .predicate import box_predicate
 
 #: Bits that one word of a packed cell code holds.
@@ -44,11 +53,20 @@ class VaFile:
     def build(cls, df: DataFrame, space: FeatureSpace, *, bits: int | dict[str, int] = 2, split: str = "equi_width", mode: str = "cells") -> VaFile:
         """One pass for the cuts and a projection. Outermost cells are open-ended: later values outside still fit."""
         per = dict.fromkeys(space.dims, bits) if isinstance(bits, int) else bits
+        taken = {f"c_{d}" for d in space.dims} & {*space.ids, *space.dims} | {c for c in (*space.ids, *space.dims) if c.startswith("cell_") and c[5:].isdigit()}
+        if taken:
+            raise ValueError(f"names of code columns: {sorted(taken)}")
         rows = space.features(df)
         cuts = (cls.equal_width_cuts if split == "equi_width" else cls.equal_depth_cuts)(rows, space, per)
         coded = rows.select("*", *(cls.code(F.col(d), cuts[d]).alias(f"c_{d}") for d in space.dims))
         return cls(coded.select("*", *cls.words(space, per)), space, per, cuts, mode)
 
+    def stored(self) -> VaFile:
+        """The same VA-file read from a written table, its rows in the order of their cells."""
+        words = [c for c in self.rows.columns if c.startswith("cell_") and c[5:].isdigit()]
+        placed = self.rows.repartitionByRange(*words).sortWithinPartitions(*words)
+        return VaFile(written(placed, "va-rows"), self.space, self.bits, self.cuts, self.mode)
+
     @staticmethod
     def code(c: Column, cuts: list[float]) -> Column:
         """Number of cuts at or below the value; null and NaN have no cell (null)."""
