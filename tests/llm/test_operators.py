@@ -474,10 +474,67 @@ def test_decontamination_against_all_windows(spark):
     assert decontam.matches(documents(spark, []), bench).count() == 0
 
 
-def test_fingerprint_tables_find_all_within_the_radius():
-    index = decontam.Index([1, 2], ["a b c d e f g", "h i j k l m n"], decontam.Match())
-    own = index.tables[3][0]
+def repeated_pair(rng, n, k):
+    words = [f"r{x}" for x in rng.integers(0, 10**6, n)]
+    return " ".join([*words, *["spam"] * k]), " ".join([*words, *["eggs"] * k])
+
+
+def test_repeated_shingles_lose_no_window(spark):
+    """Items and documents that differ in one word said many times: all windows against all items."""
+    rng = np.random.default_rng(11)
+    pairs = [repeated_pair(rng, 60, k) for k in (4, 8, 12, 14) for _ in range(6)] + [(" ".join(["again"] * 70), " ".join(["again"] * n)) for n in (60, 70, 300)]
+    items = [a for a, _ in pairs]
+    texts = [f"before it came this {b} and this after" for _, b in pairs] + items
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id bigint, text string")
+    found = {(r["doc_id"], r["item_id"]) for r in decontam.matches(documents(spark, texts), bench).collect()}
+    assert found == contamination_brute(texts, items)
+
+
+def test_recall_at_the_bound_and_the_share_that_passes():
+    """2,000 pairs at 75 to 78 %, long repeats among them; and how many unrelated pairs a near block lets through."""
+    rng, lost, pairs = np.random.default_rng(12), 0, 0
+    for trial in range(400):
+        item, text = repeated_pair(rng, 200, int(rng.integers(20, 34)))
+        exact, index = (decontam.Index([trial], [item], decontam.Match(exact=e)) for e in (True, False))
+        want, got = (list(i.of_texts(pa.array([text]))) for i in (exact, index))
+        pairs, lost = pairs + len(want), lost + len(want) - len(got)
+    assert pairs >= 300 and lost <= pairs // 100
+    index = decontam.Index(list(range(300)), [" ".join(f"n{x}" for x in rng.integers(0, 10**6, 60)) for _ in range(300)], decontam.Match())
+    prints = index.prints[56]
+    near = (np.bitwise_count(index.parts(prints)[:, None] ^ index.parts(prints)[None]) <= index.match.radius // index.match.blocks).any(axis=2)
+    assert (near.sum() - 300) / (300 * 299) < 0.06
+
+
+def test_sliding_prints_are_those_of_the_windows():
+    rng = np.random.default_rng(13)
+    hashes = rng.integers(0, 7, 600).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    index = decontam.Index([1], ["x"], decontam.Match(windows=37))
+    for size in (1, 5, 40):
+        windows = np.flatnonzero(rng.random(600 - size + 1) < 0.2)
+        got = list(index.window_prints(hashes, decontam.Places(hashes), windows, size))
+        assert np.concatenate([w for w, _ in got]).tolist() == windows.tolist()
+        want = np.concatenate([index.print_of(hashes[w : w + size]) for w in windows])
+        assert (np.concatenate([x for _, x in got]) == want).all()
+
+
+def test_fingerprint_blocks_find_all_within_the_radius():
+    match = decontam.Match()
+    index = decontam.Index([1, 2], ["a b c d e f g", "h i j k l m n"], match)
+    own = index.prints[3]
     rng = np.random.default_rng(2)
-    prints = np.array([int(own[k % 2]) ^ sum(1 << int(b) for b in rng.choice(64, n, replace=False)) for k, n in enumerate(range(64))], np.uint64)
-    w, k = index.candidates(3, prints)
-    assert set(zip(w.tolist(), k.tolist(), strict=True)) == {(i, j) for i in range(64) for j in (0, 1) if int(np.bitwise_count(prints[i] ^ own[j])) <= 23}
+    prints = np.concatenate([own[k % 2 : k % 2 + 1] ^ np.packbits(np.isin(np.arange(256), rng.choice(256, n, replace=False)), bitorder="little").view("<u8")[None] for k, n in enumerate(range(1, 256))])
+    found = {(i, j) for w, k in index.candidates(3, prints) for i, j in zip(w.tolist(), k.tolist(), strict=True)}
+    assert found == {(i, j) for i in range(len(prints)) for j in (0, 1) if int(np.bitwise_count(prints[i] ^ own[j]).sum()) <= match.radius}
+
+
+def test_a_long_text_that_repeats_an_item_takes_bounded_memory():
+    import tracemalloc
+
+    words = [f"x{k}" for k in range(40)]
+    text = " ".join(words * 5_000)
+    index = decontam.Index([1, 2], [" ".join(words), " ".join(reversed(words))], decontam.Match())
+    array = pa.array([text])
+    tracemalloc.start()
+    found = list(index.of_texts(array))
+    peak = tracemalloc.get_traced_memory()[1]
+    assert [f[1] for f in found] == [0] and peak < 100 * len(text)
