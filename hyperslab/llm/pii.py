@@ -3,12 +3,16 @@
 Numbers and dates that pass the validation of their kind go through a keyed Feistel permutation of all values of
 that format: a card number becomes another valid one, an address another address, a date another date. Equal
 values become equal pseudonyms in every document, whatever their separators, and different ones different ones.
-Numbers that fail validation are no personal data and stay. Dates are days of the years 1 to 9999; with slashes they
+Numbers that fail validation are no personal data and stay: cards by their check digit, IBANs by their remainder, social
+numbers by their parts, addresses by their octets, phone numbers by a country code and 7 to 14 digits after it. What
+names an issuer or a country stays, so a pseudonym fits the pattern its value came by: the first six digits of a card,
+the country of an IBAN, the country code of a phone number (a number in the form (123) 456-7890 counts as one of
+country 1). Dates are days of the years 1 to 9999; with slashes they
 are read day first, then month first, and written back in the order that holds.
 
 Cases: a null text stays null; an empty one stays empty; a null or repeated id is kept; overlapping candidates
 go to the leftmost, then to the kind listed first; a text of any length is read whole; an empty table gives an
-empty result; `pseudonymised` keeps further columns, whatever they are called.
+empty result; `pseudonymised` keeps further columns, whatever they are called, as they are.
 """
 
 from __future__ import annotations
@@ -94,15 +98,26 @@ def _digits(x: Column) -> Column:
 
 def _card(key: str, x: Column) -> Column:
     def valid(d: Column) -> Column:
-        body = digits_permuted(key, F.lit("card"), F.substring(d, F.lit(1), F.char_length(d) - 1))
-        made = _with(body, lambda b: F.concat(b, F.pmod(10 - F.pmod(luhn_sum(F.concat(b, F.lit("0"))), F.lit(10)), F.lit(10)).cast("string")))
+        issuer, n = F.substring(d, F.lit(1), F.lit(6)), F.char_length(d)
+        body = digits_permuted(key, F.concat(F.lit("card/"), issuer), F.substring(d, F.lit(7), n - 7))
+        made = _with(F.concat(issuer, body), lambda b: F.concat(b, F.pmod(10 - F.pmod(luhn_sum(F.concat(b, F.lit("0"))), F.lit(10)), F.lit(10)).cast("string")))
         return F.when((luhn_sum(d) % 10 == 0) & ~d.rlike("^0+$"), _refilled(x, made)).otherwise(x)
 
     return _with(_digits(x), valid)
 
 
+#: Country codes of telephony: those of one and of two digits; all others have three. Fixed values.
+COUNTRY = r"^(1|7|20|27|30|31|32|33|34|36|39|40|41|43|44|45|46|47|48|49|51|52|53|54|55|56|57|58|60|61|62|63|64|65|66|81|82|84|86|90|91|92|93|94|95|98|[2-9][0-9][0-9])"
+
+
 def _phone(key: str, x: Column) -> Column:
-    return _with(_digits(x), lambda d: F.when(F.char_length(d).between(9, 15), _refilled(x, digits_permuted(key, F.lit("phone"), d))).otherwise(x))
+    def made(d: Column) -> Column:
+        country = F.regexp_extract(d, COUNTRY, 1)
+        rest = F.substring(d, F.char_length(country) + 1, F.char_length(d))
+        whole = _with(digits_permuted(key, F.concat(F.lit("phone/"), country), rest), lambda n: F.when(x.startswith("+"), F.concat(country, n)).otherwise(n))
+        return F.when((country != "") & F.char_length(rest).between(7, 14) & (F.char_length(d) <= 15), _refilled(x, whole)).otherwise(x)
+
+    return _with(F.when(x.startswith("+"), _digits(x)).otherwise(F.concat(F.lit("1"), _digits(x))), made)
 
 
 def _social(key: str, x: Column) -> Column:
@@ -212,18 +227,29 @@ def pseudonym(key: str, x: Column) -> Column:
 
 def pseudonymised(docs: DataFrame, key: str, *, text_column: str = "text") -> DataFrame:
     """docs with pseudonyms in text_column. One pass, no shuffle; texts without candidates aren't taken apart."""
-    return _replaced(docs, key, text_column).select(*(F.col("`_text`").alias(text_column) if c == text_column else F.col(f"`{c}`") for c in docs.columns))
+    made, (_, _, after) = _replaced(docs, key, text_column)
+    return made.select(*(F.col(after).alias(c) if c == text_column else F.col(f"`{c}`") for c in docs.columns))
 
 
 def report(docs: DataFrame, key: str, *, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
     """doc_id, text with pseudonyms, n_candidates, n_replaced."""
-    rows = docs.select(F.col(id_column).alias("doc_id"), F.col(text_column).alias("text"))
-    changed = F.aggregate(F.zip_with("_found", "_made", lambda a, b: (a != b).cast("long")), F.lit(0).cast("long"), lambda acc, x: acc + x)
-    return _replaced(rows, key, "text").select("doc_id", F.col("_text").alias("text"), F.coalesce(F.size("_found"), F.lit(0)).cast("long").alias("n_candidates"), F.coalesce(changed, F.lit(0)).alias("n_replaced"))
-
-
-def _replaced(docs: DataFrame, key: str, text_column: str) -> DataFrame:
+    rows = docs.select(F.col(f"`{id_column}`").alias("doc_id"), F.col(f"`{text_column}`").alias("text"))
+    made, (found, pseudonyms, after) = _replaced(rows, key, "text")
+    changed = F.aggregate(F.zip_with(found, pseudonyms, lambda a, b: (a != b).cast("long")), F.lit(0).cast("long"), lambda acc, x: acc + x)
+    return made.select("doc_id", F.col(after).alias("text"), F.coalesce(F.size(found), F.lit(0)).cast("long").alias("n_candidates"), F.coalesce(changed, F.lit(0)).alias("n_replaced"))
+
+
+def _replaced(docs: DataFrame, key: str, text_column: str) -> tuple[DataFrame, tuple[str, str, str]]:
+    """docs with three more columns, and their names, which no column of docs has: candidates, pseudonyms, text after."""
+    taken, names = {c.lower() for c in docs.columns}, []
+    for name in ("found", "made", "after"):
+        while name in taken:
+            name = f"_{name}"
+        names.append(name)
+    found, made, after = names
     text = F.col(f"`{text_column}`")
-    found = docs.withColumn("_found", F.when(text.rlike("@|[0-9][^\\n]{0,40}[0-9]"), F.regexp_extract_all(text, F.lit(_ALL), F.lit(0))).otherwise(F.array().cast("array<string>")))
-    made = found.withColumn("_made", F.transform("_found", lambda x: pseudonym(key, x)))
-    return made.withColumn("_text", F.when(F.size("_found") > 0, F.array_join(F.flatten(F.zip_with(F.split(text, _ALL, -1), "_made", lambda gap, x: F.array(gap, F.coalesce(x, F.lit(""))))), "")).otherwise(text))
+    candidates = F.when(text.rlike("@|[0-9][^\\n]{0,40}[0-9]"), F.regexp_extract_all(text, F.lit(_ALL), F.lit(0))).otherwise(F.array().cast("array<string>"))
+    taken_apart = docs.withColumn(found, candidates)
+    pseudonyms = taken_apart.withColumn(made, F.transform(found, lambda x: pseudonym(key, x)))
+    joined = F.array_join(F.flatten(F.zip_with(F.split(text, _ALL, -1), made, lambda gap, x: F.array(gap, F.coalesce(x, F.lit(""))))), "")
+    return pseudonyms.withColumn(after, F.when(F.size(found) > 0, joined).otherwise(text)), (found, made, after)

@@ -202,6 +202,156 @@ def test_dates_are_permuted_one_to_one(spark):
     assert len({datetime.date.fromisoformat(x) for x in rows}) == len(days)
 
 
+class Pseudonyms:
+    """The pseudonyms once more, one value at a time in plain Python."""
+
+    def __init__(self, key):
+        self.key = key
+        self.every = re.compile("|".join(f"(?:{p})" for p in pii.KINDS.values()), re.ASCII)
+
+    def walk(self, tweak, left, right, low, high):
+        for i in range(10):
+            half = right if i % 2 == 0 else left
+            step = int(hashlib.sha256(f"{self.key}|{tweak}|{i}|{half}".encode()).hexdigest()[:15], 16)
+            left, right = ((left + step) % low, right) if i % 2 == 0 else (left, (right + step) % high)
+        return left, right
+
+    def digits(self, tweak, d):
+        a = len(d) // 2
+        one, two = self.walk(f"{tweak}/{len(d)}", int(d[:a] or 0), int(d[a:]), 10**a, 10 ** (len(d) - a))
+        return (f"{one:0{a}d}" if a else "") + f"{two:0{len(d) - a}d}"
+
+    @staticmethod
+    def refilled(mask, digits):
+        left = iter(digits)
+        return "".join(next(left) if c in "0123456789" else c for c in mask)
+
+    def email(self, x):
+        return "u" + hashlib.sha256(f"{self.key}|email|{x.lower()}".encode()).hexdigest()[:24] + "@mail.invalid"
+
+    def iban(self, x):
+        s = x.replace(" ", "")
+        rest = lambda t: int("".join(str(ord(c) - 55) if c.isalpha() else c for c in t)) % 97
+        if rest(s[4:] + s[:4]) != 1:
+            return x
+        account = s[4:]
+        d = re.sub("[^0-9]", "", account)
+        tail = self.refilled(account, self.digits("iban", d)) if len(d) > 1 else account
+        return s[:2] + f"{98 - rest(tail + s[:2] + '00'):02d}" + tail
+
+    def date(self, x):
+        n = [int(v) for v in re.split("[-./]", x)]
+
+        def day(y, m, d):
+            try:
+                return datetime.date(y, m, d)
+            except ValueError:
+                return None
+
+        if x[4] == "-":
+            at, form = day(*n), "{0:04d}{1:02d}{2:02d}"
+        elif day(n[2], n[1], n[0]) or x.count("/") < 2:
+            at, form = day(n[2], n[1], n[0]), "{2:02d}{1:02d}{0:04d}"
+        else:
+            at, form = day(n[2], n[0], n[1]), "{1:02d}{2:02d}{0:04d}"
+        if not at:
+            return x
+        month = (at.year - 1) * 12 + at.month - 1
+        if at.day <= 12:
+            one, two = self.walk("date/early", *divmod(month * 12 + at.day - 1, 1212), 1188, 1212)
+            m, d = divmod(one * 1212 + two, 12)
+            d += 1
+        else:
+            place = month * 19 + at.day - 13
+            while True:
+                one, two = self.walk("date/late", *divmod(place, 1818), 1254, 1818)
+                place = one * 1818 + two
+                m, d = place // 19, place % 19 + 13
+                if m < 9999 * 12 and day(m // 12 + 1, m % 12 + 1, d):
+                    break
+        return self.refilled(x, form.format(m // 12 + 1, m % 12 + 1, d))
+
+    def address(self, x):
+        p = [int(v) for v in x.split(".")]
+        if max(p) > 255:
+            return x
+        a, b = self.walk("address", p[0] * 256 + p[1], p[2] * 256 + p[3], 65536, 65536)
+        return f"{a // 256}.{a % 256}.{b // 256}.{b % 256}"
+
+    def phone(self, x):
+        d = re.sub("[^0-9]", "", x) if x[0] == "+" else "1" + re.sub("[^0-9]", "", x)
+        country = re.match(pii.COUNTRY, d)
+        country = country[1] if country else ""
+        rest = d[len(country) :]
+        if not country or not 7 <= len(rest) <= 14 or len(d) > 15:
+            return x
+        made = self.digits(f"phone/{country}", rest)
+        return self.refilled(x, country + made if x[0] == "+" else made)
+
+    def social(self, x):
+        if re.search("^(000|666|9)|-00-|-0000$", x):
+            return x
+        areas = [a for a in range(1, 900) if a != 666]
+        place = (areas.index(int(x[:3])) * 99 + int(x[4:6]) - 1) * 9999 + int(x[7:]) - 1
+        a, b = self.walk("social", *divmod(place, 9999), 898 * 99, 9999)
+        return f"{areas[a // 99]:03d}-{a % 99 + 1:02d}-{b + 1:04d}"
+
+    def card(self, x):
+        d = re.sub("[^0-9]", "", x)
+        if not luhn(d) or not d.strip("0"):
+            return x
+        made = d[:6] + self.digits(f"card/{d[:6]}", d[6:-1])
+        return self.refilled(x, next(made + str(c) for c in range(10) if luhn(made + str(c))))
+
+    def of(self, x):
+        kind = next(k for k, p in pii.KINDS.items() if re.fullmatch(p, x, re.ASCII))
+        return getattr(self, kind)(x)
+
+    def text(self, t):
+        return None if t is None else self.every.sub(lambda m: self.of(m[0]), t)
+
+
+def test_pseudonyms_against_brute_force(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    brute, n = Pseudonyms(queries.PSEUDONYM_KEY), 0
+    texts = {r["doc_id"]: r["text"] for r in docs.select("doc_id", "text").collect()}
+    for r in queries.op4_pseudonyms(spark, "/root/testdata/sf0.01").collect():
+        assert r["text"] == brute.text(texts[r["doc_id"]])
+        n += r["n_replaced"]
+    assert n > 50
+
+
+def test_each_kind_against_brute_force(spark):
+    rng = np.random.default_rng(7)
+    number = lambda n: "".join(map(str, rng.integers(0, 10, n)))
+    checked = lambda body: next(body + str(c) for c in range(10) if luhn(body + str(c)))
+    texts = [*ODD, "", "0000000000000000", "+000 12 345 678", "+1 (017) 555-7713", "(017) 555-7713", "+4915 1234 5678", "+358 40 1234567", "+12 345 678"]
+    for _ in range(40):
+        amex = checked("37" + number(12))
+        card = checked("4" + number(14))
+        texts += [f"{amex[:4]} {amex[4:10]} {amex[10:]} {amex}", f"{card[:4]}-{card[4:8]}-{card[8:12]}-{card[12:]} {card}", checked(number(12)), checked(number(18)), number(16)]
+        texts += [f"{number(3)}-{number(2)}-{number(4)}", ".".join(str(v) for v in rng.integers(0, 300, 4)), f"+{number(2)} {number(3)} {number(4)} {number(3)}", f"({number(3)}) {number(3)}-{number(4)}", f"{number(2)}/{number(2)}/{number(4)} {number(2)}.{number(2)}.{number(4)} {number(4)}-{number(2)}-{number(2)}"]
+        account = number(4) + "ABCD" + number(10)
+        spelt = lambda t: int("".join(str(ord(c) - 55) if c.isalpha() else c for c in t))
+        texts += [f"DE{98 - spelt(account + 'DE00') % 97:02d}{account}", f"x.{number(3)}@Mail{number(1)}.example.org,"]
+    df = documents(spark, texts)
+    got = {r["doc_id"]: r["text"] for r in pii.report(df, "k").collect()}
+    brute = Pseudonyms("k")
+    assert got == {k: brute.text(t) for k, t in enumerate(texts)}
+    for k, t in enumerate(texts):  # a pseudonym is of its value's kind again
+        for m in brute.every.finditer(t or ""):
+            kind = next(x for x, p in pii.KINDS.items() if re.fullmatch(p, m[0], re.ASCII))
+            assert kind == "email" or re.fullmatch(pii.KINDS[kind], brute.of(m[0]), re.ASCII)
+
+
+def test_no_column_name_meets_those_of_the_pseudonyms(spark):
+    text = "mine GB82 WEST 1234 5698 7654 32 is"
+    df = spark.createDataFrame([(1, text, "f", "m", "t", "F")], "doc_id bigint, text string, _found string, _made string, _text string, found string")
+    row = pii.pseudonymised(df.withColumnRenamed("_made", "AFTER"), "k").first()
+    assert (row["_found"], row["AFTER"], row["_text"], row["found"]) == ("f", "m", "t", "F") and "WEST 1234" not in row["text"]
+    assert pii.pseudonymised(df, "k").columns == df.columns
+
+
 def test_feistel_is_a_permutation(spark):
     from pyspark.sql import functions as F
 
