@@ -409,6 +409,45 @@ def test_each_rule_decides_its_own_pages(spark):
     assert {r["page_id"]: (r["rule"], r["verdict"]) for r in rows} == dict(enumerate(cases.values()))
 
 
+def judged_brute(url):
+    """host, path, rule of one URL, by splitting."""
+    host = path = ""
+    if url and "://" in url:
+        rest = url.split("://", 1)[1]
+        end = min((rest.find(c) for c in "/?#" if c in rest), default=len(rest))
+        host, rest = "".join(c.lower() if "A" <= c <= "Z" else c for c in rest[:end]), rest[end:]
+        path = rest[: min((rest.find(c) for c in "?#" if c in rest), default=len(rest))]
+    fits = [r.rule for r in urls.RULES if (host == r.host or host.endswith("." + r.host)) and path.startswith(r.path)]
+    return host, path, max(fits, key=len, default=None)
+
+
+def test_urls_against_brute_force(spark):
+    given_pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet").select("page_id", "url")
+    odd = ["", "://", "x://", "http:/a", "HTTP://\u00c4.EXAMPLE.com/en/", "http://h?://b/c", "a://b://c/d", "http://com/en", "http://com/en/", "http://xcom/en/1", "http://a.com#/en/1", "http://a.com/en/1?x#y", "http://example.net/de/\n8", "http://" + "h" * 70_000, "http://a.com/en/" + "7" * 70_000, None]
+    more = spark.createDataFrame([(-k, u) for k, u in enumerate(odd)] + [(None, "http://com/en/"), (-1, "://")], "page_id bigint, url string")
+    df = given_pages.union(more).selectExpr("*", "'s' as suffix", "'x' as rule", "'f' as FOLD", "1 as score")
+    rows = urls.judged(df).collect()
+    assert len(rows) == df.count()
+    want = collections.Counter((r["page_id"], *judged_brute(r["url"])) for r in df.collect())
+    assert collections.Counter((r["page_id"], r["host"], r["path"], r["rule"]) for r in rows) == want
+    verdict = {r.rule: r.verdict for r in urls.RULES}
+    assert all(r["verdict"] == verdict[r["rule"]] for r in rows if r["rule"]) and {r["verdict"] for r in rows if not r["rule"]} == {"allow", "block"}
+
+
+def test_filter_beats_the_majority_on_hosts_it_has_not_seen(spark):
+    row = urls.held_out(spark.read.parquet("/root/testdata/sf0.1/pages.parquet")).first()
+    assert row["n"] > 50 and row["accuracy"] > row["majority"] + 0.05 and row["precision"] > 0.85 and row["recall"] > 0.85
+
+
+def test_entropy_is_that_of_the_counts(spark):
+    words = ["", "a", "aab", "abcabc", "h" * 5_000 + "x"]
+    df = spark.createDataFrame([(w,) for w in words], "w string")
+    got = [r["e"] for r in df.select("w", urls.entropy(df["w"]).alias("e")).collect()]
+    for w, e in zip(words, got, strict=True):
+        share = np.array(list(collections.Counter(w).values())) / max(1, len(w))
+        assert e == pytest.approx(float(-(share * np.log2(share)).sum()) if w else 0.0, abs=1e-9)
+
+
 def test_trees_hold_on_held_out_rows():
     rng = np.random.default_rng(5)
     x = rng.random((4000, len(urls.FEATURES)))
