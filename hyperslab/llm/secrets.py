@@ -19,6 +19,8 @@ from itertools import product
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from . import common
+
 # `re` keeps its parser in a module of its own.
 from re import _constants as _c  # isort: skip
 from re import _parser
@@ -161,41 +163,85 @@ def _any(tests: list[Column]) -> Column:
 
 
 def spans_of(text: Column, rule: Rule, order: int) -> Column:
-    """Array of (start, end, order) of the rule's matches, in code points, end exclusive."""
-    pattern = rule.pattern
-    found = F.regexp_extract_all(text, F.lit(pattern), F.lit(0))
-    gaps = F.transform(F.split(text, pattern, -1), lambda x: F.char_length(x))
-    kept = F.regexp_extract_all(text, F.lit(pattern), F.lit(rule.group)) if rule.group else found
-    both = F.arrays_zip(gaps.alias("gap"), F.transform(found, lambda x: F.char_length(x)).alias("size"), F.transform(kept, lambda x: F.char_length(x)).alias("own"))
-    row = "struct<start:int,end:int,k:int,own:int>"
-    walked = F.aggregate(
-        both,
-        F.struct(F.lit(0).alias("at"), F.array().cast(f"array<{row}>").alias("out")),
-        lambda acc, x: F.struct(
-            (acc["at"] + x["gap"] + F.coalesce(x["size"], F.lit(0))).alias("at"),
-            F.when(x["size"].isNull(), acc["out"]).otherwise(F.concat(acc["out"], F.array(F.struct((acc["at"] + x["gap"]).alias("start"), (acc["at"] + x["gap"] + x["size"]).alias("end"), F.lit(order).alias("k"), x["own"].alias("own"))))).alias("out"),
-        ),
-        lambda acc: acc["out"],
-    )
-    return F.transform(F.filter(walked, lambda s: s["own"] >= rule.least), lambda s: F.struct(s["start"], s["end"], s["k"]))
+    """Array of (start, end, order) of the rule's matches, in code points, end exclusive.
+
+    Starts are running sums of gaps and matches. Matches are walked in blocks of about the cube root of their number,
+    so appending to arrays stays far from quadratic in a text of very many matches.
+    """
+    pattern = F.lit(rule.pattern)
+    found = F.regexp_extract_all(text, pattern, F.lit(0))
+    gaps = F.transform(F.split(text, rule.pattern, -1), lambda x: F.char_length(x))
+    kept = F.regexp_extract_all(text, pattern, F.lit(rule.group)) if rule.group else found
+    both = F.filter(F.arrays_zip(gaps.alias("gap"), F.transform(found, lambda x: F.char_length(x)).alias("size"), F.transform(kept, lambda x: F.char_length(x)).alias("own")), lambda x: x["size"].isNotNull())
+    advance = lambda x: x["gap"] + x["size"]
+    sums = "struct<at:int,out:array<int>>"
+    spans = "struct<at:int,out:array<struct<start:int,end:int,k:int,own:int>>>"
+
+    def walked(matches: Column) -> Column:
+        size = F.greatest(F.lit(1), F.ceil(F.pow(F.size(matches), F.lit(1 / 3)))).cast("int")
+        blocks = _with(size, lambda n: F.transform(F.sequence(F.lit(0), F.greatest(F.lit(0), F.ceil(F.size(matches) / n).cast("int") - 1)), lambda k: F.slice(matches, k * n + 1, n)))
+        return _with(blocks, of_blocks)
+
+    def of_blocks(blocks: Column) -> Column:
+        each = F.transform(blocks, lambda b: F.aggregate(b, F.lit(0), lambda acc, x: acc + advance(x)))
+        starts = F.aggregate(each, F.struct(F.lit(0).alias("at"), F.array().cast("array<int>").alias("out")).cast(sums), lambda acc, x: F.struct((acc["at"] + x).alias("at"), F.concat(acc["out"], F.array(acc["at"])).alias("out")), lambda acc: acc["out"])
+        return _with(starts, lambda at: F.flatten(F.transform(blocks, lambda b, k: of_block(b, F.get(at, k)))))
+
+    def of_block(block: Column, at: Column) -> Column:
+        none = F.array().cast("array<struct<start:int,end:int,k:int,own:int>>")
+        put = lambda acc, x: F.struct((acc["at"] + x["gap"]).alias("start"), (acc["at"] + advance(x)).alias("end"), F.lit(order).alias("k"), x["own"].alias("own"))
+        return F.aggregate(block, F.struct(at.alias("at"), none.alias("out")).cast(spans), lambda acc, x: F.struct((acc["at"] + advance(x)).alias("at"), F.concat(acc["out"], F.array(put(acc, x))).alias("out")), lambda acc: acc["out"])
+
+    return F.transform(F.filter(_with(both, walked), lambda s: s["own"] >= rule.least), lambda s: F.struct(s["start"], s["end"], s["k"]))
+
+
+def _with(value: Column, then) -> Column:
+    """then(value) with value computed once."""
+    return F.element_at(F.transform(F.array(value), then), 1)
+
+
+#: Candidate rows (an id and a number) that may go to every task, about 50 MB; more are joined by salted ids.
+BROADCAST_ROWS = 1_000_000
+_SALTS = 16
 
 
 def scan(docs: DataFrame, rules: tuple[Rule, ...] = BASE + MORE, *, id_column: str = "doc_id", text_column: str = "text") -> DataFrame:
-    """doc_id and spans: array of (start, end, kind) by start and order of the rules, for every row of docs."""
-    rows = docs.select(F.col(id_column).alias("id"), F.coalesce(F.col(text_column), F.lit("")).alias("text"))
-    indexed = [r for r in rules if trigram_query(r.pattern)]
+    """doc_id and spans: array of (start, end, kind) by start and order of the rules, for every row of docs.
+
+    The candidates are a written table and counted: while they fit, they go to the texts, which stay where they are;
+    beyond, texts and candidates meet by id, salted, so that a hot id is split.
+    """
+    rows = docs.select(F.col(f"`{id_column}`").alias("id"), F.coalesce(F.col(f"`{text_column}`"), F.lit("")).alias("text"))
+    indexed = [r.kind for r in rules if trigram_query(r.pattern)]
+    bit = {kind: 1 << k for k, kind in enumerate(indexed)}
     found = candidates(postings(rows, rules, id_column="id", text_column="text"), rules)
-    joined = rows.join(found.withColumnRenamed("id", "known"), F.col("id").eqNullSafe(F.col("known")), "left")
+    mask = F.aggregate("kinds", F.lit(0).cast("long"), lambda acc, x: acc.bitwiseOR(_any_of(bit, x)))
+    known = common.written(found.select(F.col("id").alias("known"), mask.alias("mask")), "candidates")
+    few = known.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
+    same = F.col("id").eqNullSafe(F.col("known"))
+    if few:
+        joined = rows.join(F.broadcast(known), same, "left")
+    else:
+        salted = known.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(_SALTS - 1))))
+        joined = rows.withColumn("own", F.pmod(F.xxhash64("text"), F.lit(_SALTS)).cast("int")).join(salted, same & (F.col("own") == F.col("salt")), "left")
     none = F.array().cast("array<struct<start:int,end:int,k:int>>")
     for k, rule in enumerate(rules):
         verified = F.when(F.regexp_like("text", F.lit(once(rule))), spans_of(F.col("text"), rule, k)).otherwise(none)
-        joined = joined.withColumn(f"found_{k}", F.when(F.array_contains("kinds", rule.kind), verified).otherwise(none) if rule in indexed else verified)
+        met = F.coalesce(F.col("mask"), F.lit(0)).bitwiseAND(F.lit(bit.get(rule.kind, 0)).cast("long")) != 0
+        joined = joined.withColumn(f"found_{k}", F.when(met, verified).otherwise(none) if rule.kind in bit else verified)
     kinds = F.array(*(F.lit(r.kind) for r in rules))
     every = F.concat(*(F.col(f"found_{k}") for k in range(len(rules))))
     ordered = F.array_sort(every, lambda a, b: F.when(a["start"] != b["start"], a["start"] - b["start"]).otherwise(a["k"] - b["k"]))
     return joined.select(F.col("id").alias("doc_id"), F.transform(ordered, lambda s: F.struct(s["start"], s["end"], F.element_at(kinds, s["k"] + 1).alias("kind"))).alias("spans"))
 
 
+def _any_of(bit: dict[str, int], kind: Column) -> Column:
+    out = F.lit(0).cast("long")
+    for name, value in bit.items():
+        out = F.when(kind == name, F.lit(value).cast("long")).otherwise(out)
+    return out
+
+
 def once(rule: Rule) -> str:
     """A pattern that some match needs: for a run of one set of characters, the least length at once."""
     m = re.fullmatch(r"(\[[^\]]+\])\+", rule.pattern)

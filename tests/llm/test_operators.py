@@ -377,6 +377,17 @@ def test_secrets_by_index(spark):
     assert secrets.scan(documents(spark, [])).count() == 0
 
 
+def test_secrets_of_many_matches_hot_ids_and_many_candidates(spark, monkeypatch):
+    texts = ["token=abcdefgh%d, " * 1 % k for k in range(3)] + ["\u00e9 " + " ".join(f"secret: value{k:08d}" for k in range(20_000))] + ["plain"] * 5
+    rows = [(None if k % 2 else 7, t, "x", "y") for k, t in enumerate(texts)] + [(None, "AKIA" + "B" * 16, "x", "y"), (None, None, "x", "y")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, kinds string, mask string")
+    want = collections.Counter((r[0], secrets_brute(r[1])) for r in rows)
+    for most in (1_000_000, 0):
+        monkeypatch.setattr(secrets, "BROADCAST_ROWS", most)
+        found = secrets.scan(df)
+        assert collections.Counter((r["doc_id"], r["s"]) for r in found.select("doc_id", secrets.written_spans(found["spans"]).alias("s")).collect()) == want
+
+
 def test_trigram_queries():
     assert secrets.trigram_query(r"[0-9a-f]+") is None
     assert secrets.trigram_query(r"AKIA[A-Z]+") == [frozenset({"aki", "kia"})]
