@@ -4,6 +4,10 @@ A payload never has to be one row: it is a run of rows (record, chunk_no) with t
 each row carries the digest and the length of the payload up to its end. The last row's digest decides which
 record of equal payloads is the response and which ones revisit it. Archives are written and read as streams.
 
+Files are WARC/1.1: a warcinfo record first, dates and record ids everywhere, a response as an HTTP message, a revisit
+with the id, URL and date of what it refers to. Page ids, and URLs that a header can't hold as they are, have fields of
+their own, so reading gives back what was written.
+
 Cases: a null payload is empty; a null page id sorts after all others and is written as an empty header field;
 repeated page ids stay separate records (of equal ones, one is the response); an empty table gives no
 archive; further columns are ignored; a payload of any size takes the memory of a chunk, apart from the row that
@@ -13,7 +17,9 @@ brings it.
 from __future__ import annotations
 
 import base64
+import datetime
 import hashlib
+import urllib.parse
 import uuid
 import zlib
 from collections.abc import Iterator
@@ -92,12 +98,13 @@ def chunk_table(pages: DataFrame, *, chunk: int = 256 << 10, id_column: str = "p
 
 
 def decide(chunks: DataFrame, least_bytes: int = 0) -> DataFrame:
-    """record, payload_bytes, payload_digest, record_type, refers_to (page id) and target (record) of every record."""
-    whole = chunks.where("last").select("record", "page_id", F.col("so_far").alias("payload_bytes"), F.col("digest").alias("payload_digest"))
+    """record, payload_bytes, payload_digest, record_type of every record, and of revisits refers_to (page id), target (record)
+    and target_url."""
+    whole = chunks.where("last").select("record", "page_id", "url", F.col("so_far").alias("payload_bytes"), F.col("digest").alias("payload_digest"))
     first = (
         whole.where(F.col("payload_bytes") >= least_bytes)
         .groupBy("payload_digest", "payload_bytes")
-        .agg(F.min(F.struct(F.col("page_id").isNull().alias("none"), "page_id", "record")).alias("first"))
+        .agg(F.min(F.struct(F.col("page_id").isNull().alias("none"), "page_id", "record", "url")).alias("first"))
     )
     joined = whole.join(first, ["payload_digest", "payload_bytes"], "left")
     revisit = F.coalesce(F.col("first.record") != F.col("record"), F.lit(False))
@@ -107,24 +114,53 @@ def decide(chunks: DataFrame, least_bytes: int = 0) -> DataFrame:
         "payload_digest",
         F.when(revisit, "revisit").otherwise("response").alias("record_type"),
         F.when(revisit, F.col("first.page_id")).alias("refers_to"),
+        F.when(revisit, F.col("first.record")).alias("target"),
+        F.when(revisit, F.col("first.url")).alias("target_url"),
     )
 
 
-def _header(row: dict, length: int) -> bytes:
+#: Characters that a URL in a header keeps: all of printable ASCII but the space. Fixed value.
+_KEPT = "".join(map(chr, range(33, 127)))
+_END = "\r\n"
+
+
+def _uri(url: str | None) -> str:
+    """A URL as a header holds it: blanks, control characters and letters beyond ASCII percent-encoded."""
+    return urllib.parse.quote(url, safe=_KEPT) if url else "about:blank"
+
+
+def _fields(*lines: tuple[str, object]) -> bytes:
+    return (_END.join(["WARC/1.1", *(f"{k}: {v}" for k, v in lines if v is not None)]) + _END + _END).encode()
+
+
+def _http(n: int) -> bytes:
+    return _END.join(["HTTP/1.1 200 OK", "Content-Type: text/html; charset=utf-8", f"Content-Length: {n}", "", ""]).encode()
+
+
+def _record_id(run: uuid.UUID, record: object) -> str:
+    return f"<urn:uuid:{uuid.uuid5(run, str(record))}>"
+
+
+def _info(run: uuid.UUID, date: str, name: str) -> bytes:
+    body = _END.join([f"filename: {name}", "format: WARC File Format 1.1", ""]).encode()
+    return _fields(("WARC-Type", "warcinfo"), ("WARC-Record-ID", _record_id(run, name)), ("WARC-Date", date), ("WARC-Filename", name), ("Content-Type", "application/warc-fields"), ("Content-Length", len(body))) + body
+
+
+def _header(row: dict, run: uuid.UUID, date: str) -> bytes:
+    response, url = row["record_type"] == "response", row["url"]
+    exact = None if url and _uri(url) == url else "" if url is None else base64.b64encode(url.encode()).decode() or "="
+    http = _http(row["payload_bytes"])
     lines = [
-        "WARC/1.1",
-        f"WARC-Type: {row['record_type']}",
-        f"WARC-Record-ID: <urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, str(row['record']))}>",
-        f"WARC-Page-ID: {'' if row['page_id'] is None else row['page_id']}",
-        f"WARC-Target-URI: {' '.join((row['url'] or '').split())}",
-        f"WARC-Payload-Digest: sha1:{row['payload_digest']}",
-        f"WARC-Payload-Length: {row['payload_bytes']}",
-        "Content-Type: text/html; charset=utf-8",
-        f"Content-Length: {length}",
-    ]
-    if row["record_type"] == "revisit":
-        lines += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To-Page-ID: {'' if row['refers_to'] is None else row['refers_to']}"]
-    return ("\r\n".join(lines) + "\r\n\r\n").encode()
+        ("WARC-Type", row["record_type"]), ("WARC-Record-ID", _record_id(run, row["record"])), ("WARC-Date", date), ("WARC-Target-URI", _uri(url)), ("WARC-Page-URI", exact),
+        ("WARC-Page-ID", "" if row["page_id"] is None else row["page_id"]), ("WARC-Payload-Digest", f"sha1:{row['payload_digest']}"), ("WARC-Payload-Length", row["payload_bytes"]),
+    ]
+    if response:
+        return _fields(*lines, ("Content-Type", "application/http; msgtype=response"), ("Content-Length", len(http) + row["payload_bytes"])) + http
+    lines += [
+        ("WARC-Profile", "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"), ("WARC-Refers-To", _record_id(run, row["target"])), ("WARC-Refers-To-Target-URI", _uri(row["target_url"])),
+        ("WARC-Refers-To-Date", date), ("WARC-Refers-To-Page-ID", "" if row["refers_to"] is None else row["refers_to"]), ("Content-Length", 0),
+    ]
+    return _fields(*lines)
 
 
 class _Member:
@@ -145,6 +181,7 @@ class _Member:
 
 def write(pages: DataFrame, folder: str, *, least_bytes: int = 0, chunk: int = 256 << 10, id_column: str = "page_id", url_column: str = "url", payload_column: str = "html") -> DataFrame:
     """Write pages as gzip-per-record archives into folder; a row per archive: path, n_records. A written table."""
+    run, date = uuid.uuid4(), datetime.datetime.now(datetime.UTC).strftime("%Y-%m-%dT%H:%M:%SZ")
     chunks = chunk_table(pages, chunk=chunk, id_column=id_column, url_column=url_column, payload_column=payload_column)
     decided = decide(chunks, least_bytes)
     body = (F.col("record_type") == "response") | (F.col("chunk_no") == 0)
@@ -161,17 +198,20 @@ def write(pages: DataFrame, folder: str, *, least_bytes: int = 0, chunk: int = 2
         batch = next(batches, None)
         if batch is None:
             return
-        uri = f"{folder}/part-{TaskContext.get().partitionId():06d}.warc.gz"
-        n = 0
+        name = f"part-{TaskContext.get().partitionId():06d}.warc.gz"
+        uri, n = f"{folder}/{name}", 0
         with common.whole_file(uri) as out:
             member = _Member(out)
+            member.start()
+            member.write(_info(run, date, name))
+            member.end()
             while batch is not None:
                 for row in batch.to_pylist():
                     response = row["record_type"] == "response"
                     if row["chunk_no"] == 0:
                         n += 1
                         member.start()
-                        member.write(_header(row, row["payload_bytes"] if response else 0))
+                        member.write(_header(row, run, date))
                     if response:
                         member.write(row["data"])
                     if row["last"] or not response:
@@ -238,12 +278,22 @@ def read(archives: DataFrame, *, chunk: int = 256 << 10, payloads: bool = True)
             for path in (p for batch in batches for p in batch.column("path").to_pylist()):
                 stream = _Stream(_inflated(path))
                 while (head := stream.head()) is not None:
-                    fields = dict(x.split(": ", 1) if ": " in x else (x.rstrip(":"), "") for x in head.decode().lstrip().split("\r\n")[1:])
+                    fields = dict(x.split(": ", 1) if ": " in x else (x.rstrip(":"), "") for x in head.decode().lstrip().split(_END)[1:])
                     number = lambda k, of=fields: int(of[k]) if of.get(k) else None
+                    left = number("Content-Length")
+                    if fields["WARC-Type"] not in ("response", "revisit"):
+                        for _ in stream.body(left):
+                            pass
+                        stream.head()
+                        continue
+                    exact = fields.get("WARC-Page-URI")
+                    url = fields["WARC-Target-URI"] if exact is None else base64.b64decode(exact.strip("=") + "=" * (-len(exact.strip("=")) % 4)).decode() if exact else None
                     more = {"record_type": fields["WARC-Type"], "refers_to": number("WARC-Refers-To-Page-ID"), "stated_bytes": number("WARC-Payload-Length"), "stated_digest": fields["WARC-Payload-Digest"].removeprefix("sha1:")}
-                    running = Running(record, number("WARC-Page-ID"), fields["WARC-Target-URI"], chunk)
+                    running = Running(record, number("WARC-Page-ID"), url, chunk)
                     record += 1
-                    for data in stream.body(number("Content-Length")):
+                    if left:
+                        left -= len(stream.head()) + 4  # of the HTTP message
+                    for data in stream.body(left):
                         for row in running.feed(data):
                             if payloads:
                                 yield row | more

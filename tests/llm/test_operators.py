@@ -630,6 +630,48 @@ def test_archives_read_back_by_chunks(spark, tmp_path):
     assert warc.write(df.where("false"), str(tmp_path / "e")).count() == 0
 
 
+def records_of(path):
+    """The records of a gzipped archive by a plain reading of the format: (fields, block)."""
+    import gzip
+
+    data, out = gzip.open(path).read(), []
+    while data:
+        head, data = data.split(b"\r\n\r\n", 1)
+        first, *lines = head.decode().split("\r\n")
+        assert first == "WARC/1.1"
+        fields = dict(x.split(": ", 1) if ": " in x else (x.rstrip(":"), "") for x in lines)
+        n = int(fields["Content-Length"])
+        out.append((fields, data[:n]))
+        assert data[n : n + 4] == b"\r\n\r\n"
+        data = data[n + 4 :]
+    return out
+
+
+def test_archives_are_valid_and_keep_urls_and_large_payloads(spark, tmp_path):
+    urls_of = ["http://h/a?b=%20c", "http://h/a b\n\u00e9", None, "", "http://h/2"]
+    bodies = ["one", "one", "two", "x" * (9 << 20), "one"]
+    df = spark.createDataFrame([(k, u, b) for k, (u, b) in enumerate(zip(urls_of, bodies, strict=True))], "page_id bigint, url string, html string")
+    archives = warc.write(df, str(tmp_path / "w"))
+    back = {}
+    for r in warc.read(archives).orderBy("page_id", "chunk_no").collect():
+        back.setdefault(r["page_id"], [r["url"], r["record_type"], b""])[2] += r["data"]
+    assert [back[k][0] for k in range(5)] == urls_of
+    assert [(back[k][1], back[k][2].decode()) for k in range(5)] == [("response", "one"), ("revisit", ""), ("response", "two"), ("response", bodies[3]), ("revisit", "")]
+    assert warc.read(archives).where("page_id = 3").agg({"so_far": "max", "chunk_no": "max"}).first()["max(chunk_no)"] == (9 << 20) // (256 << 10) - 1
+    every = [x for r in archives.collect() for x in records_of(r["path"])]
+    ids = {f["WARC-Record-ID"]: f for f, _ in every}
+    assert len(ids) == len(every)
+    for fields, block in every:
+        datetime.datetime.strptime(fields["WARC-Date"], "%Y-%m-%dT%H:%M:%SZ")
+        if fields["WARC-Type"] == "response":
+            assert fields["Content-Type"] == "application/http; msgtype=response" and block.startswith(b"HTTP/1.1 200 OK\r\n")
+            payload = block.split(b"\r\n\r\n", 1)[1]
+            assert fields["WARC-Payload-Digest"] == "sha1:" + base64.b32encode(hashlib.sha1(payload).digest()).decode()
+        if fields["WARC-Type"] == "revisit":
+            assert ids[fields["WARC-Refers-To"]]["WARC-Payload-Digest"] == fields["WARC-Payload-Digest"] and ids[fields["WARC-Refers-To"]]["WARC-Target-URI"] == fields["WARC-Refers-To-Target-URI"]
+    assert sum(f["WARC-Type"] == "warcinfo" for f, _ in every) == archives.count()
+
+
 # 10 Decontamination
 
 
