@@ -2,14 +2,14 @@
 
 A file holds one shard: documents in ascending id order.
 
-    header   16 bytes: magic, format version, bits per id, ids per block, numbers of documents and of ids
     blocks   ids packed low bits first; each block starts at a byte, so block b is found by its offset
     offsets  uint64 byte offset of every block, and of the end of the last
     index    int64 document id and uint64 first id (from the shard's start) of every document, and the count of ids
-    footer   uint64 place of the offsets
+    trailer  place of the offsets, magic, format version, bits per id, ids per block, and as uint64 the numbers of
+             documents, of those without an id (they come first) and of ids
 
-Cases: a null text is empty and yields its end id alone; a null document id sorts first and is kept as the
-least int64; repeated document ids stay separate documents, in a row; an empty table makes no file; further
+Cases: a null text is empty and yields its end id alone; documents without an id sort first, and their number tells them
+from the least int64; repeated document ids stay separate documents, in a row; an empty table makes no file; further
 columns are ignored.
 """
 
@@ -27,8 +27,7 @@ from pyspark.sql import functions as F
 
 from . import common, tokens
 
-_MAGIC, _VERSION, _HEADER = b"HSTK", 1, struct.Struct("<4sBBHII")
-_NULL_ID = -(2**63)
+_MAGIC, _VERSION, _TRAILER = b"HSTK", 2, struct.Struct("<Q4sBBHQQQ")
 
 
 def bits_for(vocabulary: int) -> int:
@@ -60,12 +59,17 @@ class ShardWriter:
     def __init__(self, out, bits: int, block: int):
         self.out, self.bits, self.block = out, bits, block
         self.docs: list[int] = []
+        self.without = 0
         self.firsts: list[int] = []
         self.offsets: list[int] = []
         self.rest, self.n, self.at = np.zeros(0, np.uint32), 0, 0
 
-    def add(self, doc: int, ids: np.ndarray) -> None:
-        self.docs.append(doc)
+    def add(self, doc: int | None, ids: np.ndarray) -> None:
+        """Documents without an id come before all others."""
+        if doc is None and self.without < len(self.docs):
+            raise ValueError("a document without an id after one with an id")
+        self.without += doc is None
+        self.docs.append(0 if doc is None else doc)
         self.firsts.append(self.n)
         self.n += len(ids)
         self.rest = np.concatenate((self.rest, ids))
@@ -86,8 +90,7 @@ class ShardWriter:
         self.out.write(np.array([*self.offsets, self.at], "<u8").tobytes())
         self.out.write(np.array(self.docs, "<i8").tobytes())
         self.out.write(np.array([*self.firsts, self.n], "<u8").tobytes())
-        self.out.write(struct.pack("<Q", place))
-        self.out.write(_HEADER.pack(_MAGIC, _VERSION, self.bits, self.block & 0xFFFF, len(self.docs), self.n))
+        self.out.write(_TRAILER.pack(place, _MAGIC, _VERSION, self.bits, self.block & 0xFFFF, len(self.docs), self.without, self.n))
 
 
 class Shard:
@@ -97,13 +100,11 @@ class Shard:
         where, path = common.open_store(uri)
         self.file = where.open_input_file(path)
         end = self.file.size()
-        tail = self.file.read_at(_HEADER.size + 8, end - _HEADER.size - 8)
-        place = struct.unpack("<Q", tail[:8])[0]
-        magic, version, self.bits, block, docs, self.n = _HEADER.unpack(tail[8:])
+        place, magic, version, self.bits, block, docs, self.without, self.n = _TRAILER.unpack(self.file.read_at(_TRAILER.size, end - _TRAILER.size))
         if magic != _MAGIC or version != _VERSION:
             raise ValueError(f"{uri} is not a token file of version {_VERSION}")
         self.block = block or 1 << 16
-        rest = self.file.read_at(end - _HEADER.size - 8 - place, place)
+        rest = self.file.read_at(end - _TRAILER.size - place, place)
         blocks = -(-self.n // self.block)
         self.offsets = np.frombuffer(rest, "<u8", blocks + 1)
         self.docs = np.frombuffer(rest, "<i8", docs, 8 * (blocks + 1))
@@ -128,13 +129,14 @@ class Shard:
 def write(docs: DataFrame, tokenizer: str, word_ends: bool, end_id: int, vocabulary: int, folder: str, *, id_column: str = "doc_id", text_column: str = "text", block: int = 4096) -> DataFrame:
     """Write docs as shards into folder, in ascending id order; one row per shard: shard, path, n_docs, n_ids.
 
-    Rows are dealt by ranges of (id, hash of text), so that even one id with many rows is shared among tasks.
+    Rows are dealt by ranges of (id, hash of text, place in the input), so that even one id with many equal rows is
+    shared among tasks.
     The result is a written table: reading it doesn't tokenize again.
     """
     bits = bits_for(vocabulary)
     block = min(block, 1 << 15)
     rows = docs.select(F.col(id_column).cast("long").alias("id"), F.col(text_column).alias("text"))
-    dealt = rows.repartitionByRange(F.col("id"), F.xxhash64("text")).sortWithinPartitions("id", F.xxhash64("text"))
+    dealt = rows.withColumn("place", F.monotonically_increasing_id()).repartitionByRange(F.col("id"), F.xxhash64("text"), F.col("place")).drop("place").sortWithinPartitions("id", F.xxhash64("text"))
 
     def shard(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encode, number, first = tokens.encoder(tokenizer, word_ends), TaskContext.get().partitionId(), next(batches, None)
@@ -147,7 +149,7 @@ def write(docs: DataFrame, tokenizer: str, word_ends: bool, end_id: int, vocabul
                 for part in common.parts(first, "text"):
                     ids, at = encode(part.column("text"))
                     for k, doc in enumerate(part.column("id").to_pylist()):
-                        writer.add(_NULL_ID if doc is None else doc, np.append(ids[at[k] : at[k + 1]], np.uint32(end_id)))
+                        writer.add(doc, np.append(ids[at[k] : at[k + 1]], np.uint32(end_id)))
                 first = next(batches, None)
             writer.close()
         yield pa.RecordBatch.from_pydict({"shard": [number], "path": [uri], "n_docs": [len(writer.docs)], "n_ids": [writer.n]})
@@ -181,7 +183,7 @@ def _documents(shards: DataFrame, columns: str, fields: list[pa.Field], of) -> D
                 rows = []
                 for j in range(k, end):
                     doc = int(shard.docs[j])
-                    rows.append({"doc_id": None if doc == _NULL_ID else doc, "start": row["base"] + int(firsts[j])} | of(ids[firsts[j] - firsts[k] : firsts[j + 1] - firsts[k]]))
+                    rows.append({"doc_id": None if j < shard.without else doc, "start": row["base"] + int(firsts[j])} | of(ids[firsts[j] - firsts[k] : firsts[j + 1] - firsts[k]]))
                 yield pa.RecordBatch.from_pylist(rows, schema=schema)
                 k = end
 

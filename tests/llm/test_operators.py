@@ -609,6 +609,19 @@ def test_token_files_read_back(spark, tmp_path):
     assert tokenfile.digests(tokenfile.write(df.where("false"), queries.word_tokenizer(), True, 1, 49_408, str(tmp_path / "g"))).count() == 0
 
 
+@pytest.mark.parametrize("vocabulary", [49_408, 49_408 << 1, 1 << 20])
+def test_files_of_any_width_read_back(spark, tmp_path, vocabulary):
+    """16, 17 and 20 bits an id: the packed ones, from the table to the files and back."""
+    least = -(2**63)
+    df = spark.createDataFrame([(k, t) for k, t in enumerate(ODD)] + [(None, "end"), (least, "least"), (least, None)] + [(5, "again and again")] * 300, "doc_id bigint, text string").repartition(3)
+    shards = tokenfile.write(df, queries.word_tokenizer(), True, 1, vocabulary, str(tmp_path / "f"), block=4093)
+    whole = Tokenizer.from_file(queries.word_tokenizer())
+    want = collections.Counter((r["doc_id"], tuple([*whole.encode(r["text"] or "", add_special_tokens=False).ids, 1])) for r in df.collect())
+    assert collections.Counter((r["doc_id"], tuple(r["ids"])) for r in tokenfile.read(shards).collect()) == want
+    shard = tokenfile.Shard(shards.first()["path"])
+    assert shard.bits == (vocabulary - 1).bit_length()
+
+
 # 9 WARC
 
 
