@@ -11,6 +11,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _written: list[str] = []
 
@@ -46,6 +47,16 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows of a few short columns that may go to every task, about 50 MB.
+BROADCAST_ROWS = 1_000_000
+
+
+def looked_up(rows: DataFrame, small: DataFrame, on: str, how: str = "inner") -> DataFrame:
+    """rows joined with small, a written table that is unique by on. While it is known by count to fit, it goes to the
+    rows, so no key gathers them; beyond, both are shuffled and Spark's adaptive skew join splits hot keys."""
+    return rows.join(F.broadcast(small) if small.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else small, on, how)
+
+
 def sweep() -> None:
     """Remove the tables and files made so far. Call it when no DataFrame that reads them is needed any more."""
     while _written:

@@ -8,22 +8,23 @@ from pyspark.sql import functions as F
 from . import common
 
 
-def components(links: DataFrame, *, most_rounds: int = 60) -> DataFrame:
+def components(links: DataFrame) -> DataFrame:
     """(node, component) of every node of links (a, b): the smallest node that can be reached.
 
-    Each round takes the least label of the neighbours and then the label of the label; both steps are a minimum
-    by key, which is summed up before the shuffle, and a join that looks one row up per row. A written table ends
-    each round.
+    Each round takes the least label of the neighbours and then the label of the label. The first step is a minimum by
+    key, summed up before the shuffle; the second looks up the labels in use, each once, so a component of very many
+    nodes isn't gathered by its label. A written table ends each round. Labels only fall, so the rounds end.
+
+    Cases: a link of a node with itself is a component of one; repeated links count once; no links give no rows.
     """
     both = common.written(links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "links")
     least = both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("least"))
     labels = common.written(least.select("node", F.least("node", "least").alias("component")), "labels")
-    for _ in range(most_rounds):
+    while True:
         heard = both.join(labels.withColumnRenamed("node", "b"), "b").groupBy(F.col("a").alias("node")).agg(F.min("component").alias("heard"))
-        nearer = labels.join(heard, "node").select("node", F.col("component").alias("before"), F.least("component", "heard").alias("component"))
-        of_label = labels.select(F.col("node").alias("component"), F.col("component").alias("onward"))
-        after = common.written(nearer.join(of_label, "component", "left").select("node", "before", F.least("component", "onward").alias("component")), "labels")
-        labels = after.select("node", "component")
-        if after.where("component != before").isEmpty():
-            return labels
-    raise RuntimeError(f"components were not settled in {most_rounds} rounds")
+        nearer = common.written(labels.join(heard, "node").select("node", F.col("component").alias("before"), F.least("component", "heard").alias("component")), "labels")
+        used = nearer.select("component").distinct()
+        onward = common.written(used.join(nearer.select(F.col("node").alias("component"), F.col("component").alias("onward")), "component").where("onward < component"), "labels")
+        if onward.isEmpty() and nearer.where("component != before").isEmpty():
+            return nearer.select("node", "component")
+        labels = common.written(common.looked_up(nearer, onward, "component", "left").select("node", F.coalesce("onward", "component").alias("component")), "labels")

@@ -1,17 +1,21 @@
 """Near-duplicate documents by an LSH forest over MinHash signatures.
 
 A document is its set of word shingles. Documents with equal sets are one class, and only the class's first
-document goes on. Each of several trees sorts the signatures in an order of its own. A region of a tree is a run
-of documents that agree in the first hashes; within it the order goes on to deeper hashes, so that neighbours
-share the longest common prefixes. In a small region every pair is weighed by a compact sketch, in a dense one
-the neighbours only, and each document takes one partner per tree. Links are confirmed on the full sets.
-
-What such a choice leaves open is settled exactly: regions in which the confirmed links leave several components
-are read again, by blocks if they are large, and every pair across components goes through whole signatures, a finer
-one-permutation sketch and full sets.
+document goes on. Each of several trees sorts the signatures in an order of hashes of its own, dealt to tasks by ranges
+of that order. Documents that agree in the first hashes are a region. Where a region is dense it is deepened, hash by
+hash, until the documents that share the longer prefix are few or the order's hashes are used up: each document has the
+depth of its own neighbourhood. The neighbours with whom it shares the prefix of that depth are its candidates; a compact
+sketch weighs them, and each document takes one partner per tree. Links are confirmed on the full sets.
+
+Deepening leaves pairs open that share the short prefix only. What was deepened, or cut by the bounds of a task, is
+settled afterwards if the confirmed links leave several components in it: regions of up to `block` documents are read
+whole, every pair across components; the documents of larger ones go to a second forest of more trees and twice the
+depth, in which regions are far smaller; what is large there still is read by pairs of blocks. Pairs across components
+go through whole signatures, a finer one-permutation sketch and full sets.
 
 Chance alone limits recall: a pair of similarity s shares no region of any tree with probability
-(1 - s^depth)^trees, 5e-6 at 0.75 with the defaults; the sketch's bound is five standard deviations wide.
+(1 - s^depth)^trees, 5e-6 at 0.75 in the first forest; 2.5e-5 in the second, whose trees draw on the same hashes; the
+sketch's bound is five standard deviations wide.
 
 Cases: a null or empty text has no shingles and links to nothing; fewer words than a shingle make one shingle;
 rows that share an id count as one document; a null id stays a row and takes the component of its class in `linked`,
@@ -39,8 +43,10 @@ from .words import mixed, shingles, words_of
 class Forest:
     trees: int = 32
     depth: int = 4  # hashes that a region shares
-    window: int = 64  # places in order that a dense region is weighed over; smaller regions are weighed whole
-    block: int = 4096  # rows of a block when a region is read again
+    more: int = 4  # hashes, at most 4, that the order goes on to, by which dense regions are deepened
+    window: int = 64  # neighbours that a document is weighed with; a region of more is deepened
+    block: int = 4096  # rows of a region, or of a block of it, that are read again at once
+    second: tuple[int, int] = (8, 256)  # depth and trees of the forest for large regions
     shingle: int = 5
     bins: int = 1024  # of the finer sketch that pairs across components go through; a power of two
     percent: int = 75  # 100 * intersection >= percent * union
@@ -53,6 +59,15 @@ class Forest:
     def multipliers(self) -> np.ndarray:
         return mixed(np.arange(1, self.hashes + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(self.seed)) | np.uint64(1)
 
+    def orders(self, level: int = 0) -> tuple[np.ndarray, int]:
+        """(the hashes of every tree's order, how many of them make a region). Level 1 is the second forest."""
+        if level == 0:
+            return (np.arange(self.trees)[:, None] * self.depth + np.arange(self.depth + self.more)) % self.hashes, self.depth
+        depth, trees = min(self.second[0], self.hashes), self.second[1]
+        rng = np.random.default_rng(self.seed)
+        drawn = np.stack([rng.permutation(self.hashes) for _ in range(trees)])
+        return drawn[:, np.arange(depth + self.more) % self.hashes], depth
+
     def most_differing(self) -> int:
         """Bits in which sketches may differ: as expected at the similarity bound, and five standard deviations."""
         size, p = min(self.hashes, 128), (1 - self.percent / 100) / 2
@@ -119,37 +134,47 @@ def profiles(docs: DataFrame, forest: Forest) -> DataFrame:
     return docs.mapInArrow(run, "doc_id long, n_shingles long, set_digest binary, signature binary")
 
 
-def regions_of(hashes: np.ndarray) -> np.ndarray:
-    """Of each signature (documents x trees x depth) its region in every tree."""
-    region = np.broadcast_to(np.arange(1, hashes.shape[1] + 1, dtype=np.uint64), hashes.shape[:2])
+def regions_of(hashes: np.ndarray, forest: Forest, level: int = 0) -> np.ndarray:
+    """Of each signature (documents x hashes) its region in every tree."""
+    order, depth = forest.orders(level)
+    region = np.broadcast_to(np.arange(1, len(order) + 1, dtype=np.uint64), (len(hashes), len(order)))
     with np.errstate(over="ignore"):
-        for d in range(hashes.shape[2]):
-            region = mixed(region * np.uint64(0x9E3779B97F4A7C15) + hashes[:, :, d].astype(np.uint64))
+        for d in range(depth):
+            region = mixed(region * np.uint64(0x9E3779B97F4A7C15) + hashes[:, order[:, d]].astype(np.uint64))
     return region.view(np.int64)
 
 
-_LEAF = [("region", pa.int64()), ("deeper", pa.int64()), ("id", pa.int64()), ("n", pa.int64()), ("sketch_a", pa.int64()), ("sketch_b", pa.int64())]
-LEAVES = "region long, deeper long, id long, n long, sketch_a long, sketch_b long"
+def onward_of(hashes: np.ndarray, forest: Forest, level: int = 0) -> np.ndarray:
+    """Of each signature, in every tree, 16 bits of each hash after those of the region, the next one highest."""
+    order, depth = forest.orders(level)
+    out = np.zeros((len(hashes), len(order)), np.uint64)
+    for d in range(4):
+        out <<= np.uint64(16)
+        if d < forest.more:
+            out |= hashes[:, order[:, depth + d]].astype(np.uint64) & np.uint64(0xFFFF)
+    return out.view(np.int64)
+
+
+_LEAF = [("region", pa.int64()), ("onward", pa.int64()), ("id", pa.int64()), ("n", pa.int64()), ("sketch_a", pa.int64()), ("sketch_b", pa.int64())]
+LEAVES = "region long, onward long, id long, n long, sketch_a long, sketch_b long"
 
 
-def leaves(firsts: DataFrame, forest: Forest) -> DataFrame:
+def leaves(firsts: DataFrame, forest: Forest, level: int = 0) -> DataFrame:
     """A row per document and tree: its region, its place within, and one bit of each hash."""
+    trees = len(forest.orders(level)[0])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for at in range(0, batch.num_rows, 2000):
-                part = batch.slice(at, 2000)
+            for at in range(0, batch.num_rows, 64_000 // trees):
+                part = batch.slice(at, 64_000 // trees)
                 k = part.num_rows
-                hashes = np.frombuffer(b"".join(part.column("signature").to_pylist()), "<u4").reshape(k, forest.trees, forest.depth).astype(np.uint64)
-                region = regions_of(hashes)
-                onward = np.roll(hashes, -1, axis=1)
-                deeper = (onward[:, :, 0] << np.uint64(32)) | onward[:, :, min(1, forest.depth - 1)]
-                bits = np.packbits((hashes.reshape(k, -1)[:, :128] & np.uint64(1)).astype(np.uint8), axis=1)
+                hashes = np.frombuffer(b"".join(part.column("signature").to_pylist()), "<u4").reshape(k, forest.hashes)
+                bits = np.packbits((hashes[:, :128] & np.uint32(1)).astype(np.uint8), axis=1)
                 sketch = np.zeros((k, 16), np.uint8)
                 sketch[:, : bits.shape[1]] = bits
                 two = sketch.view(np.int64)
-                each = [np.repeat(part.column(c).to_numpy(), forest.trees) for c in ("doc_id", "n_shingles")]
-                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (region.ravel(), deeper.view(np.int64).ravel(), *each, *(np.repeat(two[:, j], forest.trees) for j in (0, 1)))], names=[c for c, _ in _LEAF])
+                each = [np.repeat(part.column(c).to_numpy(), trees) for c in ("doc_id", "n_shingles")]
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (regions_of(hashes, forest, level).ravel(), onward_of(hashes, forest, level).ravel(), *each, *(np.repeat(two[:, j], trees) for j in (0, 1)))], names=[c for c, _ in _LEAF])
 
     return firsts.mapInArrow(run, LEAVES)
 
@@ -168,76 +193,108 @@ def _pairs(a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b)), pa.nulls(len(a), pa.int64())], schema=_FOUND)
 
 
-def _look(x: dict[str, np.ndarray], forest: Forest, long: bool) -> Iterator[pa.RecordBatch]:
-    """Pairs of whole regions x in order, or of a block of one long region, and the members to read again."""
-    r, ids = x["region"], x["id"]
-    starts = np.flatnonzero(np.concatenate(([True], r[1:] != r[:-1])))
-    sizes = np.diff(np.append(starts, len(r)))
-    some = np.repeat((sizes > 1) | long, sizes)
+def _neighbourhoods(region: np.ndarray, onward: np.ndarray, forest: Forest) -> tuple[np.ndarray, np.ndarray]:
+    """Of rows in order, (a number that rows of one neighbourhood share, hashes by which it is deeper than its region).
+
+    A row takes the shortest prefix that at most window + 1 rows share, or the longest there is. Prefixes nest, so all
+    rows that share the prefix take the same one.
+    """
+    n = len(region)
+    number, deeper, open_ = np.zeros(n, np.int64), np.zeros(n, np.int64), np.ones(n, bool)
+    bits = onward.view(np.uint64)
+    for d in range(forest.more + 1):
+        edge = np.concatenate(([True], region[1:] != region[:-1]))
+        if d:
+            prefix = bits >> np.uint64(64 - 16 * d)
+            edge[1:] |= prefix[1:] != prefix[:-1]
+        run = np.cumsum(edge) - 1
+        few = np.bincount(run)[run] <= forest.window + 1
+        take = open_ & (few | (d == forest.more))
+        number[take], deeper[take] = run[take] * (forest.more + 1) + d, d
+        open_ &= ~take
+        if not open_.any():
+            break
+    return number, deeper
+
+
+def _look(x: dict[str, np.ndarray], forest: Forest, cut: bool) -> Iterator[pa.RecordBatch]:
+    """Pairs of whole regions x in order, or of a part of one that is cut, and the members to read again."""
+    r = x["region"]
+    sizes = np.diff(np.append(np.flatnonzero(np.concatenate(([True], r[1:] != r[:-1]))), len(r)))
+    some = np.repeat((sizes > 1) | cut, sizes)
     x = {c: v[some] for c, v in x.items()}
-    r, ids, sizes = x["region"], x["id"], sizes[(sizes > 1) | long]
+    r, ids, sizes = x["region"], x["id"], sizes[(sizes > 1) | cut]
     n = len(r)
     if not n:
         return
     starts = np.cumsum(sizes) - sizes
+    number, deeper = _neighbourhoods(r, x["onward"], forest)
     partner, counted = np.full(n, np.iinfo(np.int64).max), np.zeros(n, np.int64)
-    for d in range(1, min(forest.window, int(sizes.max()) - 1) + 1):
-        lo = np.flatnonzero(r[:-d] == r[d:])
+    for d in range(1, forest.window + 1):
+        lo = np.flatnonzero(number[:-d] == number[d:])
+        if not len(lo):
+            break  # a neighbourhood is a run: none has two rows so far apart
         lo = lo[_likely(*(x[c][k] for c in ("n", "sketch_a", "sketch_b") for k in (lo, lo + d)), forest)]
         counted[lo + d] += 1
         np.minimum.at(partner, lo + d, ids[lo])
     took = np.flatnonzero((counted > 0) & (partner != ids))
     yield _pairs(ids[took], partner[took])
     again = np.add.reduceat(counted, starts) > np.add.reduceat((counted > 0).astype(np.int64), starts)
-    rest = np.repeat(again | (sizes > forest.window + 1) | long, sizes)
+    rest = np.repeat(again | (np.maximum.reduceat(deeper, starts) > 0) | (sizes > forest.window + 1) | cut, sizes)
     if rest.any():
         yield pa.RecordBatch.from_arrays([pa.array(ids[rest]), pa.nulls(int(rest.sum()), pa.int64()), pa.array(r[rest])], schema=_FOUND)
 
 
 def neighbours(leaf: DataFrame, forest: Forest) -> DataFrame:
-    """Candidate pairs (a > b, region null), and members (a, region, ...; b null) of regions to be read again.
+    """Candidate pairs (a > b, region null), and members (a, region; b null) of regions to be read again.
 
-    A task streams its regions in order; of a long one it holds a block at a time.
+    The orders are dealt by ranges, so a dense region is spread over tasks like any other stretch; the first and the
+    last region of a task may go on elsewhere and count as cut. A task holds a block of a long region at a time.
     """
-    dealt = leaf.repartition("region").sortWithinPartitions("region", "deeper", "id")
+    dealt = leaf.repartitionByRange("region", "onward", "id").sortWithinPartitions("region", "onward", "id")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = {c: np.zeros(0, np.int64) for c, _ in _LEAF}
-        cut_off = None  # the long region of which a block is out
+        cut_off = None  # the region of which a part lies elsewhere
         for batch in batches:
             if not batch.num_rows:
                 continue
             held = {c: np.concatenate((v, batch.column(c).to_numpy())) for c, v in held.items()}
             r = held["region"]
+            cut_off = int(r[0]) if cut_off is None else cut_off
             last = int(np.flatnonzero(np.concatenate(([True], r[1:] != r[:-1])))[-1])
             if r[-1] != cut_off:
-                head = 0 if cut_off is None else int((r[:last] == cut_off).sum())
-                cut_off = None
+                head = int((r[:last] == cut_off).sum())
                 if head:
                     yield from _look({c: v[:head] for c, v in held.items()}, forest, True)
                 if head < last:
                     yield from _look({c: v[head:last] for c, v in held.items()}, forest, False)
-            held = {c: v[last:] for c, v in held.items()}
+                cut_off = 0 if r[-1] else 1  # any other region than the one held
+            held = {c: v[last:] for c, v in held.items()} if r[-1] != cut_off else held
             if len(held["region"]) > forest.block:
                 cut_off = int(r[-1])
                 yield from _look(held, forest, True)
                 held = {c: v[:0] for c, v in held.items()}
         if len(held["region"]):
-            yield from _look(held, forest, cut_off is not None)
+            yield from _look(held, forest, True)
 
     return dealt.mapInArrow(run, FOUND)
 
 
-def across(members: DataFrame, labels: DataFrame, signatures: DataFrame, docs: DataFrame, forest: Forest) -> DataFrame:
+def left_open(members: DataFrame, labels: DataFrame) -> DataFrame:
+    """(a, region, component, size) of the members of regions that hold several components. A written table."""
+    known = common.written(members.select("a", "region").join(labels.withColumnRenamed("node", "a"), "a", "left").withColumn("component", F.coalesce("component", "a")), "members")
+    several = common.written(known.groupBy("region").agg(F.count("*").alias("size"), F.min("component").alias("least"), F.max("component").alias("most")).where("least < most").select("region", "size"), "regions")
+    return common.written(common.looked_up(known, several, "region"), "members")
+
+
+def across(open_members: DataFrame, signatures: DataFrame, docs: DataFrame, forest: Forest, level: int) -> DataFrame:
     """Likely pairs (a > b) of different components in regions that hold several, by pairs of blocks.
 
     Here whole signatures are compared and then the finer bins, which leaves few pairs below the similarity: they
     would grow with the square of a large group. A pair comes out of the first tree only in which it shares a region.
     """
-    known = members.select("a", "region").join(labels.withColumnRenamed("node", "a"), "a", "left").withColumn("component", F.coalesce("component", "a"))
-    several = known.groupBy("region").agg(F.count("*").alias("size"), F.min("component").alias("least"), F.max("component").alias("most")).where("least < most").select("region", "size")
     blocks = F.ceil(F.col("size") / forest.block).cast("int")
-    open_members = common.written(known.join(several, "region"), "members")
 
     def bins(found: np.ndarray) -> bytes:
         return binned(found, forest.bins).tobytes()
@@ -258,7 +315,7 @@ def across(members: DataFrame, labels: DataFrame, signatures: DataFrame, docs: D
         if x["component"].min() == x["component"].max():
             return
         hashes = np.frombuffer(b"".join(x["signature"]), "<u4").reshape(len(x["a"]), forest.hashes)
-        region = regions_of(hashes.reshape(len(hashes), forest.trees, forest.depth))
+        region = regions_of(hashes, forest, level)
         fine = np.frombuffer(b"".join(x["bins"]), np.uint8).reshape(len(x["a"]), forest.bins)
         own = x["one"][0] == x["two"][0]
         cut = len(x["a"]) if own else int((x["mine"] == x["one"][0]).sum())
@@ -317,8 +374,8 @@ def settled(pairs: DataFrame, labels: DataFrame | None, docs: DataFrame, forest:
             labels = components(new)
         elif not new.isEmpty():
             joined = components(_between(new, labels).select(F.col("a_in").alias("a"), F.col("b_in").alias("b")).distinct())
-            onward = joined.select(F.col("node").alias("component"), F.col("component").alias("onward"))
-            moved = labels.join(onward, "component", "left").select("node", F.coalesce("onward", "component").alias("component"))
+            onward = common.written(joined.where("node != component").select(F.col("node").alias("component"), F.col("component").alias("onward")), "onward")
+            moved = common.looked_up(labels, onward, "component", "left").select("node", F.coalesce("onward", "component").alias("component"))
             labels = common.written(moved.union(joined.join(labels, "node", "left_anti").select("node", "component")), "labels")
     return labels
 
@@ -384,10 +441,20 @@ def linked(docs: DataFrame, forest: Forest = Forest(), *, id_column: str = "doc_
     sets = profile.where("set_digest is not null")
     classes = common.written(sets.groupBy("set_digest").agg(F.min("doc_id").alias("first")), "classes")
     firsts = sets.join(classes.where("first is not null").select(F.col("first").alias("doc_id"), "set_digest"), ["doc_id", "set_digest"], "left_semi")
-    found = common.written(neighbours(leaves(firsts.select("doc_id", "n_shingles", "signature"), forest), forest), "forest")
     texts = rows.where("doc_id is not null")
-    labels = settled(found.where("region is null").select("a", "b").distinct(), None, texts, forest)
-    labels = settled(across(found.where("region is not null"), labels, firsts, texts, forest), labels, texts, forest)
+    some, labels = firsts.select("doc_id", "n_shingles", "signature"), None
+    for level in (0, 1):
+        found = common.written(neighbours(leaves(some, forest, level), forest), "forest")
+        labels = settled(found.where("region is null").select("a", "b").distinct(), labels, texts, forest)
+        held = left_open(found.where("region is not null"), labels)
+        if held.isEmpty():
+            break
+        small = held if level else held.where(F.col("size") <= forest.block)
+        labels = settled(across(small, firsts, texts, forest, level), labels, texts, forest)
+        large = held.where(F.col("size") > forest.block).select(F.col("a").alias("doc_id")).distinct()
+        if level or large.isEmpty():
+            break
+        some = common.written(firsts.join(large, "doc_id", "left_semi").select("doc_id", "n_shingles", "signature"), "dense")
     of_class = classes.join(labels.withColumnRenamed("node", "first"), "first", "left").select("set_digest", F.coalesce("component", "first").alias("class_component"))
     return profile.drop("signature").join(of_class, "set_digest", "left").select(
         "doc_id", "n_shingles", "set_digest", F.when(F.col("set_digest").isNull(), F.col("doc_id")).otherwise(F.coalesce("class_component", "doc_id")).alias("component_id")
@@ -411,8 +478,8 @@ def deduplicated(docs: DataFrame, forest: Forest = Forest(), *, id_column: str =
     several = places.groupBy("id").agg(F.min("component").alias("least"), F.max("component").alias("most")).where("least < most")
     links = common.written(places.join(several, "id").where("component != least").select(F.col("component").alias("a"), F.col("least").alias("b")).distinct(), "links")
     if not links.isEmpty():
-        onward = components(links).select(F.col("node").alias("component"), F.col("component").alias("onward"))
-        labelled = labelled.join(onward, "component", "left").withColumn("component", F.coalesce("onward", "component"))
+        onward = common.written(components(links).select(F.col("node").alias("component"), F.col("component").alias("onward")), "onward")
+        labelled = common.looked_up(labelled, onward, "component", "left").withColumn("component", F.coalesce("onward", "component"))
     best = labelled.groupBy("component").agg(F.min(F.struct(F.col("id").isNull().alias("no_id"), "id", (-F.col("n_shingles")).alias("n"), "row")).alias("best")).select(F.col("best.row").alias("row"))
     dropped = labelled.select("row").join(best, "row", "left_anti").select(F.col("row").alias(row))
     return numbered.join(dropped, row, "left_anti").select(*(F.col(f"`{c}`") for c in docs.columns))

@@ -17,7 +17,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from tokenizers import Tokenizer
 
-from hyperslab.llm import chat, common, decontam, neardup, packing, pii, queries, repetition, secrets, tokenfile, tokens, urls, warc
+from hyperslab.llm import chat, common, decontam, graph, neardup, packing, pii, queries, repetition, secrets, tokenfile, tokens, urls, warc
 from hyperslab.shipping import ship
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
@@ -503,6 +503,26 @@ def test_near_duplicates_against_all_pairs(spark):
     assert neardup.linked(documents(spark, [])).count() == 0
 
 
+def test_each_row_has_the_depth_of_its_neighbourhood():
+    """The shortest prefix of the order that few rows share, against all prefixes."""
+    rng, forest = np.random.default_rng(6), neardup.Forest(window=3)
+    hashes = rng.choice(5, (400, 8), p=[0.6, 0.1, 0.1, 0.1, 0.1]).astype(np.uint64)
+    region, onward = hashes[:, 0].astype(np.int64) * 5 + hashes[:, 1].astype(np.int64), (hashes[:, 2] << np.uint64(48) | hashes[:, 3] << np.uint64(32) | hashes[:, 4] << np.uint64(16) | hashes[:, 5]).view(np.int64)
+    order = np.lexsort((onward, region))
+    rows = [tuple([int(region[k]), *hashes[k, 2:6].tolist()]) for k in order]
+    number, deeper = neardup._neighbourhoods(region[order], onward[order], forest)
+    shared = collections.Counter(r[:n] for r in rows for n in range(1, 6))
+    own = [next((n for n in range(1, 6) if shared[r[:n]] <= 4), 5) for r in rows]
+    assert deeper.tolist() == [n - 1 for n in own] and len(set(own)) > 2
+    assert [number[i] == number[j] for i in range(400) for j in range(i)] == [rows[i][: own[i]] == rows[j][: own[j]] for i in range(400) for j in range(i)]
+
+
+def test_components_of_a_long_path_and_a_hub(spark):
+    links = [(k, k + 1) for k in range(100, 400)] + [(5, 1000 + k) for k in range(300)] + [(7, 7), (100, 5)]
+    found = {r["node"]: r["component"] for r in graph.components(spark.createDataFrame(links, "a bigint, b bigint")).collect()}
+    assert set(found.values()) == {5, 7} and found[7] == 7 and len(found) == 301 + 301 + 1
+
+
 def test_dense_regions_are_settled_by_blocks(spark):
     """Small windows and blocks take the ways of very large groups."""
     rng = np.random.default_rng(4)
