@@ -40,12 +40,12 @@ def inside(space: FeatureSpace, lo: str = "lo", hi: str = "hi") -> Column:
     return reduce(and_, tests)
 
 
-def broadcast_queries(space: FeatureSpace) -> int:
-    """Query rows that fit BROADCAST_BYTES: two arrays of m values, and what a row takes besides."""
-    return max(1, BROADCAST_BYTES // (2 * 9 * space.m + 96))
+def broadcast_queries(space: FeatureSpace, most: int | None = None) -> int:
+    """Query rows that fit most bytes (BROADCAST_BYTES): two arrays of m values, and what a row takes besides."""
+    return max(1, (BROADCAST_BYTES if most is None else most) // (2 * 9 * space.m + 96))
 
 
-def search_batch(df: DataFrame, space: FeatureSpace, queries: DataFrame, *, mode: str = "auto", bins: int = 256) -> DataFrame:
+def search_batch(df: DataFrame, space: FeatureSpace, queries: DataFrame, *, mode: str = "auto", bins: int = 256, broadcast_bytes: int | None = None) -> DataFrame:
     """(query_id, ids) of all hits. mode: 'theta' (queries go to every task; fails if they don't fit), 'binned', or
     'auto', which counts the queries and takes theta as long as they fit."""
     if mode not in ("auto", "theta", "binned"):
@@ -53,13 +53,14 @@ def search_batch(df: DataFrame, space: FeatureSpace, queries: DataFrame, *, mode
     rows = space.features(df)
     boxes = queries.select("query_id", "lo", "hi")
     if mode != "binned":
-        few = boxes.limit(broadcast_queries(space) + 1).count() <= broadcast_queries(space)
+        most = broadcast_queries(space, broadcast_bytes)
+        few = boxes.limit(most + 1).count() <= most
         if few:
             names = space.free("query_id", "lo", "hi")
             sent = boxes.select(*(F.col(c).alias(n) for c, n in zip(("query_id", "lo", "hi"), names, strict=True)))
             return rows.join(F.broadcast(sent), inside(space, *names[1:])).select(F.col(names[0]).alias("query_id"), *map(_quoted, space.ids))
         if mode == "theta":
-            raise ValueError(f"more than {broadcast_queries(space)} queries don't fit a broadcast; take mode 'binned'")
+            raise ValueError(f"more than {most} queries don't fit a broadcast; take mode 'binned'")
     return _binned(rows, space, boxes, bins)
 
 

@@ -45,10 +45,11 @@ class Layout:
         boxes.coalesce(1).write.mode("overwrite").parquet(f"{path}/directory/first")
         return cls(spark, path, space)
 
-    def append(self, df: DataFrame) -> Layout:
+    def append(self, df: DataFrame, *, batch: int | None = None) -> Layout:
         """Rows of df as further files, a leaf of their own per call, with their directory row: a bulk insert. The files
-        come first, so a search that runs meanwhile sees all of it or nothing."""
-        number = self.directory.agg(F.coalesce(F.max("leaf"), F.lit(0)) + 1).first()[0]
+        come first, so a search that runs meanwhile sees all of it or nothing. batch: a number of the caller's; a batch
+        that is appended again replaces itself."""
+        number = self.directory.agg(F.coalesce(F.max("leaf"), F.lit(0)) + 1).first()[0] if batch is None else -1 - batch
         return self._put(df, number, f"append-{number}")
 
     def _put(self, df: DataFrame, number: int, name: str) -> Layout:

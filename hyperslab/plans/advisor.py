@@ -35,10 +35,10 @@ def choose_path(selectivity: float, n: int, m: int, q: int, *, threshold: float
     return Choice("kd_tree", f"selectivity {selectivity:.4g} is at most {threshold:g}")
 
 
-def choice_column(selectivity: Column, n: Column, m: int, q: Column, threshold: float = BREAK_EVEN) -> Column:
-    """The same rules over rows of estimates."""
+def choice_column(selectivity: Column, n: Column, m: int, q: Column, threshold: float = BREAK_EVEN, small: int = SMALL) -> Column:
+    """The same rules over rows of estimates. small: rows up to which a scan wins on the machines at hand."""
     scan = F.when(q <= m / 2, "column_scan").otherwise("row_scan")
-    return F.when((n <= SMALL) | (selectivity > threshold), scan).otherwise("kd_tree")
+    return F.when((n <= small) | (selectivity > threshold), scan).otherwise("kd_tree")
 
 
 def io_break_even(ratio: float) -> float:

@@ -39,8 +39,6 @@ def target_boxes(space: FeatureSpace, selectivity: float, count: int, *, low: fl
     return out
 
 
-#: Dimensions of the templates besides nation and day, and the paper's mean selectivities in percent.
-REPORTED = {"t1": 10.76, "t2": 2.19, "t3": 5.36, "t4": 0.22, "t5": 0.20, "t6": 0.11, "t7": 0.05, "t8": 0.00001, "mixed": 1.58}
 _SLACK = 1e-9
 
 
@@ -86,12 +84,6 @@ def drawn(count: int, weights: dict[str, int], seed: int = 0) -> list[tuple[int,
     return [(k, pool[((k + seed) * 7_919 + 31) % 104_729 % len(pool)]) for k in range(count)]
 
 
-def mixed(count: int, weights: dict[str, int] | None = None, seed: int = 0) -> list[tuple[int, str, BoxQuery]]:
-    """Templates of fixed bounds, t1 .. t7, in a random order; `mixed_boxes` has t8 too."""
-    weights = weights or dict.fromkeys(("t1", "t2", "t3", "t4", "t5", "t6", "t7"), 1)
-    return [(k, t, template(t, k)) for k, t in drawn(count, weights, seed)]
-
-
 ALL = ("t1", "t2", "t3", "t4", "t5", "t6", "t7", "t8")
 
 
@@ -115,4 +107,4 @@ def workload_profile(hits: DataFrame, queries: DataFrame, n: DataFrame) -> DataF
     return each.groupBy("template").agg(F.count("*").alias("n_queries"), F.avg("s").alias("mean_selectivity"), F.stddev_pop("s").alias("sd_selectivity"), F.avg("dims").alias("mean_dims"), F.stddev_pop("dims").alias("sd_dims"))
 
 
-__all__ = ["ALL", "HALF", "REPORTED", "drawn", "mixed", "mixed_boxes", "narrow_boxes", "pair_boxes", "pair_boxes_sql", "target_boxes", "template", "workload_profile"]
+__all__ = ["ALL", "HALF", "drawn", "mixed_boxes", "narrow_boxes", "pair_boxes", "pair_boxes_sql", "target_boxes", "template", "workload_profile"]

@@ -1,4 +1,9 @@
-"""Standing box queries over streams, windowed counts of their hits, and bulk appends to clustered files."""
+"""Standing box queries over streams, windowed counts of their hits, and bulk appends to clustered files.
+
+Cases: null and NaN values lie in no bounded interval; an event without a time lies in no window; rows later than the
+delay are dropped by windows, sessions and deduplication, and counted in the query's progress
+(numRowsDroppedByWatermark); a batch that runs again replaces what it wrote.
+"""
 
 from __future__ import annotations
 
@@ -8,6 +13,7 @@ from pyspark.sql import functions as F
 from ..functions.encode import epoch_seconds
 from ..model import BoxQuery, FeatureSpace
 from ..operators.batch import inside
+from ..operators.layout import Layout
 from ..operators.predicate import box_predicate
 
 
@@ -57,3 +63,12 @@ def append_batches(stream: DataFrame, path: str, checkpoint: str):
         batch.write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     return stream.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint)
+
+
+def append_to_layout(stream: DataFrame, path: str, space: FeatureSpace, checkpoint: str):
+    """Every batch becomes files of the layout at path with their directory row; one that is run again replaces itself."""
+
+    def put(batch: DataFrame, number: int) -> None:
+        Layout(batch.sparkSession, path, space).append(batch, batch=number)
+
+    return stream.writeStream.foreachBatch(put).option("checkpointLocation", checkpoint)
