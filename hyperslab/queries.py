@@ -19,7 +19,7 @@ from .operators.packed import PackedTree
 from .operators.predicate import box_predicate, selectivity_order
 from .operators.scan import ColumnScan, RowScan
 from .operators.vafile import VaFile
-from .plans import advisor
+from .plans import advisor, experiments
 from .shared import new_folder, written
 from .shipping import ship
 from .sources import datagen, tables, workload
@@ -304,44 +304,109 @@ def _motivating() -> dict[str, Entry]:
     }
 
 
+PAIRS = 100
+
+
+def _generated(name: str, make: Callable[[SparkSession, int], DataFrame], sql: str, m: int) -> Features:
+    """Generated data of as many rows as lineitem has, so it grows with the given tables."""
+    return Features(name, FeatureSpace(("id",), tuple(f"d{j}" for j in range(m))), sql, lambda spark, d: make(spark, tables.read(spark, d, "lineitem").count()))
+
+
+def _uniform(m: int, seed: int = 0) -> Features:
+    return _generated(f"uniform{m}", lambda s, n: datagen.uniform(s, n, m, seed), datagen.uniform_sql("lineitem", m, seed), m)
+
+
+def _clusters(c: int) -> Features:
+    return _generated(f"c{c}", lambda s, n: datagen.clustered(s, n, 5, c), datagen.clustered_sql("lineitem", 5, c), 5)
+
+
 def _pairs() -> dict[str, Entry]:
-    def pairs(f: Features, count: int = 30) -> Entry:
+    def pairs(f: Features, count: int = PAIRS) -> Entry:
         def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+            ship(spark)
             df = f.df(spark, sf_dir)
-            return _hits(spark, sf_dir, f, workload.pair_boxes(df, f.space, count))
+            return _counted(df, f.space, workload.pair_boxes(df, f.space, count))
 
         meets = " AND ".join(f"t.{d} BETWEEN q.lo_{d} AND q.hi_{d}" for d in f.space.dims)
         return Entry(run, f"{workload.pair_boxes_sql(f.sql, f.space, count)} SELECT q.query_id, count(*) AS n_hits FROM q JOIN t ON {meets} GROUP BY 1")
 
     out = {"pair_counts_line5": pairs(LINE5), "pair_counts_events3": pairs(EVENTS3), **{f"pair_counts_emb{m}": pairs(embedding(m)) for m in (5, 10, 20, 30, 50, 64)}}
+    out |= {f"cluster_counts_c{c}": pairs(_clusters(c)) for c in (1, 5, 10, 20)}
+    out |= {f"pair_counts_uniform{m}": pairs(_uniform(m), 50) for m in (5, 10, 20, 50, 100)}
+
+    def fixed(f: Features, boxes: list[tuple[int, str, BoxQuery]]) -> Entry:
+        def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+            ship(spark)
+            return _counted(f.df(spark, sf_dir), f.space, query_batch(spark, boxes, f.space))
+
+        return Entry(run, f"SELECT query_id, count(*) AS n_hits FROM {_query_values(boxes, f.space)} JOIN ({f.sql}) AS t ON {_meets_sql(f.space)} GROUP BY 1")
 
-    def generated(name: str, make: Callable[[SparkSession], DataFrame], sql: str, m: int) -> Features:
-        return Features(name, FeatureSpace(("id",), tuple(f"d{j}" for j in range(m))), sql, lambda spark, _: make(spark))
-
-    n = 20_000
-    for c in (1, 5, 10, 20):
-        out[f"cluster_counts_c{c}"] = pairs(generated(f"c{c}", lambda s, c=c: datagen.clustered(s, n, 5, c), datagen.clustered_sql(n, 5, c), 5))
-    uniform = generated("uniform", lambda s: datagen.uniform(s, n, 5), datagen.uniform_sql(n, 5), 5)
-    out["pair_counts_uniform5"] = pairs(uniform)
-    shares = (0.001, 0.004, 0.01, 0.1, 0.5)
-    sweep = [(100 * i + k, f"s{s}", q) for i, s in enumerate(shares) for k, q in enumerate(workload.target_boxes(uniform.space, s, 5))]
-    out["selectivity_sweep"] = Entry(lambda spark, d: _hits(spark, d, uniform, query_batch(spark, sweep, uniform.space)), f"SELECT query_id, count(*) AS n_hits FROM {_query_values(sweep, uniform.space)} JOIN ({uniform.sql}) AS t ON {_meets_sql(uniform.space)} GROUP BY 1")
-    hardware = generated("u20", lambda s: datagen.uniform(s, n, 20, 3), datagen.uniform_sql(n, 20, 3), 20)
-    fixed = [(k, "hardware", q) for k, q in enumerate(workload.target_boxes(hardware.space, 0.001, 10))]
-    out["hardware_workload"] = Entry(lambda spark, d: _hits(spark, d, hardware, query_batch(spark, fixed, hardware.space)), f"SELECT query_id, count(*) AS n_hits FROM {_query_values(fixed, hardware.space)} JOIN ({hardware.sql}) AS t ON {_meets_sql(hardware.space)} GROUP BY 1")
-    sizes = (1_000, 10_000, 20_000)
+    uniform = _uniform(5)
+    out["selectivity_sweep"] = fixed(uniform, [(100 * i + k, f"s{s}", q) for i, s in enumerate(SHARES) for k, q in enumerate(workload.target_boxes(uniform.space, s, 10))])
+    hardware = _uniform(20, 3)
+    out["hardware_workload"] = fixed(hardware, [(k, "hardware", q) for k, q in enumerate(workload.target_boxes(hardware.space, 0.001, PAIRS))])
     box = workload.target_boxes(uniform.space, 0.004, 1)[0]
 
-    def size_profile(spark: SparkSession, _: str) -> DataFrame:
-        df = uniform.df(spark, "")
-        return df.where(box_predicate(box, uniform.space)).select(F.explode(F.array(*map(F.lit, sizes))).alias("n"), "id").where("id < n").groupBy("n").agg(F.count("*").alias("n_hits"))
+    def size_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """Hits among the first hundredth, tenth and all of the rows."""
+        df = uniform.df(spark, sf_dir)
+        n = df.count()
+        found = df.where(box_predicate(box, uniform.space)).select(F.explode(F.array(*(F.lit(v) for v in (100, 10, 1)))).alias("part"), "id")
+        return found.where(F.col("id") < F.floor(F.lit(n) / F.col("part"))).groupBy("part").agg(F.count("*").alias("n_hits"))
 
-    out["size_profile"] = Entry(size_profile, f"SELECT n, count(*) AS n_hits FROM (VALUES {', '.join(f'({s})' for s in sizes)}) AS v(n) JOIN ({uniform.sql}) AS t ON id < n WHERE {box.sql()} GROUP BY 1")
+    out["size_profile"] = Entry(size_profile, f"SELECT part, count(*) AS n_hits FROM (VALUES (100), (10), (1)) AS v(part) JOIN ({uniform.sql}) AS t ON id < (SELECT count(*) FROM lineitem) // part WHERE {box.sql()} GROUP BY 1")
     power = FeatureSpace(("id",), ("d0", "d1", "d2"))
-    out["power_profile"] = Entry(lambda spark, _: batch.counts(batch.search_batch(p := datagen.power_like(spark, n), power, workload.pair_boxes(p, power, 30))), None)
+
+    def power_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
+        ship(spark)
+        df = datagen.power_like(spark, tables.read(spark, sf_dir, "lineitem").count())
+        return _counted(df, power, workload.pair_boxes(df, power, PAIRS))
+
+    out["power_profile"] = Entry(power_profile, None)
     return out
 
 
+#: Target selectivities of the sweep. Fixed values.
+SHARES = (0.00001, 0.0001, 0.001, 0.005, 0.01, 0.02, 0.05, 0.1, 0.2, 0.5)
+
+
+def _contests() -> dict[str, Entry]:
+    """Every contestant over every workload: hits per parameter and contestant, equal for all; bench.py times the same."""
+
+    def over(cases: list[tuple[str, Features, list[tuple[int, str, BoxQuery]]]], contestants=("row_scan", "column_scan", "kd_tree", "packed_r_tree", "va_file"), parts=(8,), lanes=(True,)) -> Entry:
+        def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+            ship(spark)
+            rows = []
+            for parameter, f, boxes in cases:
+                df = written(f.df(spark, sf_dir), "contest")
+                for name in contestants:
+                    kind, k = experiments.CONTESTANTS[name]
+                    for p in parts:
+                        forest = _stored(kind, p=p)(df, f.space)
+                        for vector in lanes:
+                            rows.append(forest.work_batch(boxes, k if vector else None).select(F.lit(parameter).alias("parameter"), F.lit(name).alias("contestant"), F.lit(p).alias("parts"), F.lit(vector).alias("vector"), "hits"))
+            every = reduce(DataFrame.unionAll, rows)
+            return every.groupBy("parameter", "contestant", "parts", "vector").agg(F.sum("hits").alias("hits"))
+
+        names = ", ".join(f"('{c}', {p}, {v})" for c in contestants for p in parts for v in lanes)
+        each = [f"SELECT '{parameter}' AS parameter, count(t.{f.space.ids[0]}) AS hits FROM {_query_values(boxes, f.space)} LEFT JOIN ({f.sql}) AS t ON {_meets_sql(f.space)}" for parameter, f, boxes in cases]
+        return Entry(run, f"SELECT parameter, contestant, parts, vector, hits FROM ({' UNION ALL '.join(each)}) AS h CROSS JOIN (VALUES {names}) AS v(contestant, parts, vector)")
+
+    aimed = lambda f, s, n=10: [(k, "t", q) for k, q in enumerate(workload.target_boxes(f.space, s, n))]
+    five = _uniform(5)
+    kinds = ("row_scan", "kd_tree", "va_file")
+    templates = [(t, WIDE19, [(k, t, workload.template(t, k)) for k in range(10)]) for t in ("t1", "t4", "t7")]
+    return {
+        "contest_dimensionality": over([(str(m), f, aimed(f, 0.001)) for m in (5, 20, 50) for f in [_uniform(m)]], kinds),
+        "contest_selectivity": over([(str(s), five, aimed(five, s)) for s in (0.0001, 0.01, 0.2)]),
+        "contest_clusters": over([(str(c), f, aimed(f, 0.05)) for c in (1, 20) for f in [_clusters(c)]], kinds),
+        "contest_hardware": over([("u20", f, aimed(f, 0.001)) for f in [_uniform(20, 3)]], kinds, parts=(1, 8), lanes=(False, True)),
+        "contest_threads": over([("t5", WIDE19, [(k, "t5", workload.template("t5", k)) for k in range(10)])], ("column_scan", "kd_tree"), parts=(1, 2, 16)),
+        "contest_sensor": over([("events3", EVENTS3, [(0, "s", EVENT_BOX), (1, "s", BoxQuery.of(user=(1.0, 300.0)))])]),
+        "contest_templates": over(templates, kinds),
+    }
+
+
 def _code_sql(d: str, k: int = 4) -> str:
     lo, hi = f"(SELECT min({d}) FROM t)", f"(SELECT max({d}) FROM t)"
     return "(" + " + ".join(f"CAST({d} >= {lo} + ({hi} - {lo}) / {k} * {j} AS INT)" for j in range(1, k)) + ")"
@@ -544,7 +609,7 @@ def _streams() -> dict[str, Entry]:
     }
 
 
-ENTRIES: dict[str, Entry] = {**_scans(), **_forests(), **_layouts(), **_templates(), **_all_templates(), **_motivating(), **_pairs(), **_measures(), **_advice(), **_batches(), **_relational(), **_streams()}
+ENTRIES: dict[str, Entry] = {**_scans(), **_forests(), **_layouts(), **_templates(), **_all_templates(), **_motivating(), **_pairs(), **_contests(), **_measures(), **_advice(), **_batches(), **_relational(), **_streams()}
 QUERIES: dict[str, Query] = {name: e.run for name, e in ENTRIES.items()}
 ORACLES: dict[str, str] = {name: e.sql for name, e in ENTRIES.items() if e.sql is not None}
 

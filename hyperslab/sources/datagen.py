@@ -34,8 +34,13 @@ def uniform(spark: SparkSession, n: int, m: int, seed: int = 0) -> DataFrame:
     return spark.range(n).select("id", *((lattice(F.col("id"), j, seed) / F.lit(float(LEVELS))).alias(f"d{j}") for j in range(m)))
 
 
-def uniform_sql(n: int, m: int, seed: int = 0) -> str:
-    return f"SELECT id, {', '.join(f'CAST({lattice_sql('id', j, seed)} AS DOUBLE) / {LEVELS}.0::DOUBLE AS d{j}' for j in range(m))} FROM (SELECT range AS id FROM range({n}))"
+def _ids_sql(n: int | str) -> str:
+    """Ids 0 to n - 1; n may be the name of a table, for as many as it has rows."""
+    return f"SELECT range AS id FROM range({n})" if isinstance(n, int) else f"SELECT row_number() OVER () - 1 AS id FROM {n}"
+
+
+def uniform_sql(n: int | str, m: int, seed: int = 0) -> str:
+    return f"SELECT id, {', '.join(f'CAST({lattice_sql('id', j, seed)} AS DOUBLE) / {LEVELS}.0::DOUBLE AS d{j}' for j in range(m))} FROM ({_ids_sql(n)})"
 
 
 def _box(k: int, j: int, c: int) -> tuple[float, float]:
@@ -56,12 +61,12 @@ def clustered(spark: SparkSession, n: int, m: int, c: int, seed: int = 0) -> Dat
     return spark.range(n).select("id", cluster.alias("cluster"), *(value(j).alias(f"d{j}") for j in range(m)))
 
 
-def clustered_sql(n: int, m: int, c: int, seed: int = 0) -> str:
+def clustered_sql(n: int | str, m: int, c: int, seed: int = 0) -> str:
     def value(j: int) -> str:
         corner, side = (f"[{', '.join(f'{_box(k, j, c)[which]!r}::DOUBLE' for k in range(c))}][CAST(id % {c} + 1 AS INT)]" for which in (0, 1))
         return f"{corner} + {side} * (CAST({lattice_sql('id', j, seed)} AS DOUBLE) / {LEVELS}.0::DOUBLE)"
 
-    return f"SELECT id, id % {c} AS cluster, {', '.join(f'{value(j)} AS d{j}' for j in range(m))} FROM (SELECT range AS id FROM range({n}))"
+    return f"SELECT id, id % {c} AS cluster, {', '.join(f'{value(j)} AS d{j}' for j in range(m))} FROM ({_ids_sql(n)})"
 
 
 def power_like(spark: SparkSession, n: int, seed: int = 0) -> DataFrame:
