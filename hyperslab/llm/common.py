@@ -57,14 +57,31 @@ def looked_up(rows: DataFrame, small: DataFrame, on: str, how: str = "inner") ->
     return rows.join(F.broadcast(small) if small.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else small, on, how)
 
 
-def sweep() -> None:
-    """Remove the tables and files made so far. Call it when no DataFrame that reads them is needed any more."""
-    while _written:
-        where, path = open_store(_written.pop())
+def made_since(n: int = 0) -> list[str]:
+    """The folders that `new_folder` named after the first n, which are no longer its own to remove."""
+    own = _written[n:]
+    del _written[n:]
+    return own
+
+
+def made() -> int:
+    """How many folders `new_folder` has named that are still its own to remove."""
+    return len(_written)
+
+
+def remove(folders: list[str]) -> None:
+    """Remove tables and files; what is gone already is passed over."""
+    while folders:
+        where, path = open_store(folders.pop())
         with contextlib.suppress(OSError):
             where.delete_dir(path)
 
 
+def sweep() -> None:
+    """Remove the tables and files made so far. Call it when no DataFrame that reads them is needed any more."""
+    remove(made_since())
+
+
 atexit.register(sweep)
 
 
