@@ -21,7 +21,7 @@ def components(links: DataFrame) -> DataFrame:
     least = both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("least"))
     labels = common.written(least.select("node", F.least("node", "least").alias("component")), "labels")
     while True:
-        heard = both.join(labels.withColumnRenamed("node", "b"), "b").groupBy(F.col("a").alias("node")).agg(F.min("component").alias("heard"))
+        heard = common.looked_up(both, labels.withColumnRenamed("node", "b"), "b").groupBy(F.col("a").alias("node")).agg(F.min("component").alias("heard"))
         nearer = common.written(labels.join(heard, "node").select("node", F.col("component").alias("before"), F.least("component", "heard").alias("component")), "labels")
         used = nearer.select("component").distinct()
         onward = common.written(used.join(nearer.select(F.col("node").alias("component"), F.col("component").alias("onward")), "component").where("onward < component"), "labels")

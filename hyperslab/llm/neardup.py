@@ -283,7 +283,7 @@ def neighbours(leaf: DataFrame, forest: Forest) -> DataFrame:
 
 def left_open(members: DataFrame, labels: DataFrame) -> DataFrame:
     """(a, region, component, size) of the members of regions that hold several components. A written table."""
-    known = common.written(members.select("a", "region").join(labels.withColumnRenamed("node", "a"), "a", "left").withColumn("component", F.coalesce("component", "a")), "members")
+    known = common.written(common.looked_up(members.select("a", "region"), labels.withColumnRenamed("node", "a"), "a", "left").withColumn("component", F.coalesce("component", "a")), "members")
     several = common.written(known.groupBy("region").agg(F.count("*").alias("size"), F.min("component").alias("least"), F.max("component").alias("most")).where("least < most").select("region", "size"), "regions")
     return common.written(common.looked_up(known, several, "region"), "members")
 
@@ -383,7 +383,7 @@ def settled(pairs: DataFrame, labels: DataFrame | None, docs: DataFrame, forest:
 def _between(pairs: DataFrame, labels: DataFrame) -> DataFrame:
     """pairs (a, b) with the components a_in and b_in; a document without one is its own."""
     for c in ("a", "b"):
-        pairs = pairs.join(labels.select(F.col("node").alias(c), F.col("component").alias(f"{c}_in")), c, "left")
+        pairs = common.looked_up(pairs, labels.select(F.col("node").alias(c), F.col("component").alias(f"{c}_in")), c, "left")
     return pairs.select("a", "b", *(F.coalesce(f"{c}_in", c).alias(f"{c}_in") for c in ("a", "b")))
 
 
@@ -481,5 +481,5 @@ def deduplicated(docs: DataFrame, forest: Forest = Forest(), *, id_column: str =
         onward = common.written(components(links).select(F.col("node").alias("component"), F.col("component").alias("onward")), "onward")
         labelled = common.looked_up(labelled, onward, "component", "left").withColumn("component", F.coalesce("onward", "component"))
     best = labelled.groupBy("component").agg(F.min(F.struct(F.col("id").isNull().alias("no_id"), "id", (-F.col("n_shingles")).alias("n"), "row")).alias("best")).select(F.col("best.row").alias("row"))
-    dropped = labelled.select("row").join(best, "row", "left_anti").select(F.col("row").alias(row))
-    return numbered.join(dropped, row, "left_anti").select(*(F.col(f"`{c}`") for c in docs.columns))
+    dropped = common.written(labelled.select("row").join(best, "row", "left_anti").select(F.col("row").alias(row)), "dropped")
+    return common.looked_up(numbered, dropped, row, "left_anti").select(*(F.col(f"`{c}`") for c in docs.columns))
