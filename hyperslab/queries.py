@@ -22,8 +22,8 @@ from .operators.vafile import VaFile
 from .plans import advisor, experiments
 from .shared import new_folder, written
 from .shipping import ship
-from .sources import datagen, tables, workload
-from .sources.tables import CORRELATED3, DOCS4, EVENTS3, LINE5, PAGES3, TURNS2, WIDE19, Features, embedding
+from .sources import datagen, formats, tables, workload
+from .sources.tables import BENCH2, CORRELATED3, DOCS4, EVENTS3, LINE5, PAGES3, TURNS2, WIDE19, Features, embedding
 from .streaming import standing
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -299,6 +299,7 @@ def _motivating() -> dict[str, Entry]:
         "q_cohort": _path(WIDE19, workload.template("t5", 7), partial(ColumnScan, combine="fused")),
         "q_doc_box": _path(DOCS4, docs, RowScan),
         "q_page_box": _path(PAGES3, BoxQuery.of(size=(500.0, 3_000.0), links=(2.0, None)), RowScan),
+        "q_bench_box": _path(BENCH2, BoxQuery.of(size=(100.0, 600.0), gaps=(None, 80.0)), RowScan),
         "q_conv_box": _path(TURNS2, BoxQuery.of(turn=(1.0, 4.0), size=(50.0, 400.0)), RowScan),
         "null_box": _path(DOCS4, BoxQuery.of(quality=(0.0, 1.0), toxic=(None, 0.0)), partial(RowScan, full_width=True)),
     }
@@ -544,6 +545,21 @@ def _relational() -> dict[str, Entry]:
         lo, hi = (F.array(*(F.lit(v).cast("double") if j < 8 else F.lit(None).cast("double") for j in range(64))) for v in (-0.2, 0.25))
         return tables.read(spark, sf_dir, "embeddings").where(box_match(F.col("embedding").cast("array<double>"), lo, hi)).select("vec_id")
 
+    def orders_met(spark: SparkSession, sf_dir: str, how: str) -> DataFrame:
+        """Lines in the box by the priority of their order, joined the way that the hint names; neither side is bounded."""
+        lines = LINE5.df(spark, sf_dir).where(box_predicate(LINE_BOX, LINE5.space)).select("l_orderkey")
+        orders = tables.read(spark, sf_dir, "orders").select("o_orderkey", "o_orderpriority")
+        return lines.hint(how).join(orders, F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n_hits"))
+
+    orders_sql = f"SELECT o_orderpriority, count(*) AS n_hits FROM ({LINE5.sql}) AS t JOIN orders ON l_orderkey = o_orderkey WHERE {LINE_BOX.sql()} GROUP BY o_orderpriority"
+
+    def exists(spark: SparkSession, sf_dir: str) -> DataFrame:
+        """The orders with a line in the box, as a correlated subquery that the optimizer turns into a semi join."""
+        return spark.sql(
+            f"SELECT o_orderkey FROM {{orders}} WHERE EXISTS (SELECT 1 FROM {{lines}} WHERE l_orderkey = o_orderkey AND {LINE_BOX.sql()})",
+            orders=tables.read(spark, sf_dir, "orders"), lines=LINE5.df(spark, sf_dir),
+        )
+
     return {
         "box_union": ev(both(lambda x, y: x.union(y).distinct()), f"SELECT event_id FROM {{t}} WHERE ({a.sql()}) OR ({b.sql()})"),
         "box_intersect": ev(both(lambda x, y: x.intersect(y)), f"SELECT event_id FROM {{t}} WHERE ({a.sql()}) AND ({b.sql()})"),
@@ -555,11 +571,39 @@ def _relational() -> dict[str, Entry]:
         "box_window_running": ev(running, f"SELECT event_id, count(*) OVER (PARTITION BY \"user\" ORDER BY second, event_id ROWS UNBOUNDED PRECEDING) AS n_so_far FROM {{t}} WHERE {b.sql()}"),
         "box_cube": _measure(WIDE19, lambda d, s: nation(d, s).cube("nation", "status").agg(F.count("*").alias("n_hits")), f"SELECT nation, status, count(*) AS n_hits FROM {{t}} WHERE {box} GROUP BY CUBE (nation, status)"),
         "box_rollup": _measure(WIDE19, lambda d, s: nation(d, s).rollup("nation", "segment").agg(F.count("*").alias("n_hits")), f"SELECT nation, segment, count(*) AS n_hits FROM {{t}} WHERE {box} GROUP BY ROLLUP (nation, segment)"),
+        "box_grouping_sets": _measure(WIDE19, lambda d, s: nation(d, s).groupingSets([["nation"], ["status"], []], "nation", "status").agg(F.count("*").alias("n_hits")), f"SELECT nation, status, count(*) AS n_hits FROM {{t}} WHERE {box} GROUP BY GROUPING SETS ((nation), (status), ())"),
+        "box_pivot": _measure(WIDE19, lambda d, s: nation(d, s).groupBy("nation").pivot("status", [1.0, 2.0]).agg(F.count(F.lit(1))).toDF("nation", "status_1", "status_2").na.fill(0), f"SELECT nation, count(*) FILTER (status = 1) AS status_1, count(*) FILTER (status = 2) AS status_2 FROM {{t}} WHERE {box} GROUP BY nation"),
+        "box_view": ev(lambda d, s: d.sparkSession.sql(f"SELECT event_id FROM {{rows}} WHERE {EVENT_BOX.sql({'user': '`user`'})}", rows=d), f"SELECT event_id FROM {{t}} WHERE {EVENT_BOX.sql({'user': '"user"'})}"),
+        "box_join_merge": Entry(partial(orders_met, how="merge"), orders_sql),
+        "box_join_shuffle_hash": Entry(partial(orders_met, how="shuffle_hash"), orders_sql),
+        "box_exists": Entry(exists, f"SELECT o_orderkey FROM orders WHERE EXISTS (SELECT 1 FROM ({LINE5.sql}) AS t WHERE l_orderkey = o_orderkey AND {LINE_BOX.sql()})"),
         "asof_box": ev(asof, f"SELECT event_id, before FROM (SELECT *, lag(event_id) OVER (PARTITION BY \"user\" ORDER BY second, event_id) AS before FROM {{t}}) AS w WHERE {EVENT_BOX.sql()}"),
         "array_box": Entry(array_box, "SELECT vec_id FROM embeddings WHERE " + " AND ".join(f"CAST(embedding[{j + 1}] AS DOUBLE) BETWEEN -0.2::DOUBLE AND 0.25::DOUBLE" for j in range(8))),
     }
 
 
+def _formats() -> dict[str, Entry]:
+    """Searches of tables read from each format, and of a file of queries."""
+    schema = "event_id bigint, second double, user double, value double"
+
+    def through(d: DataFrame, s: FeatureSpace, fmt: str) -> DataFrame:
+        path = new_folder(d.sparkSession, fmt)
+        formats.store(d, path, fmt)
+        return RowScan(formats.load(d.sparkSession, path, fmt, schema), s).search(EVENT_BOX)
+
+    several = [(k, "file", BoxQuery.of(user=(40.0 * k, 40.0 * k + 90.0), value=(None if k % 2 else 5.0, 30.0 + 10 * k))) for k in range(8)] + [(8, "file", BoxQuery.of(value=(70.0, None)))]
+
+    def query_file(d: DataFrame, s: FeatureSpace) -> DataFrame:
+        spark, path = d.sparkSession, new_folder(d.sparkSession, "queries")
+        formats.queries_to(query_batch(spark, several, s), path, s)
+        return batch.search_batch(d, s, formats.queries_from(spark, path, s))
+
+    return {
+        **{f"source_{fmt}": _measure(EVENTS3, partial(through, fmt=fmt), f"SELECT event_id FROM {{t}} WHERE {EVENT_BOX.sql({'user': '"user"'})}") for fmt in formats.FORMATS},
+        "query_file": _measure(EVENTS3, query_file, f"SELECT query_id, event_id FROM {_query_values(several, EVENTS3.space)} JOIN {{t}} ON {_meets_sql(EVENTS3.space)}"),
+    }
+
+
 def _streams() -> dict[str, Entry]:
     space = FeatureSpace(("event_id",), ("second", "user", "value"))
     schema = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
@@ -609,7 +653,7 @@ def _streams() -> dict[str, Entry]:
     }
 
 
-ENTRIES: dict[str, Entry] = {**_scans(), **_forests(), **_layouts(), **_templates(), **_all_templates(), **_motivating(), **_pairs(), **_contests(), **_measures(), **_advice(), **_batches(), **_relational(), **_streams()}
+ENTRIES: dict[str, Entry] = {**_scans(), **_forests(), **_layouts(), **_templates(), **_all_templates(), **_motivating(), **_pairs(), **_contests(), **_measures(), **_advice(), **_batches(), **_relational(), **_formats(), **_streams()}
 QUERIES: dict[str, Query] = {name: e.run for name, e in ENTRIES.items()}
 ORACLES: dict[str, str] = {name: e.sql for name, e in ENTRIES.items() if e.sql is not None}
 

@@ -122,3 +122,10 @@ def _conversations(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 TURNS2 = Features("turns2", FeatureSpace(("conv_id", "turn_no"), ("turn", "size")), "SELECT conv_id, turn AS turn_no, CAST(turn AS DOUBLE) AS turn, CAST(length(text) AS DOUBLE) AS size FROM conversations", _conversations)
+
+
+def _benchmark(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return read(spark, sf_dir, "benchmark").select("item_id", F.char_length("text").cast("double").alias("size"), F.regexp_count("text", F.lit(" ")).cast("double").alias("gaps"))
+
+
+BENCH2 = Features("bench2", FeatureSpace(("item_id",), ("size", "gaps")), "SELECT item_id, CAST(length(text) AS DOUBLE) AS size, CAST(len(regexp_extract_all(text, ' ')) AS DOUBLE) AS gaps FROM benchmark", _benchmark)
