@@ -24,47 +24,51 @@ class KdTree:
 def build(x: np.ndarray, variant: str = "insertion", max_depth: int | None = None) -> KdTree:
     """variant 'insertion': the tree that inserting the rows in order makes; 'median': each node splits at a median.
 
-    Built level by level: the first row of a subset in insertion order becomes its node, the others go left if
+    Built level by level, all nodes of a level at once: the first row of a subset in insertion order becomes its node, the others go left if
     they are smaller or equal in the node's dimension. Many equal values would make a chain; below max_depth a
     subset stays a bucket.
     """
     n, m = x.shape
     limit = max_depth if max_depth is not None else max(16, int(4 * np.log2(n + 1)))
-    row, left, right, depth = [], [], [], []
+    row, left, right, depth = (np.full(n, -1, np.int32) for _ in range(4))
     bucket: dict[int, np.ndarray] = {}
-    level: list[tuple[np.ndarray, int, int]] = [(np.arange(n), -1, 0)] if n else []
-    d = 0
-    while level:
-        onward = []
-        for rows, parent, side in level:
-            me = len(row)
-            if parent >= 0:
-                (left if side == 0 else right)[parent] = me
-            dim = d % m
-            if d >= limit:
-                row.append(rows[0])
-                if len(rows) > 1:
-                    bucket[me] = rows[1:]
-                rest_left = rest_right = rows[:0]
-            else:
-                if variant == "median" and len(rows) > 2:
-                    k = len(rows) // 2
-                    order = np.argpartition(x[rows, dim], k)
-                    head = rows[order[k]]
-                    rest = rows[rows != head]
-                else:
-                    head, rest = rows[0], rows[1:]
-                row.append(head)
-                goes_left = x[rest, dim] <= x[head, dim]
-                rest_left, rest_right = rest[goes_left], rest[~goes_left]
-            left.append(-1)
-            right.append(-1)
-            depth.append(d)
-            for part, s in ((rest_left, 0), (rest_right, 1)):
-                if len(part):
-                    onward.append((part, me, s))
-        level, d = onward, d + 1
-    return KdTree(x, np.array(row, np.int64), np.array(left, np.int64), np.array(right, np.int64), np.array(depth, np.int64), bucket)
+    rows, starts, parent, side = np.arange(n, dtype=np.int32), np.zeros(min(1, n), np.int64), np.full(1, -1), np.zeros(1, np.int64)
+    first = d = 0  # number of the level's first node
+    while len(rows):
+        count, dim = len(starts), d % m
+        sizes = np.diff(np.append(starts, len(rows)))
+        nodes = first + np.arange(count)
+        if d:
+            left[parent[side == 0]], right[parent[side == 1]] = nodes[side == 0], nodes[side == 1]
+        depth[nodes] = d
+        if d >= limit:
+            row[nodes] = rows[starts]
+            bucket = {int(nodes[g]): rows[starts[g] + 1 : starts[g] + sizes[g]] for g in np.flatnonzero(sizes > 1)}
+            first += count
+            break
+        group = np.repeat(np.arange(count), sizes)
+        head = starts
+        if variant == "median":
+            head = np.where(sizes > 2, np.lexsort((x[rows, dim], group))[starts + sizes // 2], starts)
+        row[nodes] = rows[head]
+        cut = x[row[nodes], dim]
+        others = np.ones(len(rows), bool)
+        others[head] = False
+        rest, group = rows[others], group[others]
+        goes_left = x[rest, dim] <= cut[group]
+        loads = np.bincount(2 * group + ~goes_left, minlength=2 * count)  # left and right of every node
+        at = np.cumsum(loads) - loads
+        place = np.empty(len(rest), np.int64)
+        for s, chosen in ((0, goes_left), (1, ~goes_left)):
+            own = group[chosen]
+            before = np.cumsum(loads[s::2]) - loads[s::2]
+            place[chosen] = at[s::2][own] + np.arange(len(own)) - before[own]
+        rows = np.empty(len(rest), np.int32)
+        rows[place] = rest
+        full = np.flatnonzero(loads)
+        starts, parent, side = at[full], first + full // 2, full % 2
+        first, d = first + count, d + 1
+    return KdTree(x, row[:first], left[:first], right[:first], depth[:first], bucket)
 
 
 def search(tree: KdTree, lo: np.ndarray, hi: np.ndarray, k: int | None = None) -> tuple[np.ndarray, dict[str, int]]:
@@ -75,7 +79,7 @@ def search(tree: KdTree, lo: np.ndarray, hi: np.ndarray, k: int | None = None) -
     while len(frontier):
         visited += len(frontier)
         rows = tree.row[frontier]
-        tested = np.concatenate([rows, *(tree.bucket[f] for f in frontier.tolist() if f in tree.bucket)])
+        tested = np.concatenate([rows, *(tree.bucket[f] for f in frontier.tolist() if f in tree.bucket)]) if tree.bucket else rows
         x = tree.x[tested]
         ok, c = passes(x, x, lo, hi, k)
         compared, objects = compared + c, objects + len(tested)
