@@ -12,10 +12,13 @@ from __future__ import annotations
 from functools import reduce
 from operator import and_
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..model import BoxQuery, FeatureSpace, Interval
+from . import flat
 from .predicate import box_predicate
 
 #: Bytes of query rows that may go to every task. A batch beyond it is joined by bins.
@@ -153,6 +156,41 @@ def shared_counts(df: DataFrame, space: FeatureSpace, queries: list[tuple[int, s
     return reduce(DataFrame.unionAll, out)
 
 
+#: Bytes of values that are compared with all queries at once: rows are gathered to blocks of columns of that size.
+BLOCK_BYTES = 4 << 20
+
+
+def scan_counts(df: DataFrame, space: FeatureSpace, queries: list[tuple[int, str, BoxQuery]]) -> DataFrame:
+    """(query_id, n_hits) of the queries with a hit: a column scan for all queries in one pass over the rows where they lie.
+
+    Nothing is dealt out, written or kept: a task holds one block of rows and a counter per query.
+    """
+    bounds = [(i, *(np.array([np.nan if b is None else b for b in side], float) for side in q.bounds(space))) for i, _, q in queries if not q.is_empty]
+    most = max(1, BLOCK_BYTES // (8 * max(1, space.m)))
+
+    def run(batches):
+        found, held = np.zeros(len(bounds), np.int64), []
+
+        def counted() -> None:
+            block = {"columns": np.stack([np.concatenate([b.column(j).to_numpy(zero_copy_only=False) for b in held]) for j in range(space.m)])}
+            for k, (_, lo, hi) in enumerate(bounds):
+                found[k] += len(flat.search_columns(block, lo, hi)[0])
+            held.clear()
+
+        for batch in batches:
+            for a in range(0, batch.num_rows, most):
+                held.append(batch.slice(a, most))
+                if sum(b.num_rows for b in held) >= most:
+                    counted()
+        if held:
+            counted()
+        some = np.flatnonzero(found)
+        yield pa.RecordBatch.from_arrays([pa.array([bounds[k][0] for k in some], pa.int64()), pa.array(found[some])], names=["query_id", "n_hits"])
+
+    values = space.features(df).select(*(_quoted(d).cast("double").alias(f"v{j}") for j, d in enumerate(space.dims)))
+    return values.mapInArrow(run, "query_id long, n_hits long").groupBy("query_id").agg(F.sum("n_hits").alias("n_hits"))
+
+
 def taken(queries: DataFrame, space: FeatureSpace) -> list[tuple[int, str, BoxQuery]]:
     """Query rows (query_id, template, lo, hi) on the driver, as many as may be broadcast; more fail."""
     most = broadcast_queries(space)

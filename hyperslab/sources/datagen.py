@@ -29,9 +29,17 @@ def lattice_sql(i: str, j: int, seed: int = 0) -> str:
     return f"(({y} * {y}) % {PRIME} % {LEVELS})"
 
 
+#: Rows of a partition of generated data.
+SPLIT = 250_000
+
+
+def _ids(spark: SparkSession, n: int) -> DataFrame:
+    return spark.range(0, n, 1, max(spark.sparkContext.defaultParallelism, -(-n // SPLIT)))
+
+
 def uniform(spark: SparkSession, n: int, m: int, seed: int = 0) -> DataFrame:
     """id and d0 .. d{m-1}, uniform in [0, 1)."""
-    return spark.range(n).select("id", *((lattice(F.col("id"), j, seed) / F.lit(float(LEVELS))).alias(f"d{j}") for j in range(m)))
+    return _ids(spark, n).select("id", *((lattice(F.col("id"), j, seed) / F.lit(float(LEVELS))).alias(f"d{j}") for j in range(m)))
 
 
 def _ids_sql(n: int | str) -> str:
@@ -58,7 +66,7 @@ def clustered(spark: SparkSession, n: int, m: int, c: int, seed: int = 0) -> Dat
         corner, side = (F.element_at(F.array(*(F.lit(_box(k, j, c)[which]) for k in range(c))), (cluster + 1).cast("int")) for which in (0, 1))
         return corner + side * (lattice(F.col("id"), j, seed) / F.lit(float(LEVELS)))
 
-    return spark.range(n).select("id", cluster.alias("cluster"), *(value(j).alias(f"d{j}") for j in range(m)))
+    return _ids(spark, n).select("id", cluster.alias("cluster"), *(value(j).alias(f"d{j}") for j in range(m)))
 
 
 def clustered_sql(n: int | str, m: int, c: int, seed: int = 0) -> str:
@@ -74,4 +82,4 @@ def power_like(spark: SparkSession, n: int, seed: int = 0) -> DataFrame:
     i = F.col("id").cast("double")
     wave = F.sin(i / F.lit(n / 12.0)) + 0.4 * F.sin(i / F.lit(n / 97.0))
     noise = [lattice(F.col("id"), j, seed) / F.lit(float(LEVELS)) - 0.5 for j in (0, 1)]
-    return spark.range(n).select("id", i.alias("d0"), F.round(4000 + 1500 * wave + 900 * noise[0], 0).alias("d1"), F.round(4200 + 1400 * wave + 1000 * noise[1], 0).alias("d2"))
+    return _ids(spark, n).select("id", i.alias("d0"), F.round(4000 + 1500 * wave + 900 * noise[0], 0).alias("d1"), F.round(4200 + 1400 * wave + 1000 * noise[1], 0).alias("d2"))

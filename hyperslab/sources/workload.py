@@ -3,23 +3,59 @@
 from __future__ import annotations
 
 from collections.abc import Sequence
+from functools import reduce
+from operator import and_
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.encode import with_row_id
 from ..model import BoxQuery, FeatureSpace, Interval, query_batch
+from ..shared import written
 
 #: Which rows make pair k, as multiplier and offset modulo the number of rows.
 PAIR_A, PAIR_B = (7_919, 13), (104_729, 71)
 
 
+#: Places up to which they are sent to every task.
+SENT = 100_000
+
+
+def rows_at(rows: DataFrame, space: FeatureSpace, picks: DataFrame, numbered: DataFrame, few: bool) -> DataFrame:
+    """The rows of a feature table at the places (0-based, by the ids) that picks has in its column place, with place.
+
+    numbered: the ids with place, as `_numbered` has them. Ids only are sorted and written; values are read of the rows
+    that are picked. Of rows with equal ids each is found at one of their places. few: the picks fit every task.
+    """
+    sent = F.broadcast if few else (lambda d: d)
+    part, rank = space.free("place", "rank")
+    ids = [f"`{c}`" for c in space.ids]
+    same = lambda a, b: reduce(and_, [F.col(f"a.{c}").eqNullSafe(F.col(f"b.{c}")) for c in ids])
+    chosen = written(numbered.join(sent(picks.select(F.col("place").alias(part)).distinct()), part), "picked")
+    keys = chosen.select(*ids).distinct()
+    firsts = numbered.alias("a").join(sent(keys.alias("b")), same("a", "b"), "left_semi").groupBy(*ids).agg(F.min(part).alias(rank))
+    ranked = chosen.alias("a").join(sent(firsts.alias("b")), same("a", "b")).select(*(f"a.{c}" for c in ids), f"a.{part}", (F.col(f"a.{part}") - F.col(f"b.{rank}") + 1).alias(rank))
+    met = rows.alias("a").join(sent(keys.alias("b")), same("a", "b"), "left_semi")
+    met = met.withColumn(rank, F.row_number().over(Window.partitionBy(*ids).orderBy(*(f"`{d}`" for d in space.dims))))
+    return met.alias("a").join(sent(ranked.alias("b")), same("a", "b") & (F.col(f"a.{rank}") == F.col(f"b.{rank}"))).select(F.col(f"b.{part}").alias("place"), F.array(*(F.col(f"a.`{d}`") for d in space.dims)).alias("x"))
+
+
+def _numbered(rows: DataFrame, space: FeatureSpace) -> DataFrame:
+    """The ids with their place in their own order, from 0."""
+    part = space.free("place")[0]
+    return with_row_id(rows.select(*(f"`{c}`" for c in space.ids)), space.ids, name=part).withColumn(part, F.col(part) - 1)
+
+
 def pair_boxes(df: DataFrame, space: FeatureSpace, count: int, seed: int = 0) -> DataFrame:
     """Query rows whose corners are two stored objects, the least and the greatest value per dimension."""
-    rows = with_row_id(space.features(df).where(" AND ".join(f"{d} IS NOT NULL" for d in space.dims)), space.ids).select((F.col("row_id") - 1).alias("place"), F.array(*space.dims).alias("x"))
-    n = rows.agg(F.count("*").alias("n"))
+    rows = space.features(df).where(" AND ".join(f"{d} IS NOT NULL" for d in space.dims))
+    numbered = _numbered(rows, space)
+    n = numbered.agg(F.count("*").alias("n"))
     picks = df.sparkSession.range(count).crossJoin(F.broadcast(n)).where("n > 0")  # count rows by one row
-    corners = [picks.select(F.col("id").alias("query_id"), ((F.col("id") + seed) * a + c).alias("p"), "n").select("query_id", F.pmod("p", "n").alias("place")).join(rows, "place").select("query_id", F.col("x").alias(name)) for (a, c), name in ((PAIR_A, "one"), (PAIR_B, "two"))]
+    each = [picks.select(F.col("id").alias("query_id"), F.lit(name).alias("corner"), F.pmod((F.col("id") + seed) * a + c, "n").alias("place")) for (a, c), name in ((PAIR_A, "one"), (PAIR_B, "two"))]
+    places = written(each[0].unionAll(each[1]), "places")
+    found = written(rows_at(rows, space, places, numbered, count <= SENT), "corners")
+    corners = [places.where(F.col("corner") == name).join(found, "place").select("query_id", F.col("x").alias(name)) for name in ("one", "two")]
     return corners[0].join(corners[1], "query_id").select("query_id", F.lit("pair").alias("template"), F.zip_with("one", "two", lambda a, b: F.least(a, b)).alias("lo"), F.zip_with("one", "two", lambda a, b: F.greatest(a, b)).alias("hi"))
 
 
@@ -71,11 +107,13 @@ HALF = {"day": 30, "quantity": 5, "price": 2000, "discount": 0.02, "tax": 0.02,
 
 def narrow_boxes(df: DataFrame, space: FeatureSpace, count: int) -> DataFrame:
     """The complete-match template: a narrow box on all dimensions around each of count rows spread over the key order."""
-    rows = with_row_id(space.features(df), space.ids)
-    n = rows.agg(F.count("*").alias("n"))
-    chosen = df.sparkSession.range(count).crossJoin(F.broadcast(n)).select(F.col("id").alias("query_id"), (F.floor(F.col("id") * F.col("n") / F.lit(count)) + 1).alias("row_id"))
-    bounds = [F.array(*(F.col(d) + sign * (HALF.get(d, 0) + (_SLACK if d in ("discount", "tax") else 0)) for d in space.dims)) for sign in (-1, 1)]
-    return chosen.join(rows, "row_id").select("query_id", F.lit("t8").alias("template"), bounds[0].alias("lo"), bounds[1].alias("hi"))
+    rows = space.features(df)
+    numbered = _numbered(rows, space)
+    n = numbered.agg(F.count("*").alias("n"))
+    picks = df.sparkSession.range(count).crossJoin(F.broadcast(n)).where("n > 0")
+    chosen = written(picks.select(F.col("id").alias("query_id"), F.floor(F.col("id") * F.col("n") / F.lit(count)).alias("place")), "places")
+    bounds = [F.array(*(F.col("x")[j] + sign * (HALF.get(d, 0) + (_SLACK if d in ("discount", "tax") else 0)) for j, d in enumerate(space.dims))) for sign in (-1, 1)]
+    return chosen.join(rows_at(rows, space, chosen, numbered, count <= SENT), "place").select("query_id", F.lit("t8").alias("template"), bounds[0].alias("lo"), bounds[1].alias("hi"))
 
 
 def drawn(count: int, weights: dict[str, int], seed: int = 0) -> list[tuple[int, str]]:
