@@ -11,10 +11,13 @@ import time
 from collections.abc import Iterable, Sequence
 from dataclasses import asdict, dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from ..model import BoxQuery, FeatureSpace
-from ..operators.forest import Forest
+from ..operators.forest import KINDS, Forest, piece_rows, pieces
 from ..shared import new_folder
 from .advisor import break_even
 
@@ -72,6 +75,38 @@ def contest(experiment: str, parameter: object, df: DataFrame, space: FeatureSpa
     return out
 
 
+def hits(df: DataFrame, space: FeatureSpace, queries: Queries, *, contestants: Iterable[str] = FAST, p: int = 8, lanes: Sequence[bool] = (True,)) -> DataFrame:
+    """(contestant, vector, hits) of all queries together, in one pass: a part's task builds every contestant's structure
+    over each piece of its rows, in a random order, and searches it with all queries, so nothing is stored.
+
+    df: a stored or generated table. Its splits are put together to p parts where they lie; only a table of fewer splits
+    is dealt by a hash of the ids.
+    """
+    rows = space.features(df)
+    ids, names = [F.col(f"`{c}`") for c in space.ids], tuple(contestants)
+    named = lambda some, *first: some.select(*first, F.xxhash64(*ids, F.lit(1)).alias("_key"), *(F.col(f"`{d}`").cast("double").alias(f"_v{j}") for j, d in enumerate(space.dims)))
+    if rows.rdd.getNumPartitions() >= p:
+        dealt = named(rows.coalesce(p), F.lit(0).alias("_part"))
+    else:
+        dealt = named(rows, F.pmod(F.xxhash64(*ids), F.lit(p)).cast("int").alias("_part")).repartitionById(p, F.col("_part")).sortWithinPartitions("_part")
+    bounds = [tuple(np.array([np.nan if b is None else b for b in side], float) for side in q.bounds(space)) for _, _, q in queries if not q.is_empty]
+    most, m = piece_rows(space.m), space.m
+
+    def run(batches):
+        found = {(name, vector): 0 for name in names for vector in lanes}
+        for _, _, table in pieces(batches, most):
+            order = np.argsort(table.column(1).to_numpy(), kind="stable")
+            x = np.stack([table.column(2 + j).to_numpy()[order] for j in range(m)], axis=1)
+            for name in names:
+                kind, k = CONTESTANTS[name]
+                made = KINDS[kind].build(x)
+                for vector in lanes:
+                    found[name, vector] += sum(len(KINDS[kind].search(made, lo, hi, k if vector else None)[0]) for lo, hi in bounds)
+        yield pa.RecordBatch.from_pylist([{"contestant": name, "vector": vector, "hits": n} for (name, vector), n in found.items()])
+
+    return dealt.mapInArrow(run, "contestant string, vector boolean, hits long")
+
+
 def break_evens(results: Sequence[Result], *, index: str = "kd_tree", scan: str = "row_scan") -> dict[str, float | None]:
     """The selectivity at which the index falls behind the scan: by throughput, and by dimensions compared."""
     of = lambda name, value: [(r.selectivity, value(r)) for r in results if r.contestant == name and r.selectivity > 0]
