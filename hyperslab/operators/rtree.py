@@ -99,42 +99,113 @@ class _Packer:
         return nodes[0]
 
 
+class _Open:
+    """A node that takes entries. Their boxes stand in columns, lower bounds over negated upper ones, so that a box holds
+    another if it is nowhere greater, and covers by the minimum."""
+
+    __slots__ = ("level", "box", "volume", "items")
+
+    def __init__(self, level: int, box: np.ndarray, items: list, room: int):
+        self.level, self.items = level, items
+        self.box, self.volume = np.empty((len(box), room)), np.empty(room)
+        self.box[:, : len(items)] = box
+        if level:
+            self.volume[: len(items)] = _volumes(box)
+
+    def used(self) -> np.ndarray:
+        return self.box[:, : len(self.items)]
+
+    def cover(self) -> np.ndarray:
+        return self.used().min(axis=1)
+
+    def put(self, k: int, box: np.ndarray) -> None:
+        self.box[:, k] = box
+        if self.level:
+            self.volume[k] = _volumes(box)
+
+    def add(self, box: np.ndarray, item) -> None:
+        self.put(len(self.items), box)
+        self.items.append(item)
+
+    def closed(self) -> Node:
+        m = len(self.box) // 2
+        box = self.used()
+        return Node(self.level, box[:m].T.copy(), -box[m:].T, [child.closed() for child in self.items] if self.level else self.items)
+
+
+def _volumes(box: np.ndarray) -> np.ndarray:
+    """`_volume` of boxes in columns."""
+    m = len(box) // 2
+    return np.exp(np.log(np.maximum(-(box[:m] + box[m:]), 1e-9)).sum(axis=0) / m)
+
+
+def _added(used: np.ndarray, wide: np.ndarray, some: np.ndarray) -> np.ndarray:
+    """By how much the overlap of the entries some with all others grows if they widen; only pairs that then meet have
+    volumes taken."""
+    m = len(used) // 2
+    side = np.maximum(wide[:, some, None], used[:, None, :])
+    side = -(side[:m] + side[m:])
+    meet = np.logical_and.reduce(side >= 0, axis=0)
+    meet[np.arange(len(some)), some] = False
+    i, j = meet.nonzero()
+    out = np.zeros(meet.shape)
+    both = np.concatenate((np.maximum(wide[:, some[i]], used[:, j]), np.maximum(used[:, some[i]], used[:, j])), axis=1)
+    volume = _volumes(both)
+    volume[(both[:m] + both[m:] > 0).any(axis=0)] = 0
+    out[i, j] = volume[: len(i)] - volume[len(i) :]
+    return out.sum(axis=1)
+
+
 class _Inserter:
     def __init__(self, lo: np.ndarray, hi: np.ndarray, capacity: int, star: bool):
-        self.lo, self.hi, self.capacity, self.star = lo, hi, capacity, star
-        self.root = Node(0, lo[:0], hi[:0], [])
+        self.capacity, self.star = capacity, star
+        self.boxes = np.concatenate((lo, -hi), axis=1)
+        self.root = self._open(0, self.boxes[:0].T, [])
+
+    def _open(self, level: int, box: np.ndarray, items: list) -> _Open:
+        return _Open(level, box, items, max(self.capacity, 2) + 1)
 
     def build(self) -> Node:
-        for k in range(len(self.lo)):
+        for k, box in enumerate(self.boxes):
             self.reinserted: set[int] = set()
-            self._insert(self.lo[k], self.hi[k], k, 0)
-        return self.root
+            self._insert(box, k, 0)
+        return self.root.closed()
 
-    def _insert(self, lo: np.ndarray, hi: np.ndarray, item, level: int) -> None:
+    def _insert(self, box: np.ndarray, item, level: int) -> None:
         path, node = [], self.root
         while node.level > level:
-            k = self._choose(node, lo, hi)
+            k = self._choose(node, box)
             path.append((node, k))
-            node.lo[k], node.hi[k] = np.minimum(node.lo[k], lo), np.maximum(node.hi[k], hi)
             node = node.items[k]
-        node.lo, node.hi = np.concatenate((node.lo, lo[None])), np.concatenate((node.hi, hi[None]))
-        node.items.append(item)
-        self._overflow(path, node)
-
-    def _choose(self, node: Node, lo: np.ndarray, hi: np.ndarray) -> int:
-        a, b = np.minimum(node.lo, lo), np.maximum(node.hi, hi)
-        before = _volume(node.lo, node.hi)
-        growth = _volume(a, b) - before
-        if self.star and node.level == 1:
-            holds = np.flatnonzero(((node.lo <= lo) & (node.hi >= hi)).all(axis=1))
-            if len(holds):  # nothing grows, so no overlap does
-                return int(holds[before[holds].argmin()])
-            added = _overlap(a[:, None], b[:, None], node.lo[None], node.hi[None]) - _overlap(node.lo[:, None], node.hi[:, None], node.lo[None], node.hi[None])
-            np.fill_diagonal(added, 0)
-            return int(np.lexsort((before, growth, np.round(added.sum(axis=1), 12)))[0])
-        return int(np.lexsort((before, growth))[0])
-
-    def _overflow(self, path: list[tuple[Node, int]], node: Node) -> None:
+        node.add(box, item)
+        if len(node.items) > self.capacity:
+            self._overflow(path, node)
+
+    def _choose(self, node: _Open, box: np.ndarray) -> int:
+        """The entry that takes the box, widened to hold it."""
+        used, before = node.used(), node.volume[: len(node.items)]
+        holds = np.logical_and.reduce(used <= box[:, None], axis=0).nonzero()[0]
+        if len(holds):  # nothing grows, so no overlap does
+            return int(holds[0] if len(holds) == 1 else holds[before[holds].argmin()])
+        wide = np.minimum(used, box[:, None])
+        after = _volumes(wide)
+        order = np.lexsort((before, after - before))
+        k = int(self._least_overlap(used, wide, order) if self.star and node.level == 1 else order[0])
+        node.box[:, k], node.volume[k] = wide[:, k], after[k]
+        return k
+
+    def _least_overlap(self, used: np.ndarray, wide: np.ndarray, order: np.ndarray) -> int:
+        """Of all entries the one whose widening adds least overlap with the others; equals keep the given order. None
+        adds less than nothing, so the first that adds nothing ends the search."""
+        sums = []
+        for some in (order[:4], order[4:16], order[16:]):
+            sums.append(np.round(_added(used, wide, some), 12))
+            free = np.flatnonzero(sums[-1] <= 0)
+            if len(free):
+                return some[free[0]]
+        return order[np.concatenate(sums).argmin()]
+
+    def _overflow(self, path: list[tuple[_Open, int]], node: _Open) -> None:
         while len(node.items) > self.capacity:
             if self.star and node is not self.root and node.level not in self.reinserted:
                 self.reinserted.add(node.level)
@@ -142,54 +213,49 @@ class _Inserter:
                 return
             one, two = self._split(node)
             if node is self.root:
-                boxes = [_cover(one), _cover(two)]
-                self.root = Node(node.level + 1, np.stack([b[0] for b in boxes]), np.stack([b[1] for b in boxes]), [one, two])
+                self.root = self._open(node.level + 1, np.stack([one.cover(), two.cover()], axis=1), [one, two])
                 return
             parent, k = path.pop()
-            boxes = [_cover(one), _cover(two)]
-            parent.lo[k], parent.hi[k], parent.items[k] = boxes[0][0], boxes[0][1], one
-            parent.lo, parent.hi = np.concatenate((parent.lo, boxes[1][0][None])), np.concatenate((parent.hi, boxes[1][1][None]))
-            parent.items.append(two)
+            parent.put(k, one.cover())
+            parent.items[k] = one
+            parent.add(two.cover(), two)
             node = parent
 
-    def _again(self, path: list[tuple[Node, int]], node: Node) -> None:
+    def _again(self, path: list[tuple[_Open, int]], node: _Open) -> None:
         """Takes the entries farthest from the node's centre out and inserts them from the top, nearest first."""
-        lo, hi = _cover(node)
-        far = np.argsort(-((((node.lo + node.hi) - (lo + hi)) ** 2).sum(axis=1)), kind="stable")[: int(AGAIN * len(node.items))]
+        box, cover, m = node.used().copy(), node.cover(), len(node.box) // 2
+        far = np.argsort(-((((box[:m] - box[m:]) - (cover[:m] - cover[m:])[:, None]) ** 2).sum(axis=0)), kind="stable")[: int(AGAIN * len(node.items))]
         keep = np.setdiff1d(np.arange(len(node.items)), far)
-        out = [(node.lo[k], node.hi[k], node.items[k]) for k in far[::-1]]
-        node.lo, node.hi, node.items = node.lo[keep], node.hi[keep], [node.items[k] for k in keep]
+        out = [(box[:, k], node.items[k]) for k in far[::-1]]
+        node.items = [node.items[k] for k in keep]
+        node.box[:, : len(keep)], node.volume[: len(keep)] = box[:, keep], node.volume[keep]
         for parent, k in reversed(path):
-            parent.lo[k], parent.hi[k] = _cover(parent.items[k])
+            parent.put(k, parent.items[k].cover())
         for entry in out:
             self._insert(*entry, node.level)
 
-    def _split(self, node: Node) -> tuple[Node, Node]:
-        groups = self._axis_split(node) if self.star else self._quadratic(node)
-        return tuple(Node(node.level, node.lo[g], node.hi[g], [node.items[k] for k in g]) for g in groups)
+    def _split(self, node: _Open) -> tuple[_Open, _Open]:
+        box, m = node.used(), len(node.box) // 2
+        plain = Node(node.level, box[:m].T.copy(), -box[m:].T, node.items)
+        groups = self._axis_split(plain) if self.star else self._quadratic(plain)
+        return tuple(self._open(node.level, box[:, g], [node.items[k] for k in g]) for g in groups)
 
     def _axis_split(self, node: Node) -> tuple[np.ndarray, np.ndarray]:
         """The axis of the least sum of margins over all legal cuts, and on it the cut of the least overlap."""
         n, m = node.lo.shape
         fewest = max(1, int(LEAST * self.capacity))
         cuts = np.arange(fewest, n - fewest + 1)
-        best = None
-        for d in range(m):
-            total, options = 0.0, []
-            for keys in (node.lo[:, d], node.hi[:, d]):
-                order = np.argsort(keys, kind="stable")
-                lo, hi = node.lo[order], node.hi[order]
-                a_lo, a_hi = np.minimum.accumulate(lo), np.maximum.accumulate(hi)
-                b_lo, b_hi = np.minimum.accumulate(lo[::-1])[::-1], np.maximum.accumulate(hi[::-1])[::-1]
-                total += float((a_hi[cuts - 1] - a_lo[cuts - 1]).sum() + (b_hi[cuts] - b_lo[cuts]).sum())
-                options.append((order, a_lo[cuts - 1], a_hi[cuts - 1], b_lo[cuts], b_hi[cuts]))
-            if best is None or total < best[0]:
-                best = (total, options)
+        orders = np.argsort(np.stack((node.lo.T, node.hi.T), axis=1).reshape(2 * m, n), axis=1, kind="stable")  # per axis by lower, then by upper bound
+        lo, hi = node.lo[orders], node.hi[orders]
+        a_lo, a_hi = (f.accumulate(x, axis=1)[:, cuts - 1] for f, x in ((np.minimum, lo), (np.maximum, hi)))
+        b_lo, b_hi = (f.accumulate(x[:, ::-1], axis=1)[:, ::-1][:, cuts] for f, x in ((np.minimum, lo), (np.maximum, hi)))
+        margins = (a_hi - a_lo).reshape(2 * m, -1).sum(axis=1) + (b_hi - b_lo).reshape(2 * m, -1).sum(axis=1)
+        axis = int((margins[::2] + margins[1::2]).argmin())
         scored = []
-        for order, a_lo, a_hi, b_lo, b_hi in best[1]:
-            over, area = _overlap(a_lo, a_hi, b_lo, b_hi), _volume(a_lo, a_hi) + _volume(b_lo, b_hi)
+        for k in (2 * axis, 2 * axis + 1):
+            over, area = _overlap(a_lo[k], a_hi[k], b_lo[k], b_hi[k]), _volume(a_lo[k], a_hi[k]) + _volume(b_lo[k], b_hi[k])
             c = int(np.lexsort((area, over))[0])
-            scored.append(((float(over[c]), float(area[c])), order, int(cuts[c])))
+            scored.append(((float(over[c]), float(area[c])), orders[k], int(cuts[c])))
         _, order, cut = min(scored, key=lambda s: s[0])
         return order[:cut], order[cut:]
 
